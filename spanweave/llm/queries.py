@@ -47,4 +47,4 @@ def op10_urls(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES = {f.__name__: f for f in (op1_media, op2_quality, op3_token_counts, op4_mixing, op5_exact_dedup, op8_simhash, op9_bpe, op10_urls)}
-ORACLES = {"op5_exact_dedup": exact_dedup.ORACLE}
+ORACLES = {"op5_exact_dedup": exact_dedup.ORACLE, "op10_urls": url_filter.oracle()}
