@@ -3,7 +3,8 @@
 DataFrame functions only. Three passes over the texts: hash groups are counted over narrow rows with map-side
 combining; the texts of groups with two rows or more are compared as `min(body) = max(body)`, which combines
 before it shuffles and so never gathers a group of copies in one task; the result is a join of narrow rows,
-whose large partitions Spark splits at run time.
+whose large partitions Spark splits at run time. Joins are merge joins at every size: what is shuffled then grows with
+the input alone, and nothing is broadcast that grows with it.
 """
 
 from __future__ import annotations
@@ -36,7 +37,7 @@ def exact_groups(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", di
     rows = texts(docs, doc_id, text).select("doc_id", normalised(F.col("text")).alias("body")).withColumn("digest", digest(F.col("body")))
     groups = stash(rows.groupBy("digest").agg(F.min("doc_id").alias("keep_id"), F.count(F.lit(1)).alias("group_size")).filter("group_size > 1"))
     # By keep_id and not by digest: another key lets Spark combine before the shuffle and split a hot digest's join.
-    compared = rows.join(groups, "digest").groupBy("keep_id", F.col("digest").alias("in_doubt")).agg(F.min("body").alias("low"), F.max("body").alias("high"))
+    compared = rows.join(groups.hint("merge"), "digest").groupBy("keep_id", F.col("digest").alias("in_doubt")).agg(F.min("body").alias("low"), F.max("body").alias("high"))
     doubtful = stash(compared.filter("low <> high").select("in_doubt"))
     narrow = rows.withColumn("text_sha256", F.sha2("body", 256))
     result = ["doc_id", "keep_id", "group_size", F.col("doc_id").eqNullSafe(F.col("keep_id")).alias("kept"), "text_sha256"]
@@ -49,7 +50,7 @@ def exact_groups(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", di
 
 
 def _placed(narrow: DataFrame, groups: DataFrame) -> DataFrame:
-    return narrow.join(groups, "digest", "left").select(
+    return narrow.join(groups.hint("merge"), "digest", "left").select(
         "doc_id", "text_sha256", F.when(F.col("group_size").isNull(), F.col("doc_id")).otherwise(F.col("keep_id")).alias("keep_id"), F.coalesce("group_size", F.lit(1)).cast("long").alias("group_size")
     )
 
@@ -57,7 +58,7 @@ def _placed(narrow: DataFrame, groups: DataFrame) -> DataFrame:
 def drop_exact(docs: DataFrame) -> DataFrame:
     """The rows of `docs` that stay, all columns, in one pass more over the texts."""
     gone = stash(exact_groups(docs).filter(~F.col("kept")).select("doc_id").distinct())
-    return docs.join(gone, "doc_id", "left_anti")
+    return docs.join(gone.hint("merge"), "doc_id", "left_anti")
 
 
 ORACLE = r"""
