@@ -13,8 +13,7 @@ from spanweave.llm.shared import shared_dir, stash, table
 
 def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the classifier rejects go."""
-    rejected = quality.quality_scores(docs, table(spark, sf_dir, "labels")).filter("predicted = 0").select("doc_id").distinct()
-    return docs.join(stash(rejected), "doc_id", "left_anti").select(docs.columns)
+    return quality.keep_good(docs, table(spark, sf_dir, "labels"))
 
 
 def exact_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -25,7 +24,7 @@ def exact_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 def near_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of each class of near-duplicates the document with the least doc_id stays."""
     gone = simhash.near_classes(docs).filter("doc_id <> component_id").select("doc_id").distinct()
-    return docs.join(stash(gone), "doc_id", "left_anti").select(docs.columns)
+    return docs.join(stash(gone).hint("merge"), "doc_id", "left_anti").select(docs.columns)
 
 
 def mixing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

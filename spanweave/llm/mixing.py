@@ -127,5 +127,5 @@ def mixed(docs: DataFrame, targets: dict[str, float] | None = None, block: int =
     """`docs`, all rows and columns, in the order of the mix: partitions are ranges of positions, sorted within."""
     places = stash(schedule(docs, targets, block).select("doc_id", "position").groupBy("doc_id").agg(F.min("position").alias("mix_position")))
     parts = max(2, int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")))
-    whole = docs.join(places, docs["doc_id"].eqNullSafe(places["doc_id"]), "left").drop(places["doc_id"])
+    whole = docs.join(places.hint("merge"), docs["doc_id"].eqNullSafe(places["doc_id"]), "left").drop(places["doc_id"])
     return whole.repartitionByRange(parts, "mix_position").sortWithinPartitions("mix_position").drop("mix_position")

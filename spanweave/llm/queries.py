@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from spanweave.llm import bpe, exact_dedup, media, mixing, quality, simhash, url_filter
+from spanweave.llm import bpe, byte_windows, exact_dedup, media, mixing, quality, simhash, url_filter, word_windows
 from spanweave.llm.shared import table
 
 
@@ -34,6 +34,14 @@ def op5_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.exact_groups(table(spark, sf_dir, "documents"))
 
 
+def op6_repeated_bytes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return byte_windows.repeats(table(spark, sf_dir, "documents"))
+
+
+def op7_repeated_windows(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return word_windows.removals(table(spark, sf_dir, "documents"))
+
+
 def op8_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.near_classes(table(spark, sf_dir, "documents"))
 
@@ -46,5 +54,5 @@ def op10_urls(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_filter.judge_urls(table(spark, sf_dir, "pages"))
 
 
-QUERIES = {f.__name__: f for f in (op1_media, op2_quality, op3_token_counts, op4_mixing, op5_exact_dedup, op8_simhash, op9_bpe, op10_urls)}
+QUERIES = {f.__name__: f for f in (op1_media, op2_quality, op3_token_counts, op4_mixing, op5_exact_dedup, op6_repeated_bytes, op7_repeated_windows, op8_simhash, op9_bpe, op10_urls)}
 ORACLES = {"op5_exact_dedup": exact_dedup.ORACLE, "op10_urls": url_filter.oracle()}
