@@ -18,7 +18,7 @@ from pyspark.sql import functions as F
 from spanweave.llm.shared import stash, texts
 
 #: Bytes of text in a pack; a longer text is a pack of its own.
-PACK_BYTES = 4_000_000
+PACK_BYTES = 2_000_000
 #: Hashes that a bucket gets at most, on average.
 BUCKET_HASHES = 1_000_000
 
