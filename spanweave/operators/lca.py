@@ -32,7 +32,8 @@ class TreeIndex:
         return TreeIndex(parents, tree, tables, nearest_kept(parents, tree), levels(tables))
 
 
-_STATE = ["qid", "u", "v", "a", "b", "da", "db", "pa", "pb", "swapped", "lca"]
+#: a, b: where the ends stand, the deeper first, da, db their depths, pa, pb where they stood a step before; a0, b0, da0, db0: where the near search began.
+_STATE = ["qid", "u", "v", "a", "b", "da", "db", "pa", "pb", "a0", "b0", "da0", "db0", "swapped", "lca"]
 
 
 def _start(parents: DataFrame, queries: DataFrame) -> DataFrame:
@@ -42,7 +43,7 @@ def _start(parents: DataFrame, queries: DataFrame) -> DataFrame:
     pick = lambda x, y: F.when(swap, F.col(y)).otherwise(F.col(x))
     none = F.lit(None).cast("long")
     apart = F.col("_ru").isNull() | F.col("_rv").isNull() | (F.col("_ru") != F.col("_rv"))
-    return both.select("qid", "u", "v", pick("u", "v").alias("a"), pick("v", "u").alias("b"), pick("_du", "_dv").alias("da"), pick("_dv", "_du").alias("db"), none.alias("pa"), none.alias("pb"), swap.alias("swapped"), F.when(apart, F.lit(-1)).when(F.col("u") == F.col("v"), F.col("u")).cast("long").alias("lca"))
+    return both.select("qid", "u", "v", pick("u", "v").alias("a"), pick("v", "u").alias("b"), pick("_du", "_dv").alias("da"), pick("_dv", "_du").alias("db"), none.alias("pa"), none.alias("pb"), none.alias("a0"), none.alias("b0"), none.cast("int").alias("da0"), none.cast("int").alias("db0"), swap.alias("swapped"), F.when(apart, F.lit(-1)).when(F.col("u") == F.col("v"), F.col("u")).cast("long").alias("lca"))
 
 
 def _climbed(state: DataFrame, parents: DataFrame) -> DataFrame:
@@ -51,7 +52,7 @@ def _climbed(state: DataFrame, parents: DataFrame) -> DataFrame:
     live, level = F.col("lca").isNull(), F.col("da") == F.col("db")
     both = live & level
     moved = lambda c, new, when: F.when(when, new).otherwise(F.col(c)).alias(c)
-    out = up.select("qid", "u", "v", moved("a", F.col("_na"), live), moved("b", F.col("_nb"), both), moved("da", F.col("da") - 1, live), moved("db", F.col("db") - 1, both), moved("pa", F.col("a"), live), moved("pb", F.col("b"), both), "swapped", "lca")
+    out = up.select("qid", "u", "v", moved("a", F.col("_na"), live), moved("b", F.col("_nb"), both), moved("da", F.col("da") - 1, live), moved("db", F.col("db") - 1, both), moved("pa", F.col("a"), live), moved("pb", F.col("b"), both), "a0", "b0", "da0", "db0", "swapped", "lca")
     return out.withColumn("lca", F.when(live & (F.col("a") == F.col("b")), F.col("a")).otherwise(F.col("lca")))
 
 
@@ -104,7 +105,7 @@ def lca_batch(parents: DataFrame, queries: DataFrame, method: str = "compressed"
     far = live.filter(F.col("da") > F.col("db") + 2 * t)
     if not far.isEmpty():
         live = live.filter(F.col("da") <= F.col("db") + 2 * t).unionByName(_lifted(far, index))
-    live = _climb(live, done, parents, 4 * t, "lca near")
+    live = _climb(live.withColumns({f"{c}0": F.col(c) for c in ("a", "b", "da", "db")}), done, parents, 4 * t, "lca near")
     if live.isEmpty():
         return _finish(done)
     live = _in_compressed(live, index)
@@ -126,8 +127,9 @@ def _lifted(far: DataFrame, index: TreeIndex) -> DataFrame:
 
 
 def _in_compressed(live: DataFrame, index: TreeIndex) -> DataFrame:
-    """Both ends at the last kept ancestors that are still different."""
-    at = live
+    """Both ends at the last kept ancestors that are still different. The search starts again from where the near search began: the common ancestor is over 2t above
+    both ends there, and so above their nearest kept ancestors, but may be just above where the near search stopped."""
+    at = live.withColumns({c: F.col(f"{c}0") for c in ("a", "b", "da", "db")})
     for end, depth in (("a", "da"), ("b", "db")):
         at = hop(hop(at, index.kept, end, {"_k": "kept"}), index.tree.vertices, "_k", {"_d": "depth"})
         at = at.withColumn(end, F.col("_k")).withColumn(depth, F.col("_d")).drop("_k", "_d")
