@@ -37,7 +37,7 @@ def exact_groups(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", di
     rows = texts(docs, doc_id, text).select("doc_id", normalised(F.col("text")).alias("body")).withColumn("digest", digest(F.col("body")))
     groups = stash(rows.groupBy("digest").agg(F.min("doc_id").alias("keep_id"), F.count(F.lit(1)).alias("group_size")).filter("group_size > 1"))
     # By keep_id and not by digest: another key lets Spark combine before the shuffle and split a hot digest's join.
-    compared = rows.join(groups.hint("merge"), "digest").groupBy("keep_id", F.col("digest").alias("in_doubt")).agg(F.min("body").alias("low"), F.max("body").alias("high"))
+    compared = rows.join(groups.hint("merge"), "digest").groupBy("keep_id").agg(F.min("digest").alias("in_doubt"), F.min("body").alias("low"), F.max("body").alias("high"))
     doubtful = stash(compared.filter("low <> high").select("in_doubt"))
     narrow = rows.withColumn("text_sha256", F.sha2("body", 256))
     result = ["doc_id", "keep_id", "group_size", F.col("doc_id").eqNullSafe(F.col("keep_id")).alias("kept"), "text_sha256"]
