@@ -85,12 +85,20 @@ class Prepared:
     def back(self) -> DataFrame:
         return self._once("back", lambda: settle(back_depth(self), "back depth"))
 
-    def subtree_min(self, values: DataFrame) -> DataFrame:
-        """(v, low): the least value (v, val) in every non-root vertex's subtree, as a range minimum over the sequence. Each vertex's value stands at its first position; between
-        first and last position of v lie exactly the first positions of its subtree, so the array may stay dense with the value at every visit."""
-        at = self.tour_positions.join(values, "v").select("pos", "val")
-        inner = self.parents.filter("v <> parent").select("v").join(self.spans, "v").select(F.col("v").alias("qid"), F.col("first").alias("lo"), F.col("last").alias("hi"))
-        return range_min(settle(at, "array"), inner, method=self.rmq_method).select(F.col("qid").alias("v"), F.col("min_value").alias("low"))
+    def subtree_min(self, *values: DataFrame) -> list[DataFrame]:
+        """For each frame (v, val) a frame (v, low): the least value in every non-root vertex's subtree, as range minima over the sequence; between a vertex's first and last position
+        stands its subtree and nothing else. Several arrays are laid one behind the other and asked at once."""
+        length = self.tour_positions.agg(F.max("pos")).first()[0]
+        inner = settle(self.parents.filter("v <> parent").select("v").join(self.spans, "v"), "array")
+        arrays, asked = None, None
+        for k, frame in enumerate(values):
+            arr = self.tour_positions.join(frame, "v").select((F.col("pos") + k * length).alias("pos"), F.col("val").cast("long").alias("val"))
+            ask = inner.select((F.col("first") + k * length).alias("qid"), (F.col("first") + k * length).alias("lo"), (F.col("last") + k * length).alias("hi"))
+            arrays, asked = (arr, ask) if arrays is None else (arrays.unionByName(arr), asked.unionByName(ask))
+        found = range_min(settle(arrays, "array"), asked, method=self.rmq_method)
+        found = settle(found, "array") if len(values) > 1 else found
+        at = lambda k: found.filter((F.col("qid") > k * length) & (F.col("qid") <= (k + 1) * length)).select((F.col("qid") - k * length).alias("first"), F.col("min_value").alias("low"))
+        return [inner.join(at(k), "first").select("v", "low") for k in range(len(values))]
 
     @property
     def tour_positions(self) -> DataFrame:
@@ -107,7 +115,7 @@ class Prepared:
         """(v, parent, depth, low): least back-depth in the subtree of every non-root vertex."""
 
         def make():
-            low = self.subtree_min(self.back.select("v", F.col("bac").alias("val")))
+            low = self.subtree_min(self.back.select("v", F.col("bac").alias("val")))[0]
             return settle(self.parents.filter("v <> parent").select("v", "parent", "depth").join(low, "v"), "lows")
 
         return self._once("lows", make)
@@ -120,8 +128,8 @@ class Prepared:
             first = self.spans.select("v", "first")
             seen = hop(both_ways(self.crossing), first, "w", {"f": "first"}, name="v").groupBy("v").agg(F.min("f").alias("lo"), F.max("f").alias("hi"))
             own = self.spans.join(seen, "v", "left").select("v", F.least("first", "lo").alias("lo"), F.greatest("first", "hi").alias("hi"))
-            low = self.subtree_min(own.select("v", F.col("lo").alias("val")))
-            high = self.subtree_min(own.select("v", (-F.col("hi")).alias("val"))).select("v", (-F.col("low")).alias("high"))
+            low, high = self.subtree_min(own.select("v", F.col("lo").alias("val")), own.select("v", (-F.col("hi")).alias("val")))
+            high = high.select("v", (-F.col("low")).alias("high"))
             return settle(self.parents.filter("v <> parent").select("v", "parent").join(low, "v").join(high, "v"), "reach")
 
         return self._once("reach", make)

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
@@ -57,8 +59,12 @@ def range_min(arr: DataFrame, queries: DataFrame, method: str = "block", route:
 
 
 def _doubling_table(arr: DataFrame, report: dict) -> tuple[DataFrame, int]:
-    """(j, pos, m): minima of 2**j positions from pos on."""
+    """(j, pos, m): minima of 2**j positions from pos on. Up to LOCAL positions one task fills it, beyond that every level is a join of the one before with itself."""
     n = arr.agg(F.coalesce(F.max("pos"), F.lit(0))).first()[0]
+    if n <= LOCAL:
+        report["rows_stored"] = report.get("rows_stored", 0) + sum(max(0, n - (1 << j) + 1) for j in range(max(1, n).bit_length()))
+        table = arr.groupBy(F.lit(0).alias("all")).applyInPandas(_local_table, "j int, pos long, m long")
+        return settle(table, "range table"), max(1, n).bit_length() - 1
     level, out, j = arr.select("pos", F.col("val").alias("m")), None, 0
     stored = 0
     while True:
@@ -74,6 +80,21 @@ def _doubling_table(arr: DataFrame, report: dict) -> tuple[DataFrame, int]:
     return out, j
 
 
+#: Positions whose table one task makes.
+LOCAL = 100_000
+
+
+def _local_table(pdf: pd.DataFrame) -> pd.DataFrame:
+    pdf = pdf.sort_values("pos")
+    pos, row = pdf["pos"].to_numpy(), pdf["val"].to_numpy(dtype=np.int64)
+    parts, j = [], 0
+    while len(row):
+        parts.append(pd.DataFrame({"j": np.full(len(row), j, np.int32), "pos": pos[: len(row)], "m": row}))
+        row = np.minimum(row[: -(1 << j)], row[1 << j :]) if len(row) > 1 << j else row[:0]
+        j += 1
+    return pd.concat(parts)
+
+
 def _by_table(table: DataFrame, top: int, queries: DataFrame) -> DataFrame:
     """Two looks a query: the power of two that fits, from its start and up to its end."""
     j = F.floor(F.log2((F.col("hi") - F.col("lo") + 1).cast("double"))).cast("int")
