@@ -7,6 +7,8 @@ bounded by choosing the number of buckets from the number of hashes; and the shu
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
 from collections.abc import Callable, Iterable, Iterator
 
 import numpy as np
@@ -18,7 +20,7 @@ from pyspark.sql import functions as F
 from spanweave.llm.shared import stash, texts
 
 #: Bytes of text in a pack; a longer text is a pack of its own.
-PACK_BYTES = 2_000_000
+PACK_BYTES = 1_000_000
 #: Hashes that a bucket gets at most, on average.
 BUCKET_HASHES = 1_000_000
 
@@ -35,6 +37,14 @@ def expand(data: bytes, kind=None):
     return out if kind is None else np.frombuffer(out, kind)
 
 
+def frugal() -> None:
+    """Give large arrays back to the system when they are freed: the C library otherwise comes to keep them, and two workers stand beside each executor's heap."""
+    if "frugal" not in _tables:
+        _tables["frugal"] = np.zeros(0)
+        with contextlib.suppress(OSError, AttributeError):
+            ctypes.CDLL(None).mallopt(-3, 1 << 18)  # M_MMAP_THRESHOLD, fixed
+
+
 # ---- hashing
 def mix(x: np.ndarray) -> np.ndarray:
     """A bijection of 64-bit numbers that spreads every bit (the finaliser of SplitMix64)."""
@@ -49,7 +59,7 @@ _BASE = 0x9E3779B97F4A7C15 | 1
 def powers(n: int) -> tuple[np.ndarray, np.ndarray]:
     """The base's powers and those of its inverse modulo 2**64, n of each or more."""
     if "up" not in _tables or len(_tables["up"]) < n:
-        size = max(n, PACK_BYTES + 1_000_000)
+        size = max(n, PACK_BYTES + 250_000)
         for name, b in (("up", _BASE), ("down", pow(_BASE, -1, 1 << 64))):
             seq = np.full(size, b & _MASK, np.uint64)
             seq[0] = 1
@@ -121,6 +131,7 @@ class Pack:
     """One pack in memory: its texts' bytes one after the other."""
 
     def __init__(self, ids: bytes, sizes: bytes, body: bytes):
+        frugal()
         self.ids, self.sizes = np.frombuffer(ids, np.int64), np.frombuffer(sizes, np.int64)
         self.raw = expand(body)
         self.data = np.frombuffer(self.raw, np.uint8)
