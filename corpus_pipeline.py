@@ -22,8 +22,8 @@ def exact_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each class of near-duplicates the document with the least doc_id stays."""
-    gone = simhash.near_classes(docs).filter("doc_id <> component_id").select("doc_id").distinct()
+    """Of each class of documents linked by a similarity of 0.8 or more over five-word shingles, the one with the least doc_id stays."""
+    gone = simhash.similar_classes(docs).filter("doc_id <> component_id").select("doc_id").distinct()
     return docs.join(stash(gone).hint("merge"), "doc_id", "left_anti").select(docs.columns)
 
 

@@ -14,29 +14,38 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from spanweave.llm.linking import components
+from spanweave.llm.packs import mix
 from spanweave.llm.shared import stash, texts
 
 SEED = 42
 
 
-def fingerprint(text: str, words: int = 3) -> int:
-    """64 bits, each set if it is set in over half of the shingles' hashes; fewer words than a shingle make one, none give 0."""
+def shingle_hashes(text: str, words: int) -> list[int]:
+    """XXH64 of every shingle, repeats included; fewer words than a shingle make one, none give none."""
     found = text.encode().lower().split()  # of bytes: A-Z and ASCII white space only
     if not found:
-        return 0
+        return []
     joined = b" ".join(found)
     ends = np.cumsum([len(w) + 1 for w in found]) - 1
     starts = [0, *(ends[:-1] + 1).tolist()]
     ends = ends.tolist()
     digest, k = xxhash.xxh64_intdigest, min(words, len(found))
-    hashes = [digest(joined[a:b], SEED) for a, b in zip(starts, ends[k - 1 :], strict=False)]
+    return [digest(joined[a:b], SEED) for a, b in zip(starts, ends[k - 1 :], strict=False)]
+
+
+def majority(hashes: np.ndarray) -> int:
+    """64 bits, each set if it is set in over half of the hashes; 0 of none."""
     counts = np.zeros(64, np.int64)
     for at in range(0, len(hashes), 65_536):
-        part = np.array(hashes[at : at + 65_536], "<u8")
+        part = np.ascontiguousarray(hashes[at : at + 65_536], "<u8")
         counts += np.unpackbits(part.view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
     return int(np.packbits(counts * 2 > len(hashes), bitorder="little").view("<u8")[0])
 
 
+def fingerprint(text: str, words: int = 3) -> int:
+    return majority(np.array(shingle_hashes(text, words), np.uint64))
+
+
 def fingerprints(docs: DataFrame, words: int = 3, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """doc_id, bits (the fingerprint as a signed long), of whole texts; null texts are empty."""
 
@@ -99,3 +108,68 @@ def near_classes(docs: DataFrame, words: int = 3, radius: int = 2, segments: int
     named = placed.groupBy("component").agg(F.min("least").alias("component_id"))
     names = stash(placed.join(named, "component").select("bits", "component_id"))
     return prints.join(names, "bits").select("doc_id", F.lower(F.lpad(F.hex("bits"), 16, "0")).alias("fingerprint"), "component_id")
+
+
+# ---- classes by similarity
+#: 64-bit words of a wide fingerprint, and the words of its shingles.
+WIDE, SKETCH_WORDS = 12, 3
+
+
+def wide_fingerprint(text: str, words: int = SKETCH_WORDS) -> list[int]:
+    """WIDE fingerprints of the same shingles under different hashes: their distance tells similarity to about one part in a hundred."""
+    hashes = np.array(shingle_hashes(text, words), np.uint64)
+    steps = np.arange(1, WIDE + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)
+    return [majority(mix(hashes + step)) for step in steps]
+
+
+def similarity(a: str, b: str, words: int = 5) -> float:
+    """Shared part of all different word shingles of two texts; two texts without words are alike."""
+    x, y = {*shingle_hashes(a, words)}, {*shingle_hashes(b, words)}
+    return len(x & y) / len(x | y) if x or y else 1.0
+
+
+def similar_classes(docs: DataFrame, words: int = 5, least: float = 0.8, most_bits: float = 0.22, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+    """(doc_id, component_id) of the documents that are linked to others by a similarity of `least` or more over `words`-word shingles; component_id is the least doc_id of the class.
+
+    Candidates share one of the equal segments of a ring of WIDE fingerprints, some log2(documents) + 3 bits long, so that few unrelated ones do. In each segment's group every
+    document is held against the group's least one, never all against all; that takes one combinable minimum a group, however large. A candidate pair is dropped if over `most_bits` of all bits differ, and
+    the rest are linked if their shingles are as similar as asked. Null ids are left out; null texts are empty, and texts without words are alike. Found pairs are exact; a pair just above `least` is missed
+    if no segment is equal (tests measure a recall of over 0.9)."""
+    rows = texts(docs, doc_id, text).filter("doc_id is not null")
+
+    def work(batches):
+        for batch in batches:
+            for at in range(0, batch.num_rows, 256):
+                part = batch.slice(at, 256)
+                bits = np.array([wide_fingerprint(t) for t in part.column(1).to_pylist()], np.uint64).reshape(-1, WIDE)
+                yield pa.RecordBatch.from_arrays([part.column(0), *(pa.array(np.ascontiguousarray(bits[:, k]).view(np.int64)) for k in range(WIDE))], ["doc_id", *(f"b{k}" for k in range(WIDE))])
+
+    prints = stash(rows.mapInArrow(work, "doc_id long, " + ", ".join(f"b{k} long" for k in range(WIDE))))
+    n = prints.count()
+    width = min(32, max(16, int(np.ceil(np.log2(max(2, n)))) + 3))
+
+    def segment(k: int) -> Column:
+        """Bits k * width and on of the ring."""
+        word, shift = divmod(k * width, 64)
+        low = F.shiftrightunsigned(F.col(f"b{word}"), shift)
+        if shift + width > 64:
+            low = low.bitwiseOR(F.shiftleft(F.col(f"b{word + 1}"), 64 - shift))
+        return low.bitwiseAND(F.lit((1 << width) - 1))
+
+    keys = F.explode(F.array(*(F.struct(F.lit(k).alias("k"), segment(k).alias("key")) for k in range(64 * WIDE // width)))).alias("s")
+    keyed = prints.select("doc_id", keys).select("doc_id", "s.k", "s.key")
+    heads = stash(keyed.groupBy("k", "key").agg(F.min("doc_id").alias("head"), F.max("doc_id").alias("_last")).filter("head <> _last").drop("_last"))
+    pairs = stash(keyed.join(heads.hint("merge"), ["k", "key"]).filter("doc_id <> head").select("doc_id", "head").distinct())
+    other = prints.select(F.col("doc_id").alias("head"), *(F.col(f"b{k}").alias(f"c{k}") for k in range(WIDE)))
+    differ = sum((F.bit_count(F.col(f"b{k}").bitwiseXOR(F.col(f"c{k}"))) for k in range(WIDE)), F.lit(0))
+    near = pairs.join(prints.hint("merge"), "doc_id").join(other.hint("merge"), "head").filter(differ <= int(most_bits * 64 * WIDE))
+    near = stash(near.select("doc_id", "head").distinct())
+
+    def judge(batches):
+        for batch in batches:
+            found = [similarity(a, b, words) >= least for a, b in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True)]
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1)], ["u", "v"]).filter(pa.array(found, pa.bool_()))
+
+    both = near.join(rows.hint("merge"), "doc_id").join(rows.select(F.col("doc_id").alias("head"), F.col("text").alias("other")).hint("merge"), "head")
+    linked = stash(both.select(F.col("head").alias("u"), F.col("doc_id").alias("v"), "text", "other").mapInArrow(judge, "u long, v long"))
+    return components(linked).select(F.col("key").alias("doc_id"), F.col("component").alias("component_id"))
