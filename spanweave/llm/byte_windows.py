@@ -123,7 +123,8 @@ class Runs:
             text = np.minimum(np.searchsorted(pack.ends, first, side="right"), len(pack.ends) - 1)
             inside = last + width <= pack.ends[text]
             first, last, anchor = first[inside], last[inside], anchor[inside]
-        key = grams[anchor] if len(first) else np.zeros(0, np.uint64)
+        # Anchors are chosen for small hashes; mixed again they spread evenly over the buckets.
+        key = pk.mix(grams[anchor] ^ np.uint64(0xA24BAED4963EE407)) if len(first) else np.zeros(0, np.uint64)
         whole = self.prefixes.of(first, last + width) if len(first) else np.zeros(0, np.uint64)
         order = np.lexsort((whole, key))
         self.first, self.last, self.key, self.whole = first[order], last[order], key[order], whole[order]
