@@ -15,6 +15,7 @@ from spanweave.operators import blocks as bl
 from spanweave.operators import bridges as br
 from spanweave.operators import hub, measures, pointers
 from spanweave.operators.components import connected_components
+from spanweave.operators.compress import step_of
 from spanweave.operators.forest import spanning_forest
 from spanweave.operators.lca import lca_batch
 from spanweave.operators.paths import ancestor_paths
@@ -111,7 +112,7 @@ query("two_edge_components_trade", _TWO_EDGE.format(inner=sql.bridges(sql.TRADE)
 
 
 @query("aux_graph_size_trade", sql.on_cycles(sql.TRADE, """SELECT (SELECT count(*) FROM fo) AS n, (SELECT count(*) FROM e) AS m, (SELECT count(*) FROM fo WHERE v <> parent) AS aux_vertices,
-  (SELECT count(*) FROM fo x WHERE x.v <> x.parent AND x.depth > 1 AND EXISTS (SELECT 1 FROM cover c1 JOIN cover c2 USING (u, v) WHERE c1.x = x.v AND c2.x = x.parent))
+  (SELECT count(*) FROM fo g WHERE g.v <> g.parent AND g.depth > 1 AND EXISTS (SELECT 1 FROM cover c1 JOIN cover c2 ON c1.u = c2.u AND c1.v = c2.v WHERE c1.x = g.v AND c2.x = g.parent))
   + (SELECT count(*) FROM met WHERE lca <> u AND lca <> v) AS aux_edges,
   (SELECT count(*) FROM fo WHERE v <> parent) + (SELECT count(*) FROM off) AS aux_all_vertices, (SELECT max(depth) FROM fo) AS depth"""))
 def aux_graph_size_trade(spark, d):
@@ -217,7 +218,8 @@ family({"rmq_events_value": _rmq("block"), "rmq_events_value_sparse_table": _rmq
 @query("compress_report_broom")
 def compress_report_broom(spark, d):
     n = read_table(spark, d, "part", ["p_partkey"]).count()
-    parents = settle(pointers.depths(graphs.broom(spark, d, n // 4, 6)), "broom")
+    k = n // 4
+    parents = settle(pointers.depths(graphs.broom(spark, d, k, step_of(k - 1) - 1)), "broom")  # the bristles end at a depth where the printed rule keeps them all
     both = [measures.compression_report(parents, keep).withColumn("keep", F.lit(keep)) for keep in ("descendant", "printed")]
     return both[0].unionByName(both[1])
 

@@ -16,7 +16,7 @@ from spanweave.operators import blocks as bl
 from spanweave.operators import bridges as br
 from spanweave.operators import hub, measures, pointers
 from spanweave.operators.components import connected_components
-from spanweave.operators.compress import compress_tree, jump_tables
+from spanweave.operators.compress import compress_tree, jump_tables, step_of
 from spanweave.operators.forest import spanning_forest
 from spanweave.operators.lca import TreeIndex, ancestor_tables, lca_batch
 from spanweave.operators.paths import ancestor_paths
@@ -60,7 +60,7 @@ def w4(spark: SparkSession, d: str) -> Rows:
 def w5(spark: SparkSession, d: str) -> Rows:
     """Rows stored by the tree part: compressed against all powers, printed keep-rule against the repaired one."""
     n = read_table(spark, d, "part", ["p_partkey"]).count()
-    trees = {"cactus": spanning_forest(graphs.ring_cactus(spark, d)), "chains": spanning_forest(graphs.chains(spark, d)), "broom": pointers.depths(graphs.broom(spark, d, n // 4, 6))}
+    trees = {"cactus": spanning_forest(graphs.ring_cactus(spark, d)), "chains": spanning_forest(graphs.chains(spark, d)), "broom": pointers.depths(graphs.broom(spark, d, n // 4, step_of(n // 4 - 1) - 1))}
     out = []
     for name, parents in trees.items():
         parents = settle(parents, "workload")
