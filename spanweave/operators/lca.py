@@ -13,6 +13,8 @@ from spanweave.operators.pointers import hop
 
 #: Single steps that one round takes at once.
 UNROLL = 4
+#: Stands for the common ancestor of vertices in different trees while queries run; no vertex has this id.
+APART = -1
 
 
 @dataclass
@@ -37,7 +39,7 @@ _STATE = ["qid", "u", "v", "a", "b", "da", "db", "pa", "pb", "a0", "b0", "da0",
 
 
 def _start(parents: DataFrame, queries: DataFrame) -> DataFrame:
-    """State of each query: a the deeper end; ends in different trees have no common ancestor and are marked by lca -1."""
+    """State of each query: a the deeper end; ends in different trees have no common ancestor and are marked APART."""
     both = hop(hop(queries.select("qid", "u", "v"), parents, "u", {"_du": "depth", "_ru": "root"}), parents, "v", {"_dv": "depth", "_rv": "root"})
     swap = F.col("_du") < F.col("_dv")
     pick = lambda x, y: F.when(swap, F.col(y)).otherwise(F.col(x))
@@ -76,7 +78,7 @@ def _finish(done: list[DataFrame]) -> DataFrame:
     out = done[0]
     for part in done[1:]:
         out = out.unionByName(part)
-    lca = F.when(F.col("lca") >= 0, F.col("lca"))
+    lca = F.when(F.col("lca") != APART, F.col("lca"))
     one, two = F.when(F.col("swapped"), F.col("pb")).otherwise(F.col("pa")), F.when(F.col("swapped"), F.col("pa")).otherwise(F.col("pb"))
     return out.select("qid", "u", "v", lca.alias("lca"), F.when(lca != F.col("u"), one).alias("child_u"), F.when(lca != F.col("v"), two).alias("child_v"))
 
@@ -182,13 +184,13 @@ def _by_doubling(parents: DataFrame, live: DataFrame) -> DataFrame:
 
 
 def _with_leaves(parents: DataFrame, queries: DataFrame, method: str) -> DataFrame:
-    """Every inner vertex gets an artificial leaf (-1 - v) below it, and stands for it in queries."""
+    """Every inner vertex gets an artificial leaf (-2 - v) below it, and stands for it in queries."""
     inner = parents.filter("v <> parent").select(F.col("parent").alias("v")).distinct().join(parents, "v")
-    leaf = inner.select((-1 - F.col("v")).alias("v"), F.col("v").alias("parent"), "root", (F.col("depth") + 1).alias("depth"))
+    leaf = inner.select((-2 - F.col("v")).alias("v"), F.col("v").alias("parent"), "root", (F.col("depth") + 1).alias("depth"))
     marks = inner.select("v", F.lit(1).alias("one"))
     moved = hop(hop(queries.select("qid", "u", "v"), marks, "u", {"_u": "one"}), marks, "v", {"_v": "one"})
-    asked = moved.select("qid", F.when(F.col("_u").isNotNull(), -1 - F.col("u")).otherwise(F.col("u")).alias("u"), F.when(F.col("_v").isNotNull(), -1 - F.col("v")).otherwise(F.col("v")).alias("v"))
+    asked = moved.select("qid", F.when(F.col("_u").isNotNull(), -2 - F.col("u")).otherwise(F.col("u")).alias("u"), F.when(F.col("_v").isNotNull(), -2 - F.col("v")).otherwise(F.col("v")).alias("v"))
     found = lca_batch(settle(parents.select("v", "parent", "root", "depth").unionByName(leaf), "leaves"), asked, method)
-    back = lambda c: F.when(F.col(c) < 0, -1 - F.col(c)).otherwise(F.col(c)).alias(c)
+    back = lambda c: F.when(F.col(c) < 0, -2 - F.col(c)).otherwise(F.col(c)).alias(c)
     bare = lambda c: F.when(F.col(c) >= 0, F.col(c)).alias(c)
     return found.select("qid", back("u"), back("v"), back("lca"), bare("child_u"), bare("child_v"))
