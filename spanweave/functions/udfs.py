@@ -5,9 +5,10 @@ from __future__ import annotations
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 
-@F.pandas_udf("string")
+@F.pandas_udf(T.StringType())
 def xor_edges(edges: pd.Series) -> str:
     """Symmetric difference of edge lists, each a string of blank-separated edges: what remains of two cycles put together. A grouped aggregate for small groups."""
     left: set[str] = set()
@@ -16,7 +17,7 @@ def xor_edges(edges: pd.Series) -> str:
     return " ".join(sorted(left))
 
 
-@F.udtf(returnType="src: bigint, dst: bigint")
+@F.udtf(returnType=T.StructType([T.StructField("src", T.LongType()), T.StructField("dst", T.LongType())]))
 class BridgesOf:
     """bridges_of(TABLE(...) WITH SINGLE PARTITION) of (src, dst) rows: one task, refused beyond LIMIT edges."""
 
