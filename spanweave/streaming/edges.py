@@ -11,12 +11,13 @@ from spanweave.operators.components import connected_components
 from spanweave.schema import vertex
 from spanweave.store import stash
 
-EVENTS = T.StructType([T.StructField("event_id", T.LongType()), T.StructField("user_id", T.LongType()), T.StructField("event_type", T.StringType()), T.StructField("ts", T.TimestampType()), T.StructField("value", T.DoubleType()), T.StructField("props", T.StringType())])
+EVENTS = T.StructType([T.StructField("event_id", T.LongType()), T.StructField("user_id", T.LongType()), T.StructField("event_type", T.StringType()), T.StructField("ts", T.TimestampNTZType()), T.StructField("value", T.DoubleType()), T.StructField("props", T.StringType())])
 
 
 def event_stream(spark: SparkSession, folder: str, schema: T.StructType | None = None, files: int = 1) -> DataFrame:
     """Events of Parquet files that appear in a folder, `files` a micro-batch."""
-    return spark.readStream.schema(schema or EVENTS).option("maxFilesPerTrigger", files).parquet(folder)
+    rows = spark.readStream.schema(schema or EVENTS).option("maxFilesPerTrigger", files).parquet(folder)
+    return rows.withColumn("ts", F.col("ts").cast("timestamp"))  # watermarks take no zoneless times
 
 
 def edge_stream(events: DataFrame, delay: str = "1 day") -> DataFrame:

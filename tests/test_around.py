@@ -4,12 +4,13 @@ import datetime as dt
 import time
 
 import pytest
+from pyspark.sql.types import LongType, StructField, StructType
 
 from spanweave import graphs
 from spanweave.functions.udfs import register_functions
 from spanweave.operators import measures
 from spanweave.plans import sqlviews
-from spanweave.schema import conform, vertex
+from spanweave.schema import EDGES, conform, vertex
 from spanweave.sources.tables import from_rows, read_edges, read_table, write_result
 from spanweave.streaming import edges as stream
 
@@ -32,7 +33,7 @@ def test_edge_files(spark, tmp_path):
     with pytest.raises(ValueError, match="format"):
         read_edges(spark, "x", "xml")
     with pytest.raises(ValueError, match="missing"):
-        conform(edges, graphs.read_table.__globals__["EDGES"].add("w", "long"))
+        conform(edges, StructType([*EDGES.fields, StructField("w", LongType())]))
 
 
 def test_bucketed_tables_join_without_a_shuffle(spark, tmp_path):
@@ -47,7 +48,9 @@ def test_bucketed_tables_join_without_a_shuffle(spark, tmp_path):
 
 
 def test_cuts_reach_the_scan(spark, sf):
+    spark.conf.set("spark.sql.maxMetadataStringLength", "4000")
     plan = graphs.trade_sparse(spark, sf)._jdf.queryExecution().executedPlan().toString()
+    spark.conf.unset("spark.sql.maxMetadataStringLength")
     assert "GreaterThanOrEqual(l_quantity,49.0)" in plan and "EqualTo(l_returnflag,R)" in plan
     assert "l_extendedprice" not in plan
 
@@ -60,7 +63,6 @@ def test_builders(spark):
     assert {tuple(r) for r in graphs.knn(some).collect()} == {(1, 2), (3, 4)}
     with pytest.raises(ValueError, match="one by one"):
         graphs.knn(some, rows=3)
-    assert vertex is not None
 
 
 def test_views_and_functions(spark):
