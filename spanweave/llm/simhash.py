@@ -111,14 +111,26 @@ def near_classes(docs: DataFrame, words: int = 3, radius: int = 2, segments: int
 
 
 # ---- classes by similarity
-#: 64-bit words of a wide fingerprint, and the words of its shingles.
-WIDE, SKETCH_WORDS = 12, 3
+#: Words of the sketched shingles; least 64-bit words of a wide fingerprint; bits from one segment's start to the next one's.
+SKETCH_WORDS, LEAST_WIDE, STRIDE = 3, 12, 8
+#: Share of bits in which two texts at a similarity of 0.8 over five-word shingles differ: words that change break five shingles of five
+#: words and three of three, so some 0.93 of the shorter ones are shared, and acos(0.93) / pi of the bits differ.
+EDGE_BITS = 0.12
 
 
-def wide_fingerprint(text: str, words: int = SKETCH_WORDS) -> list[int]:
-    """WIDE fingerprints of the same shingles under different hashes: their distance tells similarity to about one part in a hundred."""
+def ring(n: int) -> tuple[int, int]:
+    """(bits of a segment, 64-bit words of the ring) for `n` documents. Segments of log2(n) + 3 bits are seldom shared by chance. The ring grows with
+    them, as n to the power 0.18, so that three separate stretches of equal segments are to be expected at EDGE_BITS: a pair there is found
+    with a chance of some 1 - exp(-3) = 0.95 at every size, closer ones nearly always."""
+    width = min(56, max(16, int(np.ceil(np.log2(max(2, n)))) + 3))
+    stretches = 64 / STRIDE * (1 - (1 - EDGE_BITS) ** STRIDE) * (1 - EDGE_BITS) ** width  # a word's share
+    return width, max(LEAST_WIDE, int(np.ceil(3 / stretches)))
+
+
+def wide_fingerprint(text: str, wide: int = LEAST_WIDE, words: int = SKETCH_WORDS) -> list[int]:
+    """`wide` fingerprints of the same shingles under different hashes: their distance tells similarity to about one part in a hundred."""
     hashes = np.array(shingle_hashes(text, words), np.uint64)
-    steps = np.arange(1, WIDE + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)
+    steps = np.arange(1, wide + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)
     return [majority(mix(hashes + step)) for step in steps]
 
 
@@ -131,38 +143,37 @@ def similarity(a: str, b: str, words: int = 5) -> float:
 def similar_classes(docs: DataFrame, words: int = 5, least: float = 0.8, most_bits: float = 0.22, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """(doc_id, component_id) of the documents that are linked to others by a similarity of `least` or more over `words`-word shingles; component_id is the least doc_id of the class.
 
-    Candidates share one of the equal segments of a ring of WIDE fingerprints, some log2(documents) + 3 bits long, so that few unrelated ones do. In each segment's group every
+    Candidates share a segment of a ring of wide fingerprints at the same place (`ring` gives the sizes). In each segment's group every
     document is held against the group's least one, never all against all; that takes one combinable minimum a group, however large. A candidate pair is dropped if over `most_bits` of all bits differ, and
     the rest are linked if their shingles are as similar as asked. Null ids are left out; null texts are empty, and texts without words are alike. Found pairs are exact; a pair just above `least` is missed
     if no segment is equal (tests measure a recall of over 0.9)."""
     rows = texts(docs, doc_id, text).filter("doc_id is not null")
+    width, wide = ring(rows.count())
 
     def work(batches):
         for batch in batches:
             for at in range(0, batch.num_rows, 256):
                 part = batch.slice(at, 256)
-                bits = np.array([wide_fingerprint(t) for t in part.column(1).to_pylist()], np.uint64).reshape(-1, WIDE)
-                yield pa.RecordBatch.from_arrays([part.column(0), *(pa.array(np.ascontiguousarray(bits[:, k]).view(np.int64)) for k in range(WIDE))], ["doc_id", *(f"b{k}" for k in range(WIDE))])
+                bits = np.array([wide_fingerprint(t, wide) for t in part.column(1).to_pylist()], np.uint64).reshape(-1, wide)
+                yield pa.RecordBatch.from_arrays([part.column(0), *(pa.array(np.ascontiguousarray(bits[:, k]).view(np.int64)) for k in range(wide))], ["doc_id", *(f"b{k}" for k in range(wide))])
 
-    prints = stash(rows.mapInArrow(work, "doc_id long, " + ", ".join(f"b{k} long" for k in range(WIDE))))
-    n = prints.count()
-    width = min(32, max(16, int(np.ceil(np.log2(max(2, n)))) + 3))
+    prints = stash(rows.mapInArrow(work, "doc_id long, " + ", ".join(f"b{k} long" for k in range(wide))))
 
     def segment(k: int) -> Column:
-        """Bits k * width and on of the ring."""
-        word, shift = divmod(k * width, 64)
+        """Bits k * STRIDE and on of the ring."""
+        word, shift = divmod(k * STRIDE, 64)
         low = F.shiftrightunsigned(F.col(f"b{word}"), shift)
         if shift + width > 64:
-            low = low.bitwiseOR(F.shiftleft(F.col(f"b{word + 1}"), 64 - shift))
+            low = low.bitwiseOR(F.shiftleft(F.col(f"b{(word + 1) % wide}"), 64 - shift))
         return low.bitwiseAND(F.lit((1 << width) - 1))
 
-    keys = F.explode(F.array(*(F.struct(F.lit(k).alias("k"), segment(k).alias("key")) for k in range(64 * WIDE // width)))).alias("s")
+    keys = F.explode(F.array(*(F.struct(F.lit(k).alias("k"), segment(k).alias("key")) for k in range(64 * wide // STRIDE)))).alias("s")
     keyed = prints.select("doc_id", keys).select("doc_id", "s.k", "s.key")
     heads = stash(keyed.groupBy("k", "key").agg(F.min("doc_id").alias("head"), F.max("doc_id").alias("_last")).filter("head <> _last").drop("_last"))
     pairs = stash(keyed.join(heads.hint("merge"), ["k", "key"]).filter("doc_id <> head").select("doc_id", "head").distinct())
-    other = prints.select(F.col("doc_id").alias("head"), *(F.col(f"b{k}").alias(f"c{k}") for k in range(WIDE)))
-    differ = sum((F.bit_count(F.col(f"b{k}").bitwiseXOR(F.col(f"c{k}"))) for k in range(WIDE)), F.lit(0))
-    near = pairs.join(prints.hint("merge"), "doc_id").join(other.hint("merge"), "head").filter(differ <= int(most_bits * 64 * WIDE))
+    other = prints.select(F.col("doc_id").alias("head"), *(F.col(f"b{k}").alias(f"c{k}") for k in range(wide)))
+    differ = sum((F.bit_count(F.col(f"b{k}").bitwiseXOR(F.col(f"c{k}"))) for k in range(wide)), F.lit(0))
+    near = pairs.join(prints.hint("merge"), "doc_id").join(other.hint("merge"), "head").filter(differ <= int(most_bits * 64 * wide))
     near = stash(near.select("doc_id", "head").distinct())
 
     def judge(batches):

@@ -184,3 +184,29 @@ def test_components_of_links(spark):
             x, y = sorted((up[a], up[b]))
             up = {k: (x if v == y else v) for k, v in up.items()}
     assert dict(components(spark.createDataFrame(pairs, "u long, v long")).collect()) == up
+
+
+@pytest.mark.parametrize("n", [100, 200_000, 8_000_000, 20_000_000_000])
+def test_the_ring_finds_pairs_at_the_edge_alike_at_every_size(n):
+    """Pairs that differ in EDGE_BITS of their bits share a segment in nine of ten cases at least."""
+    width, wide = simhash.ring(n)
+    trials, size = 400, 64 * wide
+    equal = np.random.default_rng(n).random((trials, size)) >= simhash.EDGE_BITS
+    turned = np.concatenate([equal, equal[:, :width]], axis=1)
+    run = np.cumsum(np.pad(turned, ((0, 0), (1, 0))), axis=1, dtype=np.int64)
+    whole = (run[:, width : width + size] - run[:, :size])[:, :: simhash.STRIDE] == width
+    assert whole.any(axis=1).mean() >= 0.9
+
+
+def test_bits_that_differ_at_the_edge_of_similarity():
+    """Texts at a similarity of 0.8 over five words differ in some EDGE_BITS of their wide fingerprints."""
+    rng, shares = np.random.default_rng(5), []
+    for _ in range(40):
+        words = rng.integers(0, 10**6, 600).astype(str)
+        other = words.copy()
+        other[rng.choice(600, 13, replace=False)] = "changed"
+        a, b = " ".join(words), " ".join(other)
+        if 0.78 < simhash.similarity(a, b) < 0.84:
+            x, y = (np.array(simhash.wide_fingerprint(t), np.uint64) for t in (a, b))
+            shares.append(np.bitwise_count(x ^ y).sum() / (64 * simhash.LEAST_WIDE))
+    assert len(shares) > 10 and abs(np.mean(shares) - simhash.EDGE_BITS) < 0.03
