@@ -112,7 +112,7 @@ def near_classes(docs: DataFrame, words: int = 3, radius: int = 2, segments: int
 
 # ---- classes by similarity
 #: Words of the sketched shingles; least 64-bit words of a wide fingerprint; bits from one segment's start to the next one's.
-SKETCH_WORDS, LEAST_WIDE, STRIDE = 3, 12, 8
+SKETCH_WORDS, LEAST_WIDE, STRIDE = 3, 12, 16
 #: Share of bits in which two texts at a similarity of 0.8 over five-word shingles differ: words that change break five shingles of five
 #: words and three of three, so some 0.93 of the shorter ones are shared, and acos(0.93) / pi of the bits differ.
 EDGE_BITS = 0.12
