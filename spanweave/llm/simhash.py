@@ -111,23 +111,29 @@ def near_classes(docs: DataFrame, words: int = 3, radius: int = 2, segments: int
 
 
 # ---- classes by similarity
-#: Words of the sketched shingles; least 64-bit words of a wide fingerprint; bits from one segment's start to the next one's.
-SKETCH_WORDS, LEAST_WIDE, STRIDE = 3, 12, 16
-#: Share of bits in which two texts at a similarity of 0.8 over five-word shingles differ: words that change break five shingles of five
-#: words and three of three, so some 0.93 of the shorter ones are shared, and acos(0.93) / pi of the bits differ.
-EDGE_BITS = 0.12
+#: Least 64-bit words of a wide fingerprint; bits from one segment's start to the next one's.
+LEAST_WIDE, STRIDE = 12, 8
 
 
-def ring(n: int) -> tuple[int, int]:
+def edge_bits(least: float) -> float:
+    """Share of bits in which two sets at a similarity of `least` differ, at most: what they share is 2 least / (1 + least) of their mean size or more,
+    and so is their cosine, whatever kind of edit lies between them (a geometric mean is never above the arithmetic one)."""
+    return float(np.arccos(2 * least / (1 + least)) / np.pi)
+
+
+EDGE_BITS = edge_bits(0.8)
+
+
+def ring(n: int, edge: float = EDGE_BITS) -> tuple[int, int]:
     """(bits of a segment, 64-bit words of the ring) for `n` documents. Segments of log2(n) + 3 bits are seldom shared by chance. The ring grows with
-    them, as n to the power 0.18, so that three separate stretches of equal segments are to be expected at EDGE_BITS: a pair there is found
+    them, as n to the power 0.24, so that three separate stretches of equal segments are to be expected where `edge` of the bits differ: a pair there is found
     with a chance of some 1 - exp(-3) = 0.95 at every size, closer ones nearly always."""
     width = min(56, max(16, int(np.ceil(np.log2(max(2, n)))) + 3))
-    stretches = 64 / STRIDE * (1 - (1 - EDGE_BITS) ** STRIDE) * (1 - EDGE_BITS) ** width  # a word's share
+    stretches = 64 / STRIDE * (1 - (1 - edge) ** STRIDE) * (1 - edge) ** width  # a word's share
     return width, max(LEAST_WIDE, int(np.ceil(3 / stretches)))
 
 
-def wide_fingerprint(text: str, wide: int = LEAST_WIDE, words: int = SKETCH_WORDS) -> list[int]:
+def wide_fingerprint(text: str, wide: int = LEAST_WIDE, words: int = 5) -> list[int]:
     """`wide` fingerprints of the same shingles under different hashes: their distance tells similarity to about one part in a hundred."""
     hashes = np.array(shingle_hashes(text, words), np.uint64)
     steps = np.arange(1, wide + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)
@@ -148,13 +154,13 @@ def similar_classes(docs: DataFrame, words: int = 5, least: float = 0.8, most_bi
     the rest are linked if their shingles are as similar as asked. Null ids are left out; null texts are empty, and texts without words are alike. Found pairs are exact; a pair just above `least` is missed
     if no segment is equal (tests measure a recall of over 0.9)."""
     rows = texts(docs, doc_id, text).filter("doc_id is not null")
-    width, wide = ring(rows.count())
+    width, wide = ring(rows.count(), edge_bits(least))
 
     def work(batches):
         for batch in batches:
             for at in range(0, batch.num_rows, 256):
                 part = batch.slice(at, 256)
-                bits = np.array([wide_fingerprint(t, wide) for t in part.column(1).to_pylist()], np.uint64).reshape(-1, wide)
+                bits = np.array([wide_fingerprint(t, wide, words) for t in part.column(1).to_pylist()], np.uint64).reshape(-1, wide)
                 yield pa.RecordBatch.from_arrays([part.column(0), *(pa.array(np.ascontiguousarray(bits[:, k]).view(np.int64)) for k in range(wide))], ["doc_id", *(f"b{k}" for k in range(wide))])
 
     prints = stash(rows.mapInArrow(work, "doc_id long, " + ", ".join(f"b{k} long" for k in range(wide))))

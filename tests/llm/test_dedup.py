@@ -175,6 +175,32 @@ def test_similar_documents_are_found(spark, small, nothing, odd):
     assert {r.doc_id for r in simhash.similar_classes(odd).collect()} >= {1, 2, 3, 5, 6}
 
 
+@pytest.mark.parametrize("n", [1000, 200_000, 12_000_000])
+@pytest.mark.parametrize("kind", ["appended", "replaced", "scattered"])
+def test_every_kind_of_edit_at_the_edge_is_found_at_every_size(n, kind):
+    """Texts at 0.8 to each other share a segment in nine of ten cases, wherever their differences stand."""
+    width, wide = simhash.ring(n)
+    rng, found = np.random.default_rng(n), []
+
+    def ring_bits(words):
+        bits = np.unpackbits(np.array(simhash.wide_fingerprint(" ".join(words), wide), "<u8").view(np.uint8), bitorder="little")
+        return np.concatenate([bits, bits[:width]])
+
+    for _ in range(120):
+        words = rng.integers(0, 10**6, 604).astype(str)
+        other = words.copy()
+        if kind == "appended":
+            other = np.concatenate([words, rng.integers(0, 10**6, 148).astype(str)])
+        elif kind == "replaced":
+            other[300:361] = rng.integers(0, 10**6, 61).astype(str)
+        else:
+            other[rng.choice(120, 13, replace=False) * 5 + 2] = "changed"
+        assert 0.795 < simhash.similarity(" ".join(words), " ".join(other)) < 0.825
+        run = np.cumsum(np.pad((ring_bits(words) == ring_bits(other)).astype(int), (1, 0)))
+        found.append(((run[width:] - run[:-width])[: 64 * wide : simhash.STRIDE] == width).any())
+    assert np.mean(found) >= 0.9
+
+
 def test_components_of_links(spark):
     rng = random.Random(6)
     pairs = [(rng.randrange(200), rng.randrange(200)) for _ in range(120)] + [(k, k + 1) for k in range(300, 380)] + [(1000, k) for k in range(1001, 1100)]
