@@ -134,8 +134,8 @@ def ring(n: int, edge: float = EDGE_BITS) -> tuple[int, int]:
 
 
 def wide_fingerprint(text: str, wide: int = LEAST_WIDE, words: int = 5) -> list[int]:
-    """`wide` fingerprints of the same shingles under different hashes: their distance tells similarity to about one part in a hundred."""
-    hashes = np.array(shingle_hashes(text, words), np.uint64)
+    """`wide` fingerprints of the same set of shingles (each counts once, as in `similarity`) under different hashes: their distance tells similarity to about one part in a hundred."""
+    hashes = np.unique(np.array(shingle_hashes(text, words), np.uint64))
     steps = np.arange(1, wide + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)
     return [majority(mix(hashes + step)) for step in steps]
 
@@ -146,15 +146,17 @@ def similarity(a: str, b: str, words: int = 5) -> float:
     return len(x & y) / len(x | y) if x or y else 1.0
 
 
-def similar_classes(docs: DataFrame, words: int = 5, least: float = 0.8, most_bits: float = 0.22, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+def similar_classes(docs: DataFrame, words: int = 5, least: float = 0.8, most_bits: float | None = None, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """(doc_id, component_id) of the documents that are linked to others by a similarity of `least` or more over `words`-word shingles; component_id is the least doc_id of the class.
 
     Candidates share a segment of a ring of wide fingerprints at the same place (`ring` gives the sizes). In each segment's group every
-    document is held against the group's least one, never all against all; that takes one combinable minimum a group, however large. A candidate pair is dropped if over `most_bits` of all bits differ, and
+    document is held against the group's least one, never all against all; that takes one combinable minimum a group, however large. A candidate pair is dropped if over `most_bits` of all bits differ (default: a tenth more than at `least`), and
     the rest are linked if their shingles are as similar as asked. Null ids are left out; null texts are empty, and texts without words are alike. Found pairs are exact; a pair just above `least` is missed
     if no segment is equal (tests measure a recall of over 0.9)."""
     rows = texts(docs, doc_id, text).filter("doc_id is not null")
-    width, wide = ring(rows.count(), edge_bits(least))
+    edge = edge_bits(least)
+    width, wide = ring(rows.count(), edge)
+    limit = int((edge + 0.1 if most_bits is None else most_bits) * 64 * wide)
 
     def work(batches):
         for batch in batches:
@@ -179,7 +181,7 @@ def similar_classes(docs: DataFrame, words: int = 5, least: float = 0.8, most_bi
     pairs = stash(keyed.join(heads.hint("merge"), ["k", "key"]).filter("doc_id <> head").select("doc_id", "head").distinct())
     other = prints.select(F.col("doc_id").alias("head"), *(F.col(f"b{k}").alias(f"c{k}") for k in range(wide)))
     differ = sum((F.bit_count(F.col(f"b{k}").bitwiseXOR(F.col(f"c{k}"))) for k in range(wide)), F.lit(0))
-    near = pairs.join(prints.hint("merge"), "doc_id").join(other.hint("merge"), "head").filter(differ <= int(most_bits * 64 * wide))
+    near = pairs.join(prints.hint("merge"), "doc_id").join(other.hint("merge"), "head").filter(differ <= limit)
     near = stash(near.select("doc_id", "head").distinct())
 
     def judge(batches):

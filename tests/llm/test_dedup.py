@@ -201,6 +201,19 @@ def test_every_kind_of_edit_at_the_edge_is_found_at_every_size(n, kind):
     assert np.mean(found) >= 0.9
 
 
+@pytest.mark.parametrize("times", [10, 50])
+def test_a_repeated_line_counts_once(spark, times):
+    """Repeats of a line change no set of shingles, so they change few bits and lose no pair."""
+    rng = np.random.default_rng(times)
+    words, line = rng.integers(0, 10**6, 500).astype(str).tolist(), rng.integers(0, 10**6, 10).astype(str).tolist()
+    a, b = " ".join(words + line), " ".join(words + line * times)
+    assert simhash.similarity(a, b) > 0.95
+    x, y = (np.array(simhash.wide_fingerprint(t), np.uint64) for t in (a, b))
+    assert np.bitwise_count(x ^ y).sum() / (64 * simhash.LEAST_WIDE) < 0.1
+    got = simhash.similar_classes(spark.createDataFrame([(1, a), (2, b)], "doc_id long, text string")).collect()
+    assert {(r.doc_id, r.component_id) for r in got} == {(1, 1), (2, 1)}
+
+
 def test_components_of_links(spark):
     rng = random.Random(6)
     pairs = [(rng.randrange(200), rng.randrange(200)) for _ in range(120)] + [(k, k + 1) for k in range(300, 380)] + [(1000, k) for k in range(1001, 1100)]
