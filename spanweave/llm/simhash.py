@@ -113,6 +113,8 @@ def near_classes(docs: DataFrame, words: int = 3, radius: int = 2, segments: int
 # ---- classes by similarity
 #: Least 64-bit words of a wide fingerprint; bits from one segment's start to the next one's.
 LEAST_WIDE, STRIDE = 12, 8
+#: Groups of up to SMALL documents are compared in pairs by a join, larger ones in blocks of BLOCK documents.
+SMALL, BLOCK = 16, 256
 
 
 def edge_bits(least: float) -> float:
@@ -142,17 +144,54 @@ def wide_fingerprint(text: str, wide: int = LEAST_WIDE, words: int = 5) -> list[
 
 def similarity(a: str, b: str, words: int = 5) -> float:
     """Shared part of all different word shingles of two texts; two texts without words are alike."""
-    x, y = {*shingle_hashes(a, words)}, {*shingle_hashes(b, words)}
+    return _alike({*shingle_hashes(a, words)}, {*shingle_hashes(b, words)})
+
+
+def _alike(x: set[int], y: set[int]) -> float:
     return len(x & y) / len(x | y) if x or y else 1.0
 
 
+def _linked_in_block(ids: list[int], classes: list[int], sides: np.ndarray, bits: np.ndarray, shingles, limit: int, least: float) -> list[tuple[int, int]]:
+    """Links that join different classes, among the documents of one block (all of side 0) or between two (sides 0 and 1). Near pairs come first, and
+    a pair whose classes have met by then is passed over: it would join nothing."""
+    root: dict[int, int] = {}
+
+    def find(x: int) -> int:
+        while root.get(x, x) != x:
+            x = root[x]
+        return x
+
+    near, of = [], np.array(classes)
+    for i in range(len(ids)):
+        away = np.bitwise_count(bits[i + 1 :] ^ bits[i]).sum(axis=1, dtype=np.int64)
+        wanted = (away <= limit) & (of[i + 1 :] != of[i])
+        if sides.any():
+            wanted &= sides[i + 1 :] != sides[i]
+        near += [(int(away[j]), i, i + 1 + int(j)) for j in np.flatnonzero(wanted)]
+    sets: dict[int, set[int]] = {}
+    out = []
+    for _, i, j in sorted(near):
+        a, b = find(classes[i]), find(classes[j])
+        if a == b:
+            continue
+        for k in (i, j):
+            if k not in sets:
+                sets[k] = shingles(k)
+        if _alike(sets[i], sets[j]) >= least:
+            root[a] = b
+            out.append((ids[i], ids[j]))
+    return out
+
+
 def similar_classes(docs: DataFrame, words: int = 5, least: float = 0.8, most_bits: float | None = None, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """(doc_id, component_id) of the documents that are linked to others by a similarity of `least` or more over `words`-word shingles; component_id is the least doc_id of the class.
 
-    Candidates share a segment of a ring of wide fingerprints at the same place (`ring` gives the sizes). In each segment's group every
-    document is held against the group's least one, never all against all; that takes one combinable minimum a group, however large. A candidate pair is dropped if over `most_bits` of all bits differ (default: a tenth more than at `least`), and
-    the rest are linked if their shingles are as similar as asked. Null ids are left out; null texts are empty, and texts without words are alike. Found pairs are exact; a pair just above `least` is missed
-    if no segment is equal (tests measure a recall of over 0.9)."""
+    Candidates share a segment of a ring of wide fingerprints at the same place (`ring` gives the sizes). A pair is dropped if over `most_bits` of all bits
+    differ (default: a tenth more than at `least`), and the rest are linked if their shingles are as similar as asked. In every segment group each
+    document is first held against the least one, one combinable minimum a group. Then the group's documents that are not yet in one class are compared with
+    each other, in pairs in groups of up to SMALL documents and block by block in larger ones, until no two classes of the group are left uncompared. Null ids
+    are left out; null texts are empty, and texts without words are alike. Found pairs are exact; a pair just above `least` is missed if no segment is equal
+    (tests measure a recall of over 0.9)."""
     rows = texts(docs, doc_id, text).filter("doc_id is not null")
     edge = edge_bits(least)
     width, wide = ring(rows.count(), edge)
@@ -177,18 +216,56 @@ def similar_classes(docs: DataFrame, words: int = 5, least: float = 0.8, most_bi
 
     keys = F.explode(F.array(*(F.struct(F.lit(k).alias("k"), segment(k).alias("key")) for k in range(64 * wide // STRIDE)))).alias("s")
     keyed = prints.select("doc_id", keys).select("doc_id", "s.k", "s.key")
-    heads = stash(keyed.groupBy("k", "key").agg(F.min("doc_id").alias("head"), F.max("doc_id").alias("_last")).filter("head <> _last").drop("_last"))
-    pairs = stash(keyed.join(heads.hint("merge"), ["k", "key"]).filter("doc_id <> head").select("doc_id", "head").distinct())
+    heads = stash(keyed.groupBy("k", "key").agg(F.min("doc_id").alias("head"), F.max("doc_id").alias("_last"), F.count(F.lit(1)).alias("n")).filter("head <> _last").drop("_last"))
+    members = stash(keyed.join(heads.hint("merge"), ["k", "key"]).select("k", "key", "n", "head", "doc_id"))
     other = prints.select(F.col("doc_id").alias("head"), *(F.col(f"b{k}").alias(f"c{k}") for k in range(wide)))
     differ = sum((F.bit_count(F.col(f"b{k}").bitwiseXOR(F.col(f"c{k}"))) for k in range(wide)), F.lit(0))
-    near = pairs.join(prints.hint("merge"), "doc_id").join(other.hint("merge"), "head").filter(differ <= limit)
-    near = stash(near.select("doc_id", "head").distinct())
 
     def judge(batches):
         for batch in batches:
             found = [similarity(a, b, words) >= least for a, b in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True)]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1)], ["u", "v"]).filter(pa.array(found, pa.bool_()))
 
-    both = near.join(rows.hint("merge"), "doc_id").join(rows.select(F.col("doc_id").alias("head"), F.col("text").alias("other")).hint("merge"), "head")
-    linked = stash(both.select(F.col("head").alias("u"), F.col("doc_id").alias("v"), "text", "other").mapInArrow(judge, "u long, v long"))
-    return components(linked).select(F.col("key").alias("doc_id"), F.col("component").alias("component_id"))
+    def judged(candidates: DataFrame) -> DataFrame:
+        """(u, v) of those pairs (doc_id, head) that are as similar as asked."""
+        pairs = stash(candidates.distinct())
+        near = pairs.join(prints.hint("merge"), "doc_id").join(other.hint("merge"), "head").filter(differ <= limit)
+        near = stash(near.select("doc_id", "head").distinct())
+        both = near.join(rows.hint("merge"), "doc_id").join(rows.select(F.col("doc_id").alias("head"), F.col("text").alias("other")).hint("merge"), "head")
+        return stash(both.select(F.col("head").alias("u"), F.col("doc_id").alias("v"), "text", "other").mapInArrow(judge, "u long, v long"))
+
+    classes = stash(components(judged(members.filter("doc_id <> head").select("doc_id", "head"))).select(F.col("key").alias("doc_id"), F.col("component").alias("class")))
+
+    # What the stars left apart: groups with more than one class.
+    placed = stash(members.filter("n > 2").join(classes.hint("merge"), "doc_id", "left").select("k", "key", "n", "head", "doc_id", F.coalesce("class", "doc_id").alias("class")))
+    split = stash(placed.groupBy("k", "key").agg(F.min("class").alias("_a"), F.max("class").alias("_b")).filter("_a <> _b").select("k", "key"))
+    placed = stash(placed.join(split.hint("merge"), ["k", "key"]))
+    few = placed.filter(f"n <= {SMALL} and doc_id <> head")
+    others = few.select(F.col("k").alias("k2"), F.col("key").alias("key2"), F.col("doc_id").alias("first"), F.col("class").alias("class2"))
+    apart = few.join(others.hint("merge"), F.expr("k = k2 and key = key2 and first < doc_id and class <> class2"))
+    more = judged(apart.select("doc_id", F.col("first").alias("head")))
+
+    def block_links(table: pa.Table) -> pa.Table:
+        table = table.sort_by("doc_id")
+        bits = np.stack([table.column(f"b{k}").to_numpy().view(np.uint64) for k in range(wide)], axis=1)
+        body = table.column("text")
+        shingles = lambda i: {*shingle_hashes(body[i].as_py(), words)}
+        found = _linked_in_block(table.column("doc_id").to_pylist(), table.column("class").to_pylist(), table.column("side").to_numpy(), bits, shingles, limit, least)
+        return pa.table([pa.array([x[i] for x in found], pa.int64()) for i in (0, 1)], ["u", "v"])
+
+    # Every block of a group meets itself and every later block; `side` tells the two apart.
+    blocks = F.ceil(F.col("n") / BLOCK).cast("int")
+    cut = placed.filter(f"n > {SMALL}").withColumn("blocks", blocks).withColumn("own", F.pmod(F.xxhash64("doc_id"), F.col("blocks")).cast("int"))
+    meets = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("met")
+    cut = cut.select("k", "key", "doc_id", "class", "own", meets).select("k", "key", "doc_id", "class", F.least("own", "met").alias("i"), F.greatest("own", "met").alias("j"), (F.col("own") > F.col("met")).cast("int").alias("side"))
+    full = cut.join(prints.hint("merge"), "doc_id").join(rows.hint("merge"), "doc_id")
+    more = more.unionByName(full.groupBy("k", "key", "i", "j").applyInArrow(block_links, "u long, v long"))
+
+    # The later links join classes; a document without a class is its own.
+    for end in ("u", "v"):
+        of = classes.select(F.col("doc_id").alias(end), F.col("class").alias(f"of_{end}"))
+        more = more.join(of.hint("merge"), end, "left").withColumn(f"of_{end}", F.coalesce(f"of_{end}", end))
+    joined = stash(components(stash(more.select(F.col("of_u").alias("u"), F.col("of_v").alias("v")).distinct())))
+    moved = classes.join(joined.hint("merge"), F.col("class") == F.col("key"), "left").select("doc_id", F.coalesce("component", "class").alias("component_id"))
+    lone = joined.join(classes.hint("merge"), F.col("key") == F.col("doc_id"), "left_anti").select(F.col("key").alias("doc_id"), F.col("component").alias("component_id"))
+    return moved.unionByName(lone)

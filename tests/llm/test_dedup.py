@@ -175,6 +175,40 @@ def test_similar_documents_are_found(spark, small, nothing, odd):
     assert {r.doc_id for r in simhash.similar_classes(odd).collect()} >= {1, 2, 3, 5, 6}
 
 
+@pytest.mark.parametrize(("few", "block"), [(16, 256), (2, 4)])
+def test_families_of_merely_alike_texts_hide_no_pairs(spark, monkeypatch, few, block):
+    """300 texts that differ in one slot are 0.7 alike; among the later ones stand pairs whose slots are half equal."""
+    monkeypatch.setattr(simhash, "SMALL", few)
+    monkeypatch.setattr(simhash, "BLOCK", block)
+    rng = np.random.default_rng(3)
+    draw = lambda n: rng.integers(0, 10**6, n).astype(str).tolist()
+    frame, rows = draw(494), []
+    for d in range(300):
+        rows.append((d, frame[:200] + draw(106) + frame[200:]))
+    for d in range(300, 340, 2):
+        slot = draw(106)
+        rows += [(d, frame[:200] + slot + frame[200:]), (d + 1, frame[:200] + slot[:60] + draw(46) + frame[200:])]
+    rows = [(d, " ".join(w)) for d, w in rows]
+    assert 0.6 < simhash.similarity(rows[0][1], rows[301][1]) < 0.78 and all(simhash.similarity(rows[d][1], rows[d + 1][1]) > 0.82 for d in range(300, 340, 2))
+    got = {r.doc_id: r.component_id for r in simhash.similar_classes(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert set(got.items()) <= {(d, d // 2 * 2) for d in range(300, 340)}
+    assert len(got) >= 36
+
+
+def test_blocks_join_classes_and_only_those():
+    """Links found in a block leave the classes that all pairs would give."""
+    rng = np.random.default_rng(8)
+    texts = [rng.integers(0, 99, 40).astype(str).tolist() for _ in range(6)]
+    texts = [" ".join(t[:39] + [f"end{k}"]) for t in texts for k in range(3)]
+    ids = list(range(len(texts)))
+    bits = np.array([simhash.wide_fingerprint(t) for t in texts], np.uint64)
+    shingles = lambda i: {*simhash.shingle_hashes(texts[i], 5)}
+    for sides, want in ((np.zeros(18, int), 12), (np.arange(18) % 2, 12)):
+        links = simhash._linked_in_block(ids, ids, sides, bits, shingles, 64 * simhash.LEAST_WIDE, 0.8)
+        assert len(links) == want and all(u // 3 == v // 3 and (not sides.any() or sides[u] != sides[v]) for u, v in links)
+    assert simhash._linked_in_block(ids, [0] * 18, np.zeros(18, int), bits, shingles, 64 * simhash.LEAST_WIDE, 0.8) == []
+
+
 @pytest.mark.parametrize("n", [1000, 200_000, 12_000_000])
 @pytest.mark.parametrize("kind", ["appended", "replaced", "scattered"])
 def test_every_kind_of_edit_at_the_edge_is_found_at_every_size(n, kind):
