@@ -14,7 +14,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from spanweave.llm.shared import texts
+from spanweave.llm.shared import stash, texts
 
 #: Bytes of a passage.
 PASSAGE = 512
@@ -138,9 +138,9 @@ def held_out(doc_id):
     return F.crc32(doc_id.cast("string")) % 5 == 0
 
 
-def train(docs: DataFrame, labels: DataFrame, sample: int = 4000, longest: int = 48, **options) -> Attention:
-    """Fit on at most `sample` labelled rows that are not held out (those with the least hashed ids, all if there are fewer), at most
-    `longest` passages of each, evenly spread. Null labels and labels of unknown documents are passed over; of several labels of one
+def train(docs: DataFrame, labels: DataFrame, sample: int = 4000, most_passages: int = 200_000, **options) -> Attention:
+    """Fit on at most `sample` labelled rows that are not held out (those with the least hashed ids, all if there are fewer), with every passage of each.
+    Rows are taken until they have `most_passages` passages, so very long texts make fewer rows, never thinner ones. Null labels and labels of unknown documents are passed over; of several labels of one
     document the highest counts."""
     known = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("quality").cast("int").alias("label")).filter("label is not null and doc_id is not null")
     known = known.filter(~held_out(F.col("doc_id"))).groupBy("doc_id").agg(F.max("label").alias("label"))
@@ -148,24 +148,26 @@ def train(docs: DataFrame, labels: DataFrame, sample: int = 4000, longest: int =
 
     def work(batches):
         for batch in batches:
-            rows = []
-            for text in batch.column(2).to_pylist():
-                x = passages(text)
-                rows.append(x[np.unique(np.linspace(0, len(x) - 1, longest).astype(int))] if len(x) > longest else x)
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array([x.ravel() for x in rows], pa.list_(pa.float32()))], ["doc_id", "label", "features"])
-
-    rows = texts(docs).join(F.broadcast(some), "doc_id").select("doc_id", "label", "text").mapInArrow(work, "doc_id long, label int, features array<float>")
+            rows = [passages(text).ravel() for text in batch.column(2).to_pylist()]
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(rows, pa.list_(pa.float32()))], ["doc_id", "label", "features"])
+
+    rows = stash(texts(docs).join(F.broadcast(some), "doc_id").select("doc_id", "label", "text").mapInArrow(work, "doc_id long, label int, features array<float>"))
+    sizes = rows.groupBy("doc_id").agg((F.sum(F.size("features")) / FEATURES).alias("n")).orderBy(F.xxhash64("doc_id"), "doc_id").collect()
+    before = np.cumsum([0, *(r["n"] for r in sizes)])[:-1]
+    taken = [r["doc_id"] for r, n in zip(sizes, before, strict=True) if n < most_passages]
+    if len(taken) < len(sizes):
+        rows = rows.filter(F.col("doc_id").isin(taken))
     got = rows.toArrow().sort_by("doc_id")
     bags = [np.asarray(x.values, np.float32).reshape(-1, FEATURES) for x in got.column("features")]
     return Attention.fit(bags, np.array(got.column("label").to_pylist(), np.float32), **options)
 
 
-def quality_scores(docs: DataFrame, labels: DataFrame, threshold: float = 0.3, sample: int = 4000) -> DataFrame:
+def quality_scores(docs: DataFrame, labels: DataFrame, threshold: float = 0.3, sample: int = 4000, most_passages: int = 200_000) -> DataFrame:
     """One row per row of `docs`: doc_id, held_out, score (0 to 1, higher: label 1 likelier), predicted (1 from `threshold` on).
 
     Null and empty texts are scored as one empty passage. A null doc_id is not held out. An empty table gives no rows, an empty label table the
     constant score one half; repeated rows are scored alike; other columns are ignored."""
-    model = train(docs, labels, sample)
+    model = train(docs, labels, sample, most_passages)
 
     def work(batches):
         for batch in batches:
@@ -178,9 +180,9 @@ def quality_scores(docs: DataFrame, labels: DataFrame, threshold: float = 0.3, s
     return scored.select("doc_id", F.coalesce(held_out(F.col("doc_id")), F.lit(False)).alias("held_out"), "score", (F.col("score") >= threshold).cast("int").alias("predicted"))
 
 
-def keep_good(docs: DataFrame, labels: DataFrame, threshold: float = 0.3, sample: int = 4000) -> DataFrame:
+def keep_good(docs: DataFrame, labels: DataFrame, threshold: float = 0.3, sample: int = 4000, most_passages: int = 200_000) -> DataFrame:
     """The rows of `docs` that score `threshold` or more, all columns as they are, in one pass without a shuffle."""
-    model, at = train(docs, labels, sample), docs.columns.index("text")
+    model, at = train(docs, labels, sample, most_passages), docs.columns.index("text")
 
     def work(batches):
         for batch in batches:

@@ -131,3 +131,14 @@ def test_every_document_has_its_place(spark, odd, nothing, small):
     places = {r.doc_id: r.position for r in mixing.schedule(small).collect()}
     assert [r.doc_id for r in mixed.collect()] == sorted(places, key=places.get) and mixed.columns == small.columns
     assert mixing.mixed(odd).count() == 11
+
+
+def test_training_reads_every_passage_of_the_rows_it_takes(spark, monkeypatch):
+    seen = []
+    monkeypatch.setattr(quality.Attention, "fit", staticmethod(lambda bags, labels, **_: seen.append([len(b) for b in bags])))
+    docs = spark.createDataFrame([(d, "word " * (102 * 60)) for d in range(20)], "doc_id long, text string")
+    labels = spark.createDataFrame([(d, d % 2) for d in range(20)], "doc_id long, quality int")
+    whole = len(quality.passages("word " * (102 * 60)))
+    quality.train(docs, labels)
+    quality.train(docs, labels, most_passages=3 * whole)
+    assert whole > 48 and {*seen[0]} == {whole} and len(seen[0]) > 3 and seen[1] == [whole] * 3
