@@ -6,18 +6,21 @@ symbols, NFC / white space / lower-case normaliser, one splitting pattern) and a
 Encoding. A piece (what the splitting pattern finds) is encoded on its own. A long piece is halved again and again;
 the halves are encoded apart and joined by re-encoding a window around the seam, which grows until its first and
 last token are those that the two sides had there already. Tokens next to each other in a BPE encoding are exactly those whose
-own concatenation encodes to the same two tokens, so a window that agrees at both ends is right everywhere.
+own concatenation encodes to the same two tokens, so a window that agrees at both ends is right everywhere. Where a window of `widest` symbols
+still disagrees (long rows of one character shift as a whole), the seam is left open: the join is kept as symbols, and what is open at the root is
+merged once, in time n log n. Halves of a piece are encoded one after the other within a task; parallel are the texts.
 
 Counting. The same fact makes the count a finite-state matter: all that the next symbol can depend on is, for each suffix of what was
 read that some token starts with, the token before that suffix and how many tokens lie between. Such a situation is a state; each transition is
 annotated with the tokens that it adds (joining two tokens takes some away). States are compiled when first met. A text is cut
-into chunks; a chunk's state map is constant behind its first white space, so it is kept as
-(open head, count, open tail), and the maps compose, associatively, in a scan by halves.
+into chunks. Behind its first white space a chunk's state map is constant, so it is kept as (open head, count, open tail); a chunk inside a long piece
+is a `StateMap` from entry states to exit states and counts. Both compose associatively, in a scan by halves.
 """
 
 from __future__ import annotations
 
 import hashlib
+import heapq
 import json
 import re
 import unicodedata
@@ -47,6 +50,8 @@ class Tokenizer:
 
     #: Symbols up to which a piece is merged in one go.
     leaf = 64
+    #: Symbols up to which the window around a seam grows.
+    widest = 256
     #: Pieces remembered; beyond it the memory starts afresh.
     remember = 300_000
 
@@ -74,12 +79,15 @@ class Tokenizer:
         self.byte_of = {ord(c): b for b, c in enumerate(symbols)}
         self.path, self._library = path, None
         self._known: dict[str, tuple[int, str, str]] = {}
+        self._symbols: dict[int, list[int]] = {}
+        self._merged: dict[tuple[int, ...], list[int]] = {}
 
     def symbols_of(self, token: int) -> list[int]:
-        if token not in self.origin:
-            return [token]
-        a, b, _ = self.origin[token]
-        return self.symbols_of(a) + self.symbols_of(b)
+        found = self._symbols.get(token)
+        if found is None:
+            a, b, _ = self.origin.get(token, (token, None, 0))
+            found = self._symbols[token] = [token] if b is None else self.symbols_of(a) + self.symbols_of(b)
+        return found
 
     # ---- text to pieces
     def normalise(self, text: str) -> str:
@@ -112,6 +120,8 @@ class Tokenizer:
     # ---- one piece
     def merge(self, ids: list[int]) -> list[int]:
         """Lowest rank first, leftmost first."""
+        if len(ids) > self.leaf:
+            return self.merge_long(ids)
         ids, merges = list(ids), self.merges
         ranks = [merges.get(p) for p in zip(ids, ids[1:], strict=False)]
         while True:
@@ -128,25 +138,87 @@ class Tokenizer:
             if at < len(ranks):
                 ranks[at] = merges.get((ids[at], ids[at + 1]))
 
+    def again(self, ids: list[int]) -> list[int]:
+        """`merge`, remembered: leaves and windows of monotonous pieces repeat."""
+        key = tuple(ids)
+        found = self._merged.get(key)
+        if found is None:
+            if len(self._merged) >= 20_000:
+                self._merged.clear()
+            found = self._merged[key] = self.merge(ids)
+        return found
+
+    def merge_long(self, ids: list[int]) -> list[int]:
+        """The same in time n log n: symbols in a linked list, the places of each rank's pairs in lists, ranks in a heap. A rank is swept
+        from left to right unless a lower one turns up meanwhile."""
+        token, n, merges = list(ids), len(ids), self.merges
+        after, before = [*range(1, n + 1)], [*range(-1, n - 1)]
+        places: dict[int, list[int]] = {}
+        for i in range(n - 1):
+            found = merges.get((token[i], token[i + 1]))
+            if found is not None:
+                places.setdefault(found[0], []).append(i)
+        heap = [*places]
+        heapq.heapify(heap)
+        while heap:
+            rank = heapq.heappop(heap)
+            todo = sorted(places.pop(rank))
+            for k, i in enumerate(todo):
+                j = after[i]
+                if token[i] < 0 or j >= n:
+                    continue
+                found = merges.get((token[i], token[j]))
+                if found is None or found[0] != rank:
+                    continue
+                token[i], token[j] = found[1], -1
+                after[i] = end = after[j]
+                lower = False
+                if end < n:
+                    before[end] = i
+                for left, right in ((before[i], i), (i, end)):
+                    if left >= 0 and right < n and (pair := merges.get((token[left], token[right]))) is not None:
+                        if pair[0] not in places:
+                            places[pair[0]] = []
+                            heapq.heappush(heap, pair[0])
+                        places[pair[0]].append(left)
+                        lower |= pair[0] < rank
+                if lower:
+                    if rank in places:
+                        places[rank] += todo[k + 1 :]
+                    else:
+                        places[rank] = todo[k + 1 :]
+                        heapq.heappush(heap, rank)
+                    break
+        return [t for t in token if t >= 0]
+
     def base(self, piece: str) -> list[int]:
         data = piece.encode()
         return [*(self.inner[b] for b in data[:-1]), self.last[data[-1]]]
 
     def tree(self, base: list[int]) -> list[int]:
         """Encode base symbols by halves."""
-        if len(base) <= self.leaf:
-            return self.merge(base)
-        half = len(base) // 2
-        return self.join(self.tree(base[:half]), self.tree(base[half:]))
-
-    def join(self, left: list[int], right: list[int]) -> list[int]:
+        found, is_open = self.half(base, 0, len(base))
+        return self.merge_long(found) if is_open else found
+
+    def half(self, base: list[int], start: int, end: int) -> tuple[list[int], bool]:
+        """The encoding of base[start:end], or its symbols and True where a seam inside is left open."""
+        if end - start <= self.leaf:
+            return self.again(base[start:end]), False
+        middle = (start + end) // 2
+        (left, open_left), (right, open_right) = self.half(base, start, middle), self.half(base, middle, end)
+        joined = None if open_left or open_right else self.join(left, right)
+        return (base[start:end], True) if joined is None else (joined, False)
+
+    def join(self, left: list[int], right: list[int]) -> list[int] | None:
+        """Both sides as one encoding; None where the widest window does not agree with them."""
         reach = 2
         while True:
             a, b = left[-reach:], right[:reach]
             whole_left, whole_right = len(a) == len(left), len(b) == len(right)
             window = [s for t in a + b for s in self.symbols_of(t)]
-            # A window longer than a leaf is itself encoded by halves only if it is shorter than the whole.
-            seam = self.merge(window)
+            if len(window) > self.widest:
+                return None
+            seam = self.again(window)
             if (whole_left or seam[0] == a[0]) and (whole_right or seam[-1] == b[-1]) and (len(seam) > 1 or (whole_left and whole_right)):
                 return left[: len(left) - len(a)] + seam + right[len(b) :]
             reach *= 2
@@ -192,6 +264,58 @@ class Tokenizer:
         return total, hashlib.sha256(" ".join(ids).encode()).hexdigest(), hashlib.sha256(" ".join(words).encode()).hexdigest()
 
 
+class StateMap:
+    """What a stretch of symbols does to each entry state: (exit state, tokens added). Filled in for the states that are asked for: the stretch is run from the start
+    state once, and any other entry only until its path meets that one, as from there on both are the same. States are given by content, so
+    that a machine compiled afresh in between does no harm."""
+
+    #: Steps of the first path that are kept to be met; a path that has not met it by then is run to its end.
+    kept = 512
+
+    def __init__(self, machine: CountTransducer, symbols: list[int]):
+        self.machine, self.symbols, self.path = machine, symbols, []
+        self.known = {_START: self._run(_START)}
+
+    def _run(self, entry: tuple) -> tuple[tuple, int]:
+        machine, first, total = self.machine, entry == _START, 0
+        state = machine.numbered(entry)
+        for i, s in enumerate(self.symbols):
+            state, added = machine.moves[state].get(s) or machine.compile_move(state, s)
+            total += added
+            if i < self.kept:
+                now = machine.states[state]
+                if first:
+                    self.path.append((now, total))
+                elif now == self.path[i][0]:
+                    end, whole = self.known[_START]
+                    return end, total + whole - self.path[i][1]
+        return machine.states[state], total
+
+    def __call__(self, entry: tuple) -> tuple[tuple, int]:
+        if entry not in self.known:
+            self.known[entry] = self._run(entry)
+        return self.known[entry]
+
+
+class Composed:
+    """One state map after another: again a state map."""
+
+    def __init__(self, first, second):
+        self.first, self.second = first, second
+        self.known = {_START: self._run(_START)}
+
+    def _run(self, entry: tuple) -> tuple[tuple, int]:
+        between, added = self.first(entry)
+        end, more = self.second(between)
+        return end, added + more
+
+    __call__ = StateMap.__call__
+
+
+#: Of a state: for each open start its node in the tree of tokens, the token before it and the tokens since.
+_START = ((0, -1, 0),)
+
+
 class CountTransducer:
     """Token counts of pieces, and of texts by chunks."""
 
@@ -221,8 +345,16 @@ class CountTransducer:
         self._reset()
 
     def _reset(self) -> None:
-        start = ((0, -1, 0),)
-        self.number, self.states, self.moves = {start: 0}, [start], [{}]
+        self.number, self.states, self.moves = {_START: 0}, [_START], [{}]
+
+    def numbered(self, state: tuple) -> int:
+        """The number of a state, compiled anew if it is not known."""
+        at = self.number.get(state)
+        if at is None:
+            at = self.number[state] = len(self.states)
+            self.states.append(state)
+            self.moves.append({})
+        return at
 
     def whole(self, token: int) -> bool:
         """Whether a token's own symbols encode to it."""
@@ -255,17 +387,15 @@ class CountTransducer:
             if not self.leaf_at[nxt]:
                 open_starts.append((nxt, before, back))
         now = (*((n, b, k - added) for n, b, k in open_starts), (0, token, 0))
-        at = self.number.get(now)
-        if at is None:
-            at = self.number[now] = len(self.states)
-            self.states.append(now)
-            self.moves.append({})
+        at = self.numbered(now)
         self.moves[state][symbol] = at, added
         return at, added
 
     def piece(self, piece: str) -> int:
         """Tokens of one piece: the sum of the annotations along its path."""
         data, inner = piece.encode(), self.tokenizer.inner
+        if len(data) > self.chunk:
+            return self.long_piece(data)
         if len(self.states) > self.most_states:
             self._reset()
         state = total = 0
@@ -280,6 +410,17 @@ class CountTransducer:
         self._pieces[piece] = total
         return total
 
+    def long_piece(self, data: bytes) -> int:
+        """A piece in chunks: their state maps, composed by halves."""
+        symbols, maps = [*(self.tokenizer.inner[b] for b in data[:-1]), self.tokenizer.last[data[-1]]], []
+        for at in range(0, len(symbols), self.chunk):
+            if len(self.states) > self.most_states:
+                self._reset()
+            maps.append(StateMap(self, symbols[at : at + self.chunk]))
+        while len(maps) > 1:
+            maps = [Composed(a, b) for a, b in zip(maps[::2], maps[1::2], strict=False)] + maps[len(maps) - len(maps) % 2 :]
+        return maps[0](_START)[1]
+
     def run(self, text: str) -> int:
         known, piece = self._pieces.get, self.piece
         return sum([known(p) or piece(p) for p in self.tokenizer.pieces(text)])
@@ -338,7 +479,8 @@ def _rows(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[list, list]]:
 
 
 def encode_texts(docs: DataFrame, path: str, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """doc_id, ids (the token ids), decoded (their text). A null text is empty and has no ids."""
+    """doc_id, ids (the token ids), decoded (their text). A null or empty text has no ids; repeated rows and ids are encoded row by row, an empty table gives no rows,
+    and other columns are ignored. A text's tokens are held in one row: for texts of hundreds of megabytes use `encoding_digests`."""
 
     def work(batches):
         tok = tokenizer_of(path)
@@ -353,7 +495,7 @@ def encoding_digests(docs: DataFrame, path: str, doc_id: str = "doc_id", text: s
     """doc_id, n_tokens, ids_sha256, decoded_sha256 of what `encode_texts` would give, without holding a text's tokens.
 
     No shuffle: one task per input split, one text at a time. Null and empty texts have no tokens and the digests of the empty string;
-    repeated rows are encoded alike; other columns are ignored."""
+    repeated rows are encoded alike; an empty table gives no rows, other columns are ignored. Time grows as n log n with a text's length, long pieces without any split included."""
 
     def work(batches):
         tok = tokenizer_of(path)
@@ -367,7 +509,7 @@ def encoding_digests(docs: DataFrame, path: str, doc_id: str = "doc_id", text: s
 def token_counts(docs: DataFrame, path: str, limit: int = 2048, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """doc_id, n_bytes, n_tokens, over_limit, by the compiled transducer; null and empty texts have 0 tokens.
 
-    No shuffle. Repeated rows are counted alike; other columns are ignored."""
+    No shuffle; long texts and long pieces go by chunks, one text at a time in a task. Repeated rows are counted alike, an empty table gives no rows; other columns are ignored."""
 
     def work(batches):
         machine = transducer_of(path)

@@ -246,12 +246,12 @@ def repeats(docs: DataFrame, width: int = 200, doc_id: str = "doc_id", text: str
 
 def _report(pack: pk.Pack, gone: np.ndarray, spans: bool) -> pa.Table:
     rows = []
-    for key, a, b in zip(pack.ids.tolist(), pack.starts.tolist(), pack.ends.tolist(), strict=True):
+    for key, a, b in zip(pack.names(), pack.starts.tolist(), pack.ends.tolist(), strict=True):
         lost = gone[a:b]
         n = int(np.count_nonzero(lost))
         edges = np.flatnonzero(np.diff(np.concatenate([[False], lost, [False]]).astype(np.int8))).reshape(-1, 2) if n else np.zeros((0, 2), np.int64)
         kept = pack.raw[a:b] if not n else pack.data[a:b][~lost].tobytes()
-        row = [None if key == (1 << 63) - 1 else key, b - a, n, len(edges), hashlib.sha256(kept).hexdigest()]
+        row = [key, b - a, n, len(edges), hashlib.sha256(kept).hexdigest()]
         rows.append(row + ([kept, [{"start": int(s), "end": int(e)} for s, e in edges]] if spans else []))
     names, kinds = ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256"], [pa.int64()] * 4 + [pa.string()]
     if spans:

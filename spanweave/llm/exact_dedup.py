@@ -36,9 +36,9 @@ def exact_groups(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", di
     """
     rows = texts(docs, doc_id, text).select("doc_id", normalised(F.col("text")).alias("body")).withColumn("digest", digest(F.col("body")))
     groups = stash(rows.groupBy("digest").agg(F.min("doc_id").alias("keep_id"), F.count(F.lit(1)).alias("group_size")).filter("group_size > 1"))
-    # By keep_id and not by digest: another key lets Spark combine before the shuffle and split a hot digest's join.
-    compared = rows.join(groups.hint("merge"), "digest").groupBy("keep_id").agg(F.min("digest").alias("in_doubt"), F.min("body").alias("low"), F.max("body").alias("high"))
-    doubtful = stash(compared.filter("low <> high").select("in_doubt"))
+    # Grouped by an expression and not by the join's own key: Spark then combines before the shuffle and can split a hot digest's join.
+    compared = rows.join(groups.hint("merge"), "digest").groupBy(F.hex("digest").alias("_hex")).agg(F.min("body").alias("low"), F.max("body").alias("high"))
+    doubtful = stash(compared.filter("low <> high").select(F.unhex("_hex").alias("in_doubt")))
     narrow = rows.withColumn("text_sha256", F.sha2("body", 256))
     result = ["doc_id", "keep_id", "group_size", F.col("doc_id").eqNullSafe(F.col("keep_id")).alias("kept"), "text_sha256"]
     if doubtful.isEmpty():
@@ -56,9 +56,24 @@ def _placed(narrow: DataFrame, groups: DataFrame) -> DataFrame:
 
 
 def drop_exact(docs: DataFrame) -> DataFrame:
-    """The rows of `docs` that stay, all columns, in one pass more over the texts."""
-    gone = stash(exact_groups(docs).filter(~F.col("kept")).select("doc_id").distinct())
-    return docs.join(gone.hint("merge"), "doc_id", "left_anti")
+    """The rows of `docs` that stay, all columns.
+
+    Of equal texts one row stays, that with the least doc_id, and rows are told by id and text: an id that carries two texts keeps both, if each is the least of its own. Of several
+    rows with that id and text (repeated rows, or null ids where no other are) one stays, the least by its other columns. Null texts are empty texts; an empty table gives no rows.
+    Columns of any name stand; those that cannot be ordered (maps) do not decide between repeated rows."""
+    inner = [f"_c{i}" for i in range(len(docs.columns))]
+    plain = docs.toDF(*inner)
+    key, body = (F.col(inner[docs.columns.index(c)]) for c in ("doc_id", "text"))
+    sha = F.unhex(F.sha2(normalised(F.coalesce(body, F.lit(""))), 256))
+    fates = exact_groups(docs).select("doc_id", F.unhex("text_sha256").alias("sha"), "kept")
+    fates = stash(fates.groupBy("doc_id", "sha").agg(F.max("kept").alias("kept"), F.count(F.lit(1)).alias("times")).filter("not kept or times > 1"))
+    marked = plain.withColumn("_id", key.cast("long")).withColumn("_sha", sha)
+    marked = marked.join(fates.hint("merge"), F.col("_id").eqNullSafe(F.col("doc_id")) & (F.col("_sha") == F.col("sha")), "left")
+    alone = marked.filter("kept is null").select(*inner)
+    again = marked.filter("kept")
+    orderable = [c for c, f in zip(inner, docs.schema.fields, strict=True) if "map<" not in f.dataType.simpleString() and "variant" not in f.dataType.simpleString()]
+    least = again.groupBy("_id", "_sha").agg(F.min_by(F.struct(*inner), F.struct(*orderable)).alias("r")).select("r.*")
+    return alone.unionByName(least).toDF(*docs.columns)
 
 
 ORACLE = r"""

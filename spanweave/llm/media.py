@@ -22,7 +22,8 @@ ROW = 64
 
 # ---- decoding
 def decode(data: bytes) -> np.ndarray:
-    """The samples of a Netpbm (P1 to P6) or BMP image, height x width (x 3). ValueError where it is neither, or cut short."""
+    """The samples of a Netpbm (P1 to P6) or BMP image, height x width (x 3), stretched to 0 to 255 (Netpbm images with a maximum above 255: to 65535). ValueError where it
+    is neither, cut short, or holds values out of range."""
     if data[:2] == b"BM":
         return _bmp(data)
     if len(data) > 2 and data[:1] == b"P" and data[1:2] in b"123456":
@@ -58,9 +59,11 @@ def _netpbm(data: bytes) -> np.ndarray:
     if not (width and height and 0 < most < 65536):
         raise ValueError("impossible Netpbm header")
     n = width * height * depth
+    if n > 8 * len(data):
+        raise ValueError("a Netpbm image is cut short")
     if kind <= 3:
         body = b"\n".join(line.split(b"#")[0] for line in data[at:].split(b"\n"))
-        flat = np.frombuffer(body.translate(None, b" \t\r\n\v\f"), np.uint8)[:n] - 48 if bitmap else np.array(body.split()[:n], np.int64)
+        flat = np.frombuffer(body.translate(None, b" \t\r\n\v\f"), np.uint8)[:n].astype(np.int64) - 48 if bitmap else np.array(body.split()[:n], np.int64)
     elif kind == 4:
         step = (width + 7) // 8
         flat = np.unpackbits(np.frombuffer(data, np.uint8, step * height, at + 1).reshape(height, step), axis=1)[:, :width].ravel()
@@ -68,35 +71,59 @@ def _netpbm(data: bytes) -> np.ndarray:
         flat = np.frombuffer(data, ">u2" if most > 255 else np.uint8, n, at + 1)
     if flat.size < n:
         raise ValueError("a Netpbm image is cut short")
-    flat = flat.astype(np.uint16 if most > 255 else np.uint8)
+    if n and not 0 <= int(flat.min()) <= int(flat.max()) <= most:
+        raise ValueError("a Netpbm sample out of range")
     if bitmap:
-        flat = (1 - flat) * np.uint8(255)  # 1 is black
+        flat = (1 - flat.astype(np.uint8)) * np.uint8(255)  # 1 is black
+    elif most not in (255, 65535):
+        top = 255 if most < 255 else 65535
+        flat = (flat.astype(np.int64) * top + most // 2) // most  # brightest is `most`
+    flat = flat.astype(np.uint16 if most > 255 else np.uint8)
     return flat.reshape((height, width, 3) if depth == 3 else (height, width))
 
 
 def _bmp(data: bytes) -> np.ndarray:
-    """Uncompressed BMP of 1, 4, 8, 24 or 32 bits a pixel, bottom-up or top-down; grey palettes give two axes."""
+    """Uncompressed BMP of 1, 4, 8, 16, 24 or 32 bits a pixel, bottom-up or top-down, with or without colour masks (alpha is left out); grey palettes give two axes."""
     if len(data) < 54:
         raise ValueError("a BMP header is cut short")
-    start, size, width, height, _, bits, how = struct.unpack_from("<I4xIiiHHI", data[10:14] + b"\0" * 4 + data[14:], 0)[0:7]
-    if how not in (0, 3) or bits not in (1, 4, 8, 24, 32) or width <= 0 or not height:
+    start, size, width, height, bits, how = struct.unpack_from("<I", data, 10) + struct.unpack_from("<Iii", data, 14) + struct.unpack_from("<HI", data, 28)
+    masked = how in (3, 6)
+    if size < 40 or how not in (0, 3, 6) or bits not in (1, 4, 8, 16, 24, 32) or width <= 0 or not height or (masked and bits not in (16, 32)):
         raise ValueError("a BMP image of a kind that is not decoded")
-    step = (width * bits + 31) // 32 * 4
-    rows = np.frombuffer(data, np.uint8, step * abs(height), start).reshape(abs(height), step)
+    step, tall = (width * bits + 31) // 32 * 4, abs(height)
+    if start + step * tall > len(data):
+        raise ValueError("a BMP image is cut short")
+    rows = np.frombuffer(data, np.uint8, step * tall, start).reshape(tall, step)
     rows = rows[::-1] if height > 0 else rows
-    if bits >= 24:
-        return rows[:, : width * bits // 8].reshape(abs(height), width, bits // 8)[:, :, 2::-1].copy()
+    if bits in (16, 32):
+        masks = struct.unpack_from("<III", data, 54) if masked and len(data) >= 66 else (0x7C00, 0x03E0, 0x1F) if bits == 16 else (0xFF0000, 0xFF00, 0xFF)
+        if not all(masks):
+            raise ValueError("a BMP image with an empty colour mask")
+        pixels = np.ascontiguousarray(rows[:, : width * bits // 8]).view(f"<u{bits // 8}").astype(np.uint64)
+        return np.stack([_masked(pixels, m) for m in masks], axis=2)
+    if bits == 24:
+        return rows[:, : width * 3].reshape(tall, width, 3)[:, :, ::-1].copy()
     if bits < 8:
-        index = np.unpackbits(rows, axis=1).reshape(abs(height), -1, bits)
+        index = np.unpackbits(rows, axis=1).reshape(tall, -1, bits)
         index = (index << np.arange(bits - 1, -1, -1, dtype=np.uint8)).sum(axis=2, dtype=np.uint8)[:, :width]
     else:
         index = rows[:, :width]
     colours = struct.unpack_from("<I", data, 46)[0] or 1 << bits
+    if 14 + size + colours * 4 > len(data) or colours <= int(index.max()):
+        raise ValueError("a BMP palette is cut short")
     palette = np.frombuffer(data, np.uint8, colours * 4, 14 + size).reshape(-1, 4)[:, 2::-1]
     pixels = palette[index]
     return pixels[:, :, 0].copy() if (palette == palette[:, :1]).all() else pixels
 
 
+def _masked(pixels: np.ndarray, mask: int) -> np.ndarray:
+    """One colour of masked pixels, stretched to 0 to 255."""
+    low = (mask & -mask).bit_length() - 1
+    top = mask >> low
+    value = (pixels & np.uint64(mask)) >> np.uint64(low)
+    return ((value * np.uint64(255) + np.uint64(top // 2)) // np.uint64(top)).astype(np.uint8)
+
+
 # ---- encoding
 def pgm(samples: np.ndarray) -> bytes:
     """Binary grey Netpbm of 8-bit samples."""
@@ -158,8 +185,8 @@ def store_payload(payload: bytes, encode=pgm) -> bytes:
 
 # ---- DataFrames
 def media_tiles(images: DataFrame, key: str = "key", data: str = "data", side: int = 32) -> DataFrame:
-    """key, height, width, channels, tile (NPY bytes), dhash of every image; null throughout where `data` is null or no
-    image that is decoded here. Extra columns are ignored, repeated rows kept."""
+    """key, height, width, channels, tile (NPY bytes), dhash of every image. Where `data` is null, empty or no image that is decoded here, the key stays and the
+    other columns are null; a broken image never fails the job. Null keys and repeated rows are kept, other columns ignored, an empty table gives no rows."""
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -168,7 +195,7 @@ def media_tiles(images: DataFrame, key: str = "key", data: str = "data", side: i
                 try:
                     x = decode(body or b"")
                     found.append((x.shape[0], x.shape[1], x.shape[2] if x.ndim == 3 else 1, npy_tile(x, side), difference_hash(x)))
-                except ValueError:
+                except (ValueError, IndexError, OverflowError, struct.error):
                     found.append((None,) * 5)
             kinds = (pa.int32(), pa.int32(), pa.int32(), pa.binary(), pa.string())
             yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array([f[i] for f in found], k) for i, k in enumerate(kinds))], ["key", "height", "width", "channels", "tile", "dhash"])
@@ -182,7 +209,8 @@ def write_tiles(images: DataFrame, path: str, **options) -> None:
 
 
 def stored_texts(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """doc_id and `media`, each text's bytes as a PGM image; a null text is empty and becomes one row of zeros."""
+    """doc_id and `media`, each text's bytes as a PGM image. Null and empty texts become one row of zeros; null and repeated ids are kept row by row, an empty table
+    gives no rows, and other columns are ignored. A text's image is as large as the text."""
 
     def work(batches):
         for key, body in _parts(batches):

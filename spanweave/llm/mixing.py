@@ -3,14 +3,15 @@
 A source is cut into blocks of equal size. With share w of the slots, its i-th block may not start before slot floor((i-1)/w)
 and must be placed by slot ceil(i/w); earliest deadline first then keeps every source within one block of its share at all
 times. Shares are whole numbers out of a whole total, so the schedule repeats after `total` slots and one such round is all that is ever
-computed: how long it is depends on the weights, not on the data. When a source runs dry its share goes to the others in proportion: the remaining
-sources' weights make the next phase.
+computed: its length depends on the weights and the number of sources, not on the data. A block's place on this clock follows from its number alone. When a source
+has run dry its slots fall away and later blocks move up; the others keep their order, and at the end of each round they stand at their shares again.
 """
 
 from __future__ import annotations
 
 import heapq
-from dataclasses import dataclass
+from fractions import Fraction
+from math import gcd, lcm
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -19,10 +20,10 @@ from pyspark.sql.window import Window
 
 from spanweave.llm.shared import stash
 
-#: Slots of a round that given weights are rounded to, and the most sources that a plan takes.
-RESOLUTION, MOST_SOURCES = 1000, 100_000
-#: Hexadecimal digits of the digest that split a source for ranking: 4096 parts.
-DIGITS = 3
+#: Slots of a round up to which target weights are kept exactly; finer ones are rounded to so many parts (more, if there are more sources).
+RESOLUTION = 1_000_000
+#: Hexadecimal digits of the digest that split a source for ranking, and parts that the clock is cut into: 4096 each.
+DIGITS, PARTS = 3, 4096
 
 
 def one_round(shares: dict[str, int]) -> list[tuple[str, int, int]]:
@@ -45,39 +46,20 @@ def one_round(shares: dict[str, int]) -> list[tuple[str, int, int]]:
     return out
 
 
-@dataclass(frozen=True)
-class Phase:
-    """`rounds` rounds from slot `start`; `shares` of each round; `first` block of each source in it."""
-
-    start: int
-    rounds: int
-    shares: dict[str, int]
-    first: dict[str, int]
-
-
-def phases(blocks: dict[str, int], weights: dict[str, int]) -> list[Phase]:
-    """Until every source's blocks are placed: as many whole rounds as the scarcest source allows, then one round in which the
-    sources that cannot fill their share give what they have. At most two phases a source."""
-    left, done, start, out = dict(blocks), dict.fromkeys(blocks, 0), 0, []
-    while live := sorted(s for s in left if left[s]):
-        full = min(left[s] // weights[s] for s in live)
-        rounds = full or 1
-        shares = {s: weights[s] if full else min(weights[s], left[s]) for s in live}
-        out.append(Phase(start, rounds, shares, {s: done[s] for s in live}))
-        for s in live:
-            done[s] += rounds * shares[s]
-            left[s] -= rounds * shares[s]
-        start += rounds * sum(shares.values())
-    return out
-
-
-def whole_weights(blocks: dict[str, int], targets: dict[str, float] | None, resolution: int = RESOLUTION) -> dict[str, int]:
-    """Targets as whole shares of a round, at least 1; sources without a target, and all where none are given, count 1 part in the number of sources."""
-    even = 1 / max(1, len(blocks))
-    wanted = {s: max(0.0, float((targets or {}).get(s, even))) for s in blocks}
-    total = sum(wanted.values()) or 1.0
-    size = max(resolution if targets else len(blocks), len(blocks))
-    return {s: max(1, round(w / total * size)) for s, w in wanted.items()}
+def whole_weights(sources: list[str], targets: dict[str, float] | None, resolution: int = RESOLUTION) -> dict[str, int]:
+    """Targets as whole shares of a round, in lowest terms. Sources without a target, and all where none are given, count 1 part in the number of sources;
+    targets that are not positive count as much as the smallest of the others."""
+    even = Fraction(1, max(1, len(sources)))
+    wanted = {s: Fraction(str(targets[s])) if s in (targets or {}) else even for s in sources}
+    smallest = min((w for w in wanted.values() if w > 0), default=even)
+    wanted = {s: w if w > 0 else smallest for s, w in wanted.items()}
+    total, unit = sum(wanted.values()), lcm(*(w.denominator for w in wanted.values()))
+    parts = {s: int(w * unit) for s, w in wanted.items()}
+    size = max(resolution, len(parts))
+    if sum(parts.values()) // (gcd(*parts.values()) or 1) > size:
+        parts = {s: max(1, round(w / total * size)) for s, w in wanted.items()}
+    common = gcd(*parts.values()) or 1
+    return {s: n // common for s, n in parts.items()}
 
 
 def ranked(docs: DataFrame, doc_id: Column, source: Column) -> DataFrame:
@@ -92,40 +74,50 @@ def ranked(docs: DataFrame, doc_id: Column, source: Column) -> DataFrame:
     return rows.select("doc_id", "source", "part", local.alias("local")).join(before, ["source", "part"]).select("doc_id", "source", (F.col("local") + F.coalesce("before", F.lit(0))).cast("long").alias("rank"))
 
 
-_PLAN = T.StructType([T.StructField("source", T.StringType()), T.StructField("turn", T.LongType())] + [T.StructField(n, T.LongType()) for n in ("first", "until", "share", "start", "size", "offset", "release", "due")])
+_PLAN = T.StructType([T.StructField("source", T.StringType())] + [T.StructField(n, T.LongType()) for n in ("turn", "share", "offset", "release", "due")])
 
 
 def schedule(docs: DataFrame, targets: dict[str, float] | None = None, block: int = 16, doc_id: str = "doc_id", source: str = "source") -> DataFrame:
-    """One row per row of `docs`: doc_id, source, block (of its source), slot, release, deadline (slots), position.
+    """One row per row of `docs`: doc_id, source, block (of its source), clock, release, deadline, slot, position.
 
-    `targets` are the wanted shares by source (default: all equal); a share that is not positive counts as the smallest. Blocks hold `block` documents, a source's last one
-    the rest. Documents are placed once each; rows ordered by `position` are the mix. A null source is the source "".
-    Repeated rows get a place each. An empty table gives no rows; other columns are ignored."""
+    `targets` are the wanted shares by source (default: all equal). Blocks hold `block` documents, a source's last one the rest. `clock` is the block's slot as long as no
+    source has run dry, with release <= clock < deadline; `slot` counts the blocks before it. Documents are placed once each; rows ordered by `position` are the mix. A null source
+    is the source "", null ids are ids like any other. Repeated rows get a place each. An empty table gives no rows; other columns are ignored.
+    The driver holds the names of the sources and one round of the plan."""
     spark = docs.sparkSession
     places = stash(ranked(docs, F.col(doc_id), F.col(source)))
-    counts = {r["source"]: r["n"] for r in places.groupBy("source").agg(F.count(F.lit(1)).alias("n")).limit(MOST_SOURCES + 1).collect()}
-    if len(counts) > MOST_SOURCES:
-        raise ValueError(f"more than {MOST_SOURCES} sources")
-    blocks = {s: -(-n // block) for s, n in counts.items()}
-    rows = []
-    for phase in phases(blocks, whole_weights(blocks, targets)):
-        size, turn = sum(phase.shares.values()), dict.fromkeys(phase.shares, 0)
-        for offset, (name, release, due) in enumerate(one_round(phase.shares)):
-            rows.append((name, turn[name], phase.first[name], phase.first[name] + phase.rounds * phase.shares[name], phase.shares[name], phase.start, size, offset, release, due))
-            turn[name] += 1
-    plan = spark.createDataFrame(rows, _PLAN)
-    spans = plan.select("source", "first", "until", "share").distinct()
+    counts = {r["source"]: r["n"] for r in places.groupBy("source").agg(F.count(F.lit(1)).alias("n")).collect()}
+    shares = whole_weights(sorted(counts), targets) if counts else {}
+    turn, rows, size = dict.fromkeys(shares, 0), [], sum(shares.values())
+    for offset, (name, release, due) in enumerate(one_round(shares)):
+        rows.append((name, turn[name], shares[name], offset, release, due))
+        turn[name] += 1
+    plan = stash(spark.createDataFrame(rows, _PLAN))
     number = F.floor(F.col("rank") / block).cast("long")
-    placed = places.withColumn("block", number).join(F.broadcast(spans), "source").filter("block >= first and block < until").withColumn("turn", (F.col("block") - F.col("first")) % F.col("share"))
-    placed = placed.join(F.broadcast(plan.drop("until", "share")), ["source", "first", "turn"])
-    base = F.col("start") + F.floor((F.col("block") - F.col("first")) / F.col("share")).cast("long") * F.col("size")
-    slot = base + F.col("offset")
-    return placed.select("doc_id", "source", "block", slot.alias("slot"), (base + F.col("release")).alias("release"), (base + F.col("due")).alias("deadline"), (slot * block + F.col("rank") % block).alias("position"))
-
-
-def mixed(docs: DataFrame, targets: dict[str, float] | None = None, block: int = 16) -> DataFrame:
-    """`docs`, all rows and columns, in the order of the mix: partitions are ranges of positions, sorted within."""
-    places = stash(schedule(docs, targets, block).select("doc_id", "position").groupBy("doc_id").agg(F.min("position").alias("mix_position")))
+    turns = places.withColumn("block", number).join(plan.select("source", "share").filter("share > 0").distinct(), "source")
+    turns = turns.withColumn("turn", F.col("block") % F.col("share")).join(plan.drop("share"), ["source", "turn"])
+    base = F.floor(F.col("block") / F.col("share")).cast("long") * size
+    # The last tick of the clock, cut into PARTS stretches: slots are ranks inside a stretch plus the blocks before it.
+    last = max((-(-n // block) // shares[s] + 1) * size for s, n in counts.items()) if counts else 1
+    clock = base + F.col("offset")
+    ticked = turns.select("doc_id", "source", "rank", "block", clock.alias("clock"), (base + F.col("release")).alias("release"), (base + F.col("due")).alias("deadline"), F.floor(clock / -(-last // PARTS)).cast("int").alias("part"))
+    ticked = stash(ticked)
+    firsts = ticked.filter(F.col("rank") % block == 0).groupBy("part").agg(F.count(F.lit(1)).alias("n"))
+    before = firsts.select("part", F.coalesce(F.sum("n").over(Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("before"))
+    slot = F.col("before") + F.dense_rank().over(Window.partitionBy("part").orderBy("clock")) - 1
+    placed = ticked.join(F.broadcast(before), "part").withColumn("slot", slot.cast("long"))  # PARTS rows at most
+    return placed.select("doc_id", "source", "block", "clock", "release", "deadline", "slot", (F.col("slot") * block + F.col("rank") % block).alias("position"))
+
+
+def mixed(docs: DataFrame, targets: dict[str, float] | None = None, block: int = 16, position: str | None = None) -> DataFrame:
+    """`docs`, all rows and columns, in the order of the mix: partitions are ranges of positions, sorted within; `position` names a further column for the place.
+
+    Rows that repeat an id, null ids included, stand together at the first place of that id. An empty table gives no rows; columns of any name stand."""
+    inner = [f"_c{i}" for i in range(len(docs.columns))]
+    places = stash(schedule(docs, targets, block).groupBy(F.col("doc_id").alias("_id")).agg(F.min("position").alias("_place")))
     parts = max(2, int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")))
-    whole = docs.join(places.hint("merge"), docs["doc_id"].eqNullSafe(places["doc_id"]), "left").drop(places["doc_id"])
-    return whole.repartitionByRange(parts, "mix_position").sortWithinPartitions("mix_position").drop("mix_position")
+    key = F.col(inner[docs.columns.index("doc_id")]).cast("long")
+    whole = docs.toDF(*inner).join(places.hint("merge"), key.eqNullSafe(F.col("_id")), "left").drop("_id")
+    ordered = whole.repartitionByRange(parts, "_place").sortWithinPartitions("_place")
+    out = [F.col(i).alias(n) for i, n in zip(inner, docs.columns, strict=True)]
+    return ordered.select(*out, *([F.col("_place").alias(position)] if position else []))

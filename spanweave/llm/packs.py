@@ -85,12 +85,12 @@ class Prefixes:
         return mix((self.sums[length:] - self.sums[:n]) * self.down[:n])
 
 
-_BYTES = mix(np.arange(1, 257, dtype=np.uint64) * np.uint64(0xD6E8FEB86659FD93))
+_BYTES = [mix(np.arange(1, 257, dtype=np.uint64) * np.uint64(m)) for m in (0xD6E8FEB86659FD93, 0xA0761D6478BD642F)]
 
 
-def byte_values(data: np.ndarray) -> np.ndarray:
-    """A fixed random 64-bit number for every byte."""
-    return _BYTES[data]
+def byte_values(data: np.ndarray, lane: int = 0) -> np.ndarray:
+    """A fixed random 64-bit number for every byte; two lanes are independent of each other."""
+    return _BYTES[lane][data]
 
 
 # ---- packs
@@ -99,7 +99,7 @@ _PACK = "pack long, ids binary, sizes binary, body binary, bytes long"
 
 def packed(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """Packs of whole texts, written once to the shared folder: ids, sizes in bytes (NumPy int64) and the compressed bytes.
-    A null id is kept as the largest number."""
+    A null id is kept as the largest number, and its size as -1 - size, so that it is told from a real one."""
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
@@ -107,7 +107,9 @@ def packed(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataF
         serial, ids, parts, size = TaskContext.get().partitionId() << 32, [], [], 0
 
         def out():
-            row = [serial], [np.array(ids, np.int64).tobytes()], [np.array([len(p) for p in parts], np.int64).tobytes()], [squeeze(b"".join(parts))], [size]
+            sizes = np.array([-1 - len(p) if i is None else len(p) for i, p in zip(ids, parts, strict=True)], np.int64)
+            names = np.array([(1 << 63) - 1 if i is None else i for i in ids], np.int64)
+            row = [serial], [names.tobytes()], [sizes.tobytes()], [squeeze(b"".join(parts))], [size]
             return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(row, (pa.int64(), pa.binary(), pa.binary(), pa.binary(), pa.int64()), strict=True)], ["pack", "ids", "sizes", "body", "bytes"])
 
         for batch in batches:
@@ -118,7 +120,7 @@ def packed(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataF
                     if size and size + len(raw) > PACK_BYTES:
                         yield out()
                         serial, ids, parts, size = serial + 1, [], [], 0
-                    ids.append((1 << 63) - 1 if key is None else key)
+                    ids.append(key)
                     parts.append(raw)
                     size += len(raw)
         if ids:
@@ -132,12 +134,17 @@ class Pack:
 
     def __init__(self, ids: bytes, sizes: bytes, body: bytes):
         frugal()
-        self.ids, self.sizes = np.frombuffer(ids, np.int64), np.frombuffer(sizes, np.int64)
+        self.ids, stored = np.frombuffer(ids, np.int64), np.frombuffer(sizes, np.int64)
+        self.unnamed = stored < 0
+        self.sizes = np.where(self.unnamed, -1 - stored, stored)
         self.raw = expand(body)
         self.data = np.frombuffer(self.raw, np.uint8)
         self.ends = np.cumsum(self.sizes)
         self.starts = self.ends - self.sizes
 
+    def names(self) -> list[int | None]:
+        return [None if lost else i for i, lost in zip(self.ids.tolist(), self.unnamed.tolist(), strict=True)]
+
 
 def bucket_bits(hashes: int) -> int:
     """Buckets as a power of two, so that each gets BUCKET_HASHES hashes at most."""

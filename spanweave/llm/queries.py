@@ -8,6 +8,10 @@ from spanweave.llm import bpe, byte_windows, exact_dedup, media, mixing, quality
 from spanweave.llm.shared import table
 
 
+#: Target weights of the mix; sources that are not named count one part in the number of sources.
+TARGETS = {"src0": 0.25, "src1": 0.15, "src2": 0.1}
+
+
 def vocabulary() -> str:
     import public_tokenizers
 
@@ -27,7 +31,7 @@ def op3_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op4_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return mixing.schedule(table(spark, sf_dir, "documents"))
+    return mixing.schedule(table(spark, sf_dir, "documents"), TARGETS)
 
 
 def op5_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -3,7 +3,8 @@
 Every window of every text is hashed from prefix sums. A first round sends shortened hashes, once a pack, and learns which of them occur in more packs
 than one: two packs must agree for a window to matter, so most windows end there at some three bytes each. A second round sends the full hashes of the
 rest with the least document that has them, and learns the least document of all. Windows that start in a lesser document are removed; windows next to each other
-merge into maximal intervals.
+merge into maximal intervals. Two windows count as equal if two independent 64-bit hashes of all their words agree (at 10**13 windows a false pair is to be
+expected once in some 10**12 runs); their words are not moved to be compared.
 """
 
 from __future__ import annotations
@@ -21,10 +22,15 @@ _SPACE = np.zeros(256, bool)
 _SPACE[[32, *range(9, 14)]] = True
 
 
+#: Longer words are hashed by a cryptographic digest: polynomials modulo 2**64 agree on some different words of 1024 bytes and more.
+PLAIN = 64
+
+
 class Windows:
-    """All windows of `width` words of a pack: hash, first word, document (index in the pack)."""
+    """All windows of `width` words of a pack: hash, first word, document (index in the pack); with `check` a second hash that is
+    independent of the first from the bytes on."""
 
-    def __init__(self, pack: pk.Pack, width: int):
+    def __init__(self, pack: pk.Pack, width: int, check: bool = False):
         space = _SPACE[pack.data]
         word = ~space
         edge = np.zeros(len(word) + 1, bool)
@@ -33,15 +39,21 @@ class Windows:
         self.start = np.flatnonzero(word & (~before | edge[:-1]))
         after = np.concatenate([word[1:], [False]]) if len(word) else word
         self.end = np.flatnonzero(word & (~after | edge[1:])) + 1
+        del space, word, edge, before, after
         self.doc = np.searchsorted(pack.ends, self.start, side="right")
-        values = pk.Prefixes(pk.byte_values(pack.data)).of(self.start, self.end)
         n = len(self.start) - width + 1
-        if n <= 0:
-            self.first, self.hash = np.zeros(0, np.int64), np.zeros(0, np.uint64)
-            return
-        every = pk.Prefixes(values).of_all(width)
-        self.first = np.flatnonzero(self.doc[:n] == self.doc[width - 1 :])
-        self.hash = every[self.first]
+        self.first = np.flatnonzero(self.doc[:n] == self.doc[width - 1 :]) if n > 0 else np.zeros(0, np.int64)
+        self.hash = self._windows(pack, width, 0)
+        self.check = self._windows(pack, width, 1) if check else None
+
+    def _windows(self, pack: pk.Pack, width: int, lane: int) -> np.ndarray:
+        if not len(self.first):
+            return np.zeros(0, np.uint64)
+        values = pk.Prefixes(pk.byte_values(pack.data, lane)).of(self.start, self.end)
+        for i in np.flatnonzero(self.end - self.start > PLAIN).tolist():
+            digest = hashlib.blake2b(pack.raw[self.start[i] : self.end[i]], digest_size=16).digest()
+            values[i] = int.from_bytes(digest[8 * lane : 8 * lane + 8], "little")
+        return pk.Prefixes(pk.mix(values ^ np.uint64(lane))).of_all(width)[self.first]
 
 
 def _short(hashes: np.ndarray, bits: int) -> np.ndarray:
@@ -74,54 +86,55 @@ def removals(docs: DataFrame, width: int = 13, doc_id: str = "doc_id", text: str
 
     known = stash(pk.answered(pk.ask(packs, first_question, 1), first_answer))
 
-    def candidates(found, windows) -> np.ndarray:
-        """Which windows other packs may have."""
-        short = _short(windows.hash, bits)
+    def candidates(found, hashes) -> np.ndarray:
+        """Which hashes other packs may have."""
+        short = _short(hashes, bits)
         flags = np.zeros(len(short), bool)
         for b, lo, hi in pk.by_bucket(short << np.uint64(32 - bits), bits):
             flags[lo:hi] = np.unpackbits(np.frombuffer(found[1, b], np.uint8), count=hi - lo).astype(bool)
-        return _among(short[flags], windows.hash >> np.uint64(32 - bits))
-
-    def entries(pack, windows, chosen) -> tuple[np.ndarray, np.ndarray]:
-        """Distinct hashes of the chosen windows, ascending, and the least id of each."""
-        hashes, ids = windows.hash[chosen], pack.ids[windows.doc[windows.first[chosen]]]
-        order = np.argsort(hashes, kind="stable")
-        hashes, ids = hashes[order], ids[order]
-        at = np.flatnonzero(np.concatenate([[True], hashes[1:] != hashes[:-1]])) if len(hashes) else np.zeros(0, np.int64)
-        return hashes[at], np.minimum.reduceat(ids, at) if len(at) else ids
+        return _among(short[flags], hashes >> np.uint64(32 - bits))
+
+    def entries(pack, windows) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """Distinct windows by (hash, check): the two, the least id of each, and every window's place among them."""
+        ids = pack.ids[windows.doc[windows.first]]
+        order = np.lexsort((windows.check, windows.hash))
+        hashes, checks = windows.hash[order], windows.check[order]
+        new = _fresh(hashes) | _fresh(checks)
+        place = np.empty(len(order), np.int64)
+        place[order] = np.cumsum(new) - 1
+        at = np.flatnonzero(new)
+        return hashes[at], checks[at], np.minimum.reduceat(ids[order], at) if len(at) else ids, place
 
     def second_question(name, pack, found):
-        windows = Windows(pack, width)
-        hashes, ids = entries(pack, windows, np.flatnonzero(candidates(found, windows)))
-        return pk._arrays((2, b, name, pk.squeeze(_deltas(hashes[lo:hi]).tobytes() + _deltas(ids[lo:hi]).tobytes())) for b, lo, hi in pk.by_bucket(hashes, bits))
+        hashes, checks, ids, _ = entries(pack, Windows(pack, width, check=True))
+        some = candidates(found, hashes)
+        hashes, checks, ids = hashes[some], checks[some], ids[some]
+        return pk._arrays((2, b, name, pk.squeeze(_deltas(hashes[lo:hi]).tobytes() + _deltas(ids[lo:hi]).tobytes() + checks[lo:hi].tobytes())) for b, lo, hi in pk.by_bucket(hashes, bits))
 
     def second_answer(bodies):
         parts = []
         for body in bodies:
-            both = pk.expand(body, np.uint64)
-            half = len(both) // 2
-            parts.append((np.cumsum(both[:half], dtype=np.uint64), np.cumsum(both[half:].view(np.int64))))
-        hashes, ids = (np.concatenate([p[i] for p in parts]) for i in (0, 1))
-        value, where = np.unique(hashes, return_inverse=True)
-        least = np.full(len(value), np.iinfo(np.int64).max)
-        np.minimum.at(least, where, ids)
-        return [pk.squeeze(least[np.searchsorted(value, h)] - i) for h, i in parts]
+            three = pk.expand(body, np.uint64).reshape(3, -1)
+            parts.append((np.cumsum(three[0], dtype=np.uint64), np.cumsum(three[1].view(np.int64)), three[2]))
+        hashes, ids, checks = (np.concatenate([p[i] for p in parts]) for i in range(3))
+        order = np.lexsort((checks, hashes))
+        new = _fresh(hashes[order]) | _fresh(checks[order])
+        least = np.empty(len(order), np.int64)
+        least[order] = np.minimum.reduceat(ids[order], np.flatnonzero(new))[np.cumsum(new) - 1]
+        cuts = np.cumsum([len(p[0]) for p in parts])[:-1]
+        return [pk.squeeze(x) for x in np.split(least - ids, cuts)]
 
     asked = pk.told(packs, known, second_question, pk.ARRAYS)
     answers = known.unionByName(pk.answered(asked, second_answer))
 
     def third(_, pack, found):
-        windows = Windows(pack, width)
-        outside = candidates(found, windows)
-        # Every window of the pack, with the least id here, then the least id of all where other packs have it.
-        hashes, least = entries(pack, windows, np.arange(len(windows.hash)))
-        asked_hashes, own = entries(pack, windows, np.flatnonzero(outside))
-        for b, lo, hi in pk.by_bucket(asked_hashes, bits):
-            own[lo:hi] += pk.expand(found[2, b], np.int64)
-        if len(asked_hashes):
-            at = np.searchsorted(hashes, asked_hashes)
-            least[at] = np.minimum(least[at], own)
-        gone = windows.first[least[np.searchsorted(hashes, windows.hash)] < pack.ids[windows.doc[windows.first]]]
+        windows = Windows(pack, width, check=True)
+        # Every window of the pack with the least id here, then the least id of all where other packs have it.
+        hashes, _, least, place = entries(pack, windows)
+        some = np.flatnonzero(candidates(found, hashes))
+        for b, lo, hi in pk.by_bucket(hashes[some], bits):
+            least[some[lo:hi]] += pk.expand(found[2, b], np.int64)
+        gone = windows.first[least[place] < pack.ids[windows.doc[windows.first]]]
         cover = np.zeros(len(windows.start) + 1, np.int64)
         np.add.at(cover, gone, 1)
         np.add.at(cover, gone + width, -1)
@@ -132,6 +145,13 @@ def removals(docs: DataFrame, width: int = 13, doc_id: str = "doc_id", text: str
     return pk.told(packs, answers, third, schema)
 
 
+def _fresh(ordered: np.ndarray) -> np.ndarray:
+    """Where a value differs from the one before it."""
+    new = np.ones(len(ordered), bool)
+    new[1:] = ordered[1:] != ordered[:-1]
+    return new
+
+
 def _among(ordered: np.ndarray, values: np.ndarray) -> np.ndarray:
     if not len(ordered):
         return np.zeros(len(values), bool)
@@ -142,11 +162,12 @@ def _among(ordered: np.ndarray, values: np.ndarray) -> np.ndarray:
 def _report(pack: pk.Pack, windows: Windows, gone: np.ndarray, spans: bool) -> pa.Table:
     bounds = np.searchsorted(windows.start, [*pack.starts, len(pack.raw)]) if len(pack.starts) else np.zeros(1, np.int64)
     rows = []
+    names_of = pack.names()
     for i, (a, b) in enumerate(zip(bounds[:-1], bounds[1:], strict=True)):
         words, lost = pack.raw[pack.starts[i] : pack.ends[i]].split(), gone[a:b]
         n = int(lost.sum())
         kept = b" ".join(words if not n else [w for w, x in zip(words, lost.tolist(), strict=True) if not x])
-        row = [None if pack.ids[i] == (1 << 63) - 1 else int(pack.ids[i]), len(words), n, hashlib.sha256(kept).hexdigest()]
+        row = [names_of[i], len(words), n, hashlib.sha256(kept).hexdigest()]
         if spans:
             at = np.flatnonzero(np.diff(np.concatenate([[False], lost, [False]]).astype(np.int8)))
             row += [kept.decode(), [{"start": int(s), "end": int(e)} for s, e in at.reshape(-1, 2)]]

@@ -24,6 +24,30 @@ def test_exact_groups_with_and_without_collisions(odd, nothing):
     assert {r.doc_id for r in exact_dedup.drop_exact(odd).collect()} == {1, 3, 4, 5, 7, 8, 9, 10}
 
 
+def test_exact_drops_rows_and_not_ids(spark, nothing):
+    rows = [(3, "A", 1), (5, "A ", 2), (5, "B", 3), (None, "C", 5), (None, "C", 4), (7, None, 0), (8, "", 0), (9, "D", 2), (9, "D", 1), (10, " ", 0)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, sha int").repartition(3)
+    got = {tuple(r) for r in exact_dedup.drop_exact(df).collect()}
+    assert got == {(3, "A", 1), (5, "A ", 2), (5, "B", 3), (None, "C", 4), (7, None, 0), (9, "D", 1), (10, " ", 0)}
+    assert exact_dedup.drop_exact(nothing).columns == nothing.columns and exact_dedup.drop_exact(nothing).collect() == []
+
+
+@pytest.mark.parametrize("size", [1024, 4096])
+def test_words_whose_polynomials_agree_are_told_apart(spark, size):
+    """The Thue-Morse word and its complement have one polynomial hash modulo 2**64, whatever the base."""
+    word = "".join("ab"[bin(i).count("1") % 2] for i in range(size))
+    same = " ".join(f"w{i}" for i in range(12))
+    df = spark.createDataFrame([(1, f"{same} {word}"), (2, f"{same} {word.translate(str.maketrans('ab', 'ba'))}")], "doc_id long, text string")
+    assert [(r.doc_id, r.n_removed) for r in word_windows.removals(df).orderBy("doc_id").collect()] == [(1, 0), (2, 0)]
+
+
+def test_null_and_largest_ids_are_told_apart(spark):
+    text = " ".join(f"w{i}" for i in range(60))
+    df = spark.createDataFrame([(2**63 - 1, text), (None, text)], "doc_id long, text string")
+    assert sorted((r.doc_id or 0, r.n_removed) for r in word_windows.removals(df).collect()) == [(0, 0), (2**63 - 1, 0)]
+    assert {r.doc_id for r in byte_windows.repeats(df).collect()} == {None, 2**63 - 1}
+
+
 def brute_words(rows, k=13):
     least, out = {}, []
     split = [(d, WORD.findall(t or "")) for d, t in rows]

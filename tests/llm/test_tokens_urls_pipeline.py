@@ -1,5 +1,6 @@
 import hashlib
 import random
+import time
 
 import pytest
 
@@ -54,6 +55,31 @@ def test_chunk_maps_compose_associatively():
         assert machine.compose(machine.compose(a, b), c) == machine.compose(a, machine.compose(b, c))
 
 
+@pytest.mark.parametrize("piece", ["a" * 1_000_000, "." * 200_000, "_" * 50_000, "ab" * 60_000, "haha" * 3000 + "x" + "haha" * 777])
+def test_long_rows_of_few_characters_end_soon(library, piece):
+    own, began = bpe.Tokenizer(vocabulary()), time.time()
+    want = library.encode(piece, add_special_tokens=False).ids
+    assert own.encode(piece) == want and bpe.CountTransducer(own).count(piece) == len(want)
+    assert time.time() - began < 60
+
+
+def test_merging_long_pieces_is_merging_short_ones(library):
+    own, rng = bpe.tokenizer_of(vocabulary()), random.Random(6)
+    for _ in range(200):
+        piece = "".join(rng.choices("abetaoinsh", k=rng.randint(1, 500)))
+        want = library.encode(piece, add_special_tokens=False).ids
+        assert own.merge_long(own.base(piece)) == own.tree(own.base(piece)) == want
+
+
+def test_state_maps_compose_associatively():
+    machine, rng = bpe.CountTransducer(bpe.tokenizer_of(vocabulary())), random.Random(8)
+    symbols = [machine.tokenizer.inner[ord(c)] for c in rng.choices("abetin", k=90)]
+    a, b, c = (bpe.StateMap(machine, symbols[i : i + 30]) for i in (0, 30, 60))
+    left, right, whole = bpe.Composed(bpe.Composed(a, b), c), bpe.Composed(a, bpe.Composed(b, c)), bpe.StateMap(machine, symbols)
+    for entry in machine.states[:200]:
+        assert left(entry) == right(entry) == whole(entry)
+
+
 def test_token_frames(odd, nothing, library):
     text = {r.doc_id: r.text or "" for r in odd.collect()}
     counts = bpe.token_counts(odd, vocabulary(), limit=300).collect()
@@ -63,7 +89,10 @@ def test_token_frames(odd, nothing, library):
         assert (r.n_bytes, r.n_tokens, r.over_limit) == (len(text[r.doc_id].encode()), n, n > 300)
     for r in bpe.encode_texts(odd, vocabulary()).collect():
         assert r.ids == library.encode(text[r.doc_id], add_special_tokens=False).ids
-    assert bpe.encoding_digests(odd, vocabulary()).count() == 11
+    for r in bpe.encoding_digests(odd, vocabulary()).collect():
+        ids = library.encode(text[r.doc_id], add_special_tokens=False).ids
+        decoded = library.decode(ids, skip_special_tokens=False)
+        assert (r.n_tokens, r.ids_sha256, r.decoded_sha256) == (len(ids), hashlib.sha256(" ".join(map(str, ids)).encode()).hexdigest(), hashlib.sha256(decoded.encode()).hexdigest())
     assert bpe.encoding_digests(nothing, vocabulary()).collect() == [] and bpe.token_counts(nothing, vocabulary()).collect() == []
 
 
