@@ -94,12 +94,13 @@ def byte_values(data: np.ndarray, lane: int = 0) -> np.ndarray:
 
 
 # ---- packs
-_PACK = "pack long, ids binary, sizes binary, body binary, bytes long"
+_PACK = "pack long, ids binary, sizes binary, body binary, bytes long, extra binary"
 
 
-def packed(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+def packed(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", extra: Callable[[Pack], bytes] = lambda _: b"") -> DataFrame:
     """Packs of whole texts, written once to the shared folder: ids, sizes in bytes (NumPy int64) and the compressed bytes.
-    A null id is kept as the largest number, and its size as -1 - size, so that it is told from a real one."""
+    A null id is kept as the largest number, and its size as -1 - size, so that it is told from a real one.
+    `extra` is what an operator wants to remember of each pack."""
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
@@ -109,8 +110,10 @@ def packed(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataF
         def out():
             sizes = np.array([-1 - len(p) if i is None else len(p) for i, p in zip(ids, parts, strict=True)], np.int64)
             names = np.array([(1 << 63) - 1 if i is None else i for i in ids], np.int64)
-            row = [serial], [names.tobytes()], [sizes.tobytes()], [squeeze(b"".join(parts))], [size]
-            return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(row, (pa.int64(), pa.binary(), pa.binary(), pa.binary(), pa.int64()), strict=True)], ["pack", "ids", "sizes", "body", "bytes"])
+            body = squeeze(b"".join(parts))
+            row = [serial], [names.tobytes()], [sizes.tobytes()], [body], [size], [extra(Pack(names.tobytes(), sizes.tobytes(), body))]
+            kinds = (pa.int64(), pa.binary(), pa.binary(), pa.binary(), pa.int64(), pa.binary())
+            return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(row, kinds, strict=True)], ["pack", "ids", "sizes", "body", "bytes", "extra"])
 
         for batch in batches:
             for at in range(0, batch.num_rows, 256):
@@ -132,8 +135,9 @@ def packed(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataF
 class Pack:
     """One pack in memory: its texts' bytes one after the other."""
 
-    def __init__(self, ids: bytes, sizes: bytes, body: bytes):
+    def __init__(self, ids: bytes, sizes: bytes, body: bytes, extra: bytes = b""):
         frugal()
+        self.extra = extra
         self.ids, stored = np.frombuffer(ids, np.int64), np.frombuffer(sizes, np.int64)
         self.unnamed = stored < 0
         self.sizes = np.where(self.unnamed, -1 - stored, stored)
@@ -175,7 +179,7 @@ def ask(packs: DataFrame, question: Callable[[int, Pack], Iterable[tuple[int, by
         for batch in batches:
             for row in batch.to_pylist():
                 pack = row["pack"]
-                found = [(kind, b, pack, body) for b, body in question(pack, Pack(row["ids"], row["sizes"], row["body"]))]
+                found = [(kind, b, pack, body) for b, body in question(pack, Pack(row["ids"], row["sizes"], row["body"], row["extra"]))]
                 yield from _arrays(found).to_batches()
 
     return packs.mapInArrow(work, ARRAYS)
@@ -198,7 +202,7 @@ def told(packs: DataFrame, answers: DataFrame, then: Callable[[int, Pack, dict[t
     def work(left: pa.Table, right: pa.Table) -> pa.Table:
         found = {(k, b): body for k, b, body in zip(right.column("kind").to_pylist(), right.column("bucket").to_pylist(), right.column("body").to_pylist(), strict=True)}
         row = left.slice(0, 1).to_pylist()[0]
-        return then(row["pack"], Pack(row["ids"], row["sizes"], row["body"]), found)
+        return then(row["pack"], Pack(row["ids"], row["sizes"], row["body"], row["extra"]), found)
 
     return packs.groupBy("pack").cogroup(answers.groupBy("pack")).applyInArrow(work, schema)
 

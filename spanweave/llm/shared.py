@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import os
+import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
@@ -28,15 +30,17 @@ def shared_dir(spark: SparkSession) -> str:
         found = spark.sparkContext._jsc.sc().getCheckpointDir()
         set_dir = found.get() if found.isDefined() else None
     if not set_dir:
-        set_dir = "/tmp/checkpoints/spanweave"
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
+        set_dir = os.path.join(tempfile.gettempdir(), "spanweave-checkpoints")
         spark.sparkContext.setCheckpointDir(set_dir)
     return set_dir
 
 
-def stash(df: DataFrame, partitions: int | None = None) -> DataFrame:
+def stash(df: DataFrame, partitions: int | None = None, codec: str | None = None) -> DataFrame:
     """Write `df` as Parquet in the shared folder and read it back: the lineage ends there and a lost
-    executor costs nothing that was finished before."""
+    executor costs nothing that was finished before. `codec` names another compression than the session's."""
     spark = df.sparkSession
     path = f"{shared_dir(spark).rstrip('/')}/stash-{uuid.uuid4().hex}"
-    (df if partitions is None else df.coalesce(partitions)).write.parquet(path)
+    (df if partitions is None else df.coalesce(partitions)).write.parquet(path, compression=codec)
     return spark.read.schema(df.schema).parquet(path)

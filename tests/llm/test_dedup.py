@@ -114,13 +114,63 @@ def test_spans_and_kept_texts(spark, nothing):
 def test_anchor_runs_in_small_steps(monkeypatch):
     rng = random.Random(1)
     texts = [bytes(rng.choice(b"ab") for _ in range(rng.randrange(900))) for _ in range(6)]
-    pack = packs.Pack(np.arange(6).tobytes(), np.array([len(t) for t in texts]).tobytes(), packs.squeeze(b"".join(texts)))
+    body = np.arange(6).tobytes(), np.array([len(t) for t in texts]).tobytes(), packs.squeeze(b"".join(texts))
+    pack = packs.Pack(*body)
     runs = byte_windows.Runs(pack, 200)
-    covered = sorted(s for a, b in zip(runs.first, runs.last, strict=True) for s in range(a, b + 1))
+    covered = [s for a, b in zip(runs.first, runs.last, strict=True) for s in range(a, b + 1)]
     assert covered == [s for a, e in zip(pack.starts, pack.ends, strict=True) for s in range(a, e - 199)]
-    monkeypatch.setattr(byte_windows, "_STEP", 97)
+    names = {(int(f), int(k)): int(c) for f, k, c in zip(runs.first, *runs.hashed(pack, 0), strict=True)}
+    stored = byte_windows.Runs(packs.Pack(*body, runs.packed()), 200)
+    assert all((getattr(stored, x) == getattr(runs, x)).all() for x in ("first", "last", "anchor"))
+    monkeypatch.setattr(byte_windows, "_STEP", 397)
     again = byte_windows.Runs(pack, 200)
-    assert sorted(s for a, b in zip(again.first, again.last, strict=True) for s in range(a, b + 1)) == covered
+    assert [s for a, b in zip(again.first, again.last, strict=True) for s in range(a, b + 1)] == covered
+    more = {(int(f), int(k)): int(c) for f, k, c in zip(runs.first, *runs.hashed(pack, 0), strict=True)}
+    assert more == names
+
+
+def test_runs_of_an_anchor_are_sorted_and_verified(monkeypatch):
+    """Windows that occur again among runs, against brute force; with hashes that collide as well."""
+    rng = random.Random(9)
+    for good in (True, False):
+        if not good:
+            monkeypatch.setattr(packs, "mix", lambda x: x & np.uint64(3))
+        node, bodies, at, times = [], [], [], []
+        for k in range(12):
+            seen = set()
+            for _ in range(rng.randrange(1, 30)):
+                left = rng.randrange(0, 7)
+                body = bytes(rng.choices(b"ab", k=left)) + b"ANCH" + bytes(rng.choices(b"ab", k=6 - rng.randrange(left + 1)))
+                if (body, left) not in seen:
+                    seen.add((body, left))
+                    node, bodies, at, times = [*node, k * 7 % 5], [*bodies, body], [*at, left], [*times, rng.choice([1, 1, 1, 2])]
+        keep = {(n, b, a): i for i, (n, b, a) in enumerate(zip(node, bodies, at, strict=True))}.values()
+        node, bodies, at, times = ([x[i] for i in keep] for x in (node, bodies, at, times))
+        count = {}
+        for n, b, t in zip(node, bodies, times, strict=True):
+            for i in range(len(b) - 9):
+                count[n, b[i : i + 10]] = count.get((n, b[i : i + 10]), 0) + t
+        want = [[count[n, b[i : i + 10]] > 1 for i in range(len(b) - 9)] for n, b in zip(node, bodies, strict=True)]
+        got = byte_windows.again(np.array(node), bodies, np.array(at), np.array(times), 10)
+        assert [g.tolist() for g in got] == want
+
+
+@pytest.mark.parametrize("crowd", [1, 3, 10])
+def test_crowded_anchors_are_split_without_loss(spark, monkeypatch, crowd):
+    """A line in many surroundings, some of which are copies of each other in part."""
+    monkeypatch.setattr(byte_windows, "CROWD", crowd)
+    monkeypatch.setattr(byte_windows, "BUCKET", 20)
+    monkeypatch.setattr(packs, "PACK_BYTES", 3_000)
+    rng = random.Random(11)
+    line = "".join(rng.choices("abcdefgh ", k=150))
+    noise = lambda n: "".join(rng.choices("ijklmnop", k=n))
+    lefts, rights = [noise(120) for _ in range(4)], [noise(120) for _ in range(4)]
+    rows = []
+    for k in range(40):
+        left, right = rng.choice(lefts), rng.choice(rights)
+        rows.append((k, noise(30) + left[rng.randrange(100) :] + line + right[: rng.randrange(10, 120)] + noise(40)))
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    assert sorted(tuple(r) for r in byte_windows.repeats(df).collect()) == brute_bytes(rows)
 
 
 def test_suffixes_are_sorted():
