@@ -218,21 +218,30 @@ class Runs:
         ahead = (np.frombuffer(raw, np.uint16, n, o).astype(np.int64) for o in (4 * n, 6 * n))
         return np.cumsum(np.frombuffer(raw, np.uint32, n).astype(np.int64)), *ahead
 
-    def hashed(self, pack: pk.Pack, seed: int) -> tuple[np.ndarray, np.ndarray]:
-        """Of every run: its anchor's hash, which brings runs together, and a hash of its bytes and the anchor's place, which names the run among those of its anchor."""
-        key, check = np.empty(len(self.first), np.uint64), np.empty(len(self.first), np.uint64)
+    def _steps(self, pick: np.ndarray):
+        """As many of the picked runs at a time as fit into _STEP bytes: their numbers, where their bytes start, and where they end."""
         lo = 0
-        while lo < len(self.first):
-            # As many runs at a time as fit into _STEP bytes.
-            hi = max(lo + 1, int(np.searchsorted(self.last, self.first[lo] + _STEP)))
-            start = int(self.first[lo])
-            part = pack.data[start : int(self.last[hi - 1]) + self.width]
-            first, last, anchor = (x[lo:hi] - start for x in (self.first, self.last, self.anchor))
-            key[lo:hi] = pk.mix(pk.Prefixes(pk.byte_values(part)).of(anchor, anchor + self.gram) ^ np.uint64(0xA24BAED4963EE407))
-            place = pk.mix((anchor - first + 1 + (seed << 32)).astype(np.uint64))
-            check[lo:hi] = pk.mix(pk.Prefixes(pk.byte_values(part, 1)).of(first, last + self.width) ^ place)
+        while lo < len(pick):
+            hi = max(lo + 1, int(np.searchsorted(self.last[pick], self.first[pick[lo]] + _STEP)))
+            yield pick[lo:hi], lo, hi, int(self.first[pick[lo]]), int(self.last[pick[hi - 1]]) + self.width
             lo = hi
-        return key, check
+
+    def keys(self, pack: pk.Pack) -> np.ndarray:
+        """The hash of every run's anchor, which brings runs together."""
+        out = np.empty(len(self.first), np.uint64)
+        for some, lo, hi, start, end in self._steps(np.arange(len(self.first))):
+            at = self.anchor[some] - start
+            out[lo:hi] = pk.mix(pk.Prefixes(pk.byte_values(pack.data[start:end])).of(at, at + self.gram) ^ np.uint64(0xA24BAED4963EE407))
+        return out
+
+    def names(self, pack: pk.Pack, seed: int, pick: np.ndarray) -> np.ndarray:
+        """A hash of the bytes of the picked runs and of the anchor's place in them, which names each among those of its anchor."""
+        out = np.empty(len(pick), np.uint64)
+        for some, lo, hi, start, end in self._steps(pick):
+            first, last = self.first[some], self.last[some]
+            place = pk.mix((self.anchor[some] - first + 1 + (seed << 32)).astype(np.uint64))
+            out[lo:hi] = pk.mix(pk.Prefixes(pk.byte_values(pack.data[start:end], 1)).of(first - start, last + self.width - start) ^ place)
+        return out
 
 
 def _shared_anchors(packs: DataFrame, width: int) -> DataFrame:
@@ -240,7 +249,7 @@ def _shared_anchors(packs: DataFrame, width: int) -> DataFrame:
     bits = pk.bucket_bits(pk.total_bytes(packs) // 50)
 
     def question(_, pack):
-        short = _short(Runs(pack, width).hashed(pack, 0)[0], bits)
+        short = _short(Runs(pack, width).keys(pack), bits)
         for b, lo, hi in pk.by_bucket(short << np.uint64(32 - bits), bits):
             yield b, pk.squeeze(np.diff(short[lo:hi].astype(np.uint32), prepend=np.uint32(0)))
 
@@ -273,27 +282,27 @@ def _met(found: dict[tuple[int, int], bytes], keys: np.ndarray) -> np.ndarray:
 _RUN = "pack long, node long, name long, at int, times long, body binary"
 
 
-def _halves(runs: DataFrame, low: int, high: int, width: int, seed: int) -> DataFrame:
-    """Runs (node, name, at, body, times) whose anchors stand `low` to `high` bytes behind their windows' starts, cut into two at the middle: parent node and name, half (1: the windows
+def _halves(runs: DataFrame, width: int, seed: int) -> DataFrame:
+    """Runs (node, low, high, name, at, body, times), whose anchors stand `low` to `high` bytes behind their windows' starts, cut into two at the middle: parent node and name, half (1: the windows
     that start earlier), and the run that is left in the half."""
-    middle = (low + high) // 2
+    middle = F.floor((F.col("low") + F.col("high")) / 2).cast("int")
     least = F.col("at") - (F.length("body") - width)
 
-    def half(k: int, a: int, b: int) -> Column:
-        most = F.least(F.col("at"), F.lit(b))
-        rest = F.greatest(least, F.lit(a))
+    def half(k: int, a: Column, b: Column) -> Column:
+        most, rest = F.least(F.col("at"), b), F.greatest(least, a)
         body = F.substring("body", F.col("at") - most + 1, most + width - rest)
-        common = F.substring("body", F.col("at") - a + 1, F.lit(width - (b - a)))
-        run = F.struct(F.lit(k).alias("half"), F.xxhash64(F.lit(seed), "node", F.lit(k), common).alias("node"), F.xxhash64(F.lit(seed), most, body).alias("name"), most.cast("int").alias("at"), "times", body.alias("body"))
+        common = F.substring("body", F.col("at") - a + 1, width - (b - a))
+        node = F.xxhash64(F.lit(seed), "node", F.lit(k), common)
+        run = F.struct(F.lit(k).alias("half"), node.alias("node"), a.alias("low"), b.alias("high"), F.xxhash64(F.lit(seed), most, body).alias("name"), most.alias("at"), "times", body.alias("body"))
         return F.when(most >= rest, run)
 
-    both = F.explode(F.array(half(0, low, middle), half(1, middle + 1, high))).alias("r")
+    both = F.explode(F.array(half(0, F.col("low"), middle), half(1, middle + 1, F.col("high")))).alias("r")
     return runs.select(F.col("node").alias("parent"), F.col("name").alias("parent_name"), both).filter("r is not null").select("parent", "parent_name", "r.*")
 
 
 def _distinct(runs: DataFrame) -> DataFrame:
     """Copies of a run as one, by their bytes."""
-    found = stash(runs.groupBy("node", "name", "at", "body").agg(F.sum("times").alias("times")), codec="zstd")
+    found = stash(runs.groupBy("node", "low", "high", "name", "at", "body").agg(F.sum("times").alias("times")), codec="zstd")
     if not found.groupBy("node", "name").count().filter("count > 1").isEmpty():
         raise NamesCollide
     return found
@@ -303,34 +312,36 @@ class NamesCollide(Exception):
     """Two different runs of an anchor have one name: names are drawn anew."""
 
 
-def _marks(runs: DataFrame, low: int, high: int, width: int, seed: int) -> DataFrame:
-    """(node, name, marks): a byte for each window of each run, 1 if it occurs again; runs without any are left out. `runs` are different ones, as from `_distinct`."""
+def _marks(runs: DataFrame, width: int, seed: int) -> DataFrame:
+    """(node, name, marks): a byte for each window of each run, 1 if it occurs again; runs without any are left out.
+
+    Nodes with few runs are sorted, the others cut into halves, level by level; then what the halves have learnt is put together again, from the last level up."""
 
     def work(table: pa.Table) -> pa.Table:
-        node, name = table.column("node").to_numpy(), table.column("name")
-        found = again(node, table.column("body").to_pylist(), table.column("at").to_numpy().astype(np.int64), table.column("times").to_numpy(), width)
+        found = again(table.column("node").to_numpy(), table.column("body").to_pylist(), table.column("at").to_numpy().astype(np.int64), table.column("times").to_numpy(), width)
         some = pa.array([bool(m.any()) for m in found], pa.bool_())
         marks = pa.array([m.astype(np.uint8).tobytes() for m in found], pa.binary())
-        return pa.table([table.column("node"), name, marks], ["node", "name", "marks"]).filter(some)
-
-    crowded = stash(runs.groupBy("node").agg(F.count(F.lit(1)).alias("_n")).filter(f"_n > {CROWD}").select("node"))
-    some = low < high and not crowded.isEmpty()
-    calm = runs.join(crowded, "node", "left_anti") if some else runs
-    buckets = runs.count() // BUCKET + 1
-    out = calm.withColumn("_bucket", F.pmod(F.xxhash64("node"), F.lit(buckets))).groupBy("_bucket").applyInArrow(work, "node long, name long, marks binary")
-    if not some:
-        return out
-    # The crowded nodes' runs by halves; what the halves learn is put together again.
-    middle = (low + high) // 2
-    cut = stash(_halves(runs.join(crowded, "node", "left_semi"), low, high, width, seed), codec="zstd")
-    sides = [stash(_marks(_distinct(cut.filter(F.col("half") == k)), a, b, width, seed)) for k, a, b in ((0, low, middle), (1, middle + 1, high))]
-    marks = sides[0].unionByName(sides[1])
-    windows = F.length("body") - width + 1
-    told = cut.select("parent", "parent_name", "half", "node", "name", windows.alias("_windows")).join(marks.hint("merge"), ["node", "name"], "left")
-    told = told.withColumn("marks", F.coalesce("marks", F.expr("cast(repeat('\\0', _windows) as binary)")))
-    part = lambda k: F.coalesce(F.max(F.when(F.col("half") == k, F.col("marks"))), F.lit(b""))
-    whole = told.groupBy(F.col("parent").alias("node"), F.col("parent_name").alias("name")).agg(F.concat(part(1), part(0)).alias("marks"))
-    return out.unionByName(whole)
+        return pa.table([table.column("node"), table.column("name"), marks], ["node", "name", "marks"]).filter(some)
+
+    told, cuts, now = [], [], _distinct(runs)
+    while True:
+        crowded = stash(now.filter("low < high").groupBy("node").agg(F.count(F.lit(1)).alias("_n")).filter(f"_n > {CROWD}").select("node"))
+        some = not crowded.isEmpty()
+        calm = now.join(crowded, "node", "left_anti") if some else now
+        buckets = now.count() // BUCKET + 1
+        told.append(stash(calm.withColumn("_bucket", F.pmod(F.xxhash64("node"), F.lit(buckets))).groupBy("_bucket").applyInArrow(work, "node long, name long, marks binary")))
+        if not some:
+            break
+        cuts.append(stash(_halves(now.join(crowded, "node", "left_semi"), width, seed), codec="zstd"))
+        now = _distinct(cuts[-1])
+    marks = told.pop()
+    while cuts:
+        half = cuts.pop().select("parent", "parent_name", "half", "node", "name", (F.length("body") - width + 1).alias("_windows"))
+        half = half.join(marks.hint("merge"), ["node", "name"], "left").withColumn("marks", F.coalesce("marks", F.expr("cast(repeat('\0', _windows) as binary)")))
+        part = lambda k: F.coalesce(F.max(F.when(F.col("half") == k, F.col("marks"))), F.lit(b""))
+        whole = half.groupBy(F.col("parent").alias("node"), F.col("parent_name").alias("name")).agg(F.concat(part(1), part(0)).alias("marks"))
+        marks = told.pop().unionByName(whole)
+    return marks
 
 
 def repeats(docs: DataFrame, width: int = 200, doc_id: str = "doc_id", text: str = "text", spans: bool = False) -> DataFrame:
@@ -353,34 +364,42 @@ def repeats(docs: DataFrame, width: int = 200, doc_id: str = "doc_id", text: str
 def _judged(packs: DataFrame, known: DataFrame, width: int, seed: int, spans: bool) -> DataFrame:
     def sent(name, pack, found):
         runs = Runs(pack, width)
-        key, check = runs.hashed(pack, seed)
+        key = runs.keys(pack)
         pick = np.flatnonzero(_met(found, key))
-        _, at, times = np.unique(np.stack([key[pick], check[pick]], axis=1), axis=0, return_index=True, return_counts=True)
-        order = np.argsort(at)  # in the order of the text, where neighbours overlap and compress well
-        at, times = pick[at[order]], times[order]
-        ahead = (runs.anchor - runs.first)[at]
-        bodies = [pack.raw[a : b + width] for a, b in zip(runs.first[at].tolist(), runs.last[at].tolist(), strict=True)]
-        columns = pa.array(np.full(len(at), name), pa.int64()), pa.array(key[at].view(np.int64)), pa.array(check[at].view(np.int64)), pa.array(ahead, pa.int32()), pa.array(times, pa.int64()), pa.array(bodies, pa.binary())
-        return pa.table(columns, ["pack", "node", "name", "at", "times", "body"])
+        key, check = key[pick], runs.names(pack, seed, pick)
+        order = np.lexsort((check, key))  # stable: the first of equal runs stands first
+        fresh = np.ones(len(order), bool)
+        fresh[1:] = (key[order][1:] != key[order][:-1]) | (check[order][1:] != check[order][:-1])
+        at, times = order[fresh], np.diff(np.flatnonzero(fresh), append=len(order))
+        by = np.argsort(at)  # in the order of the text, where neighbours overlap and compress well
+        at, times = at[by], times[by]
+        first, last, ahead = (x[pick[at]] for x in (runs.first, runs.last, runs.anchor - runs.first))
+        bodies = [pack.raw[a : b + width] for a, b in zip(first.tolist(), last.tolist(), strict=True)]
+        columns = np.full(len(at), name), key[at].view(np.int64), check[at].view(np.int64), ahead.astype(np.int32), times
+        return pa.table([*map(pa.array, columns), pa.array(bodies, pa.binary())], ["pack", "node", "name", "at", "times", "body"])
 
     runs = stash(pk.told(packs, known, sent, _RUN), codec="zstd")
-    marks = stash(_marks(_distinct(runs), 0, width - min(GRAM, width), width, seed))
+    places = F.lit(0).alias("low"), F.lit(width - min(GRAM, width)).alias("high")
+    marks = stash(_marks(runs.select("*", *places), width, seed))
     answers = runs.select("pack", "node", "name").join(marks.hint("merge"), ["node", "name"])
 
     def finish(left: pa.Table, right: pa.Table) -> pa.Table:
         row = left.slice(0, 1).to_pylist()[0]
         pack = pk.Pack(row["ids"], row["sizes"], row["body"], row["extra"])
         runs = Runs(pack, width)
-        named = zip(right.column("node").to_pylist(), right.column("name").to_pylist(), right.column("marks").to_pylist(), strict=True)
-        found = {(n, m): np.frombuffer(x, np.uint8) for n, m, x in named}
-        key, check = runs.hashed(pack, seed)
-        start, end = [], []
-        for first, k, c in zip(runs.first.tolist(), key.view(np.int64).tolist(), check.view(np.int64).tolist(), strict=True):
-            if (marks := found.get((k, c))) is not None:
-                edges = np.flatnonzero(np.diff(marks, prepend=0, append=0)) + first
-                start += edges[::2].tolist()
-                end += (edges[1::2] - 1 + width).tolist()
-        return _report(pack, np.array(start, np.int64), np.array(end, np.int64), spans)
+        key = runs.keys(pack).view(np.int64)
+        nodes = right.column("node").to_numpy()
+        pick = np.flatnonzero(np.isin(key, nodes))
+        found = dict(zip(zip(nodes.tolist(), right.column("name").to_pylist(), strict=True), right.column("marks").to_pylist(), strict=True))
+        marks = [found.get(x) for x in zip(key[pick].tolist(), runs.names(pack, seed, pick).view(np.int64).tolist(), strict=True)]
+        pick = pick[[m is not None for m in marks]]
+        # All marks in a row, a zero after each run: stretches of ones are stretches of windows.
+        flat = np.frombuffer(b"".join(m + b"\0" for m in marks if m is not None), np.uint8)
+        begin = np.cumsum(runs.last[pick] - runs.first[pick] + 2) - (runs.last[pick] - runs.first[pick] + 2)
+        edges = np.flatnonzero(np.diff(flat, prepend=np.uint8(0)))
+        of = np.searchsorted(begin, edges[::2], "right") - 1
+        shift = runs.first[pick][of] - begin[of]
+        return _report(pack, edges[::2] + shift, edges[1::2] - 1 + width + shift, spans)
 
     schema = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + (", kept binary, removed array<struct<start:long,end:long>>" if spans else "")
     return packs.groupBy("pack").cogroup(answers.groupBy("pack")).applyInArrow(finish, schema)

@@ -119,14 +119,14 @@ def test_anchor_runs_in_small_steps(monkeypatch):
     runs = byte_windows.Runs(pack, 200)
     covered = [s for a, b in zip(runs.first, runs.last, strict=True) for s in range(a, b + 1)]
     assert covered == [s for a, e in zip(pack.starts, pack.ends, strict=True) for s in range(a, e - 199)]
-    names = {(int(f), int(k)): int(c) for f, k, c in zip(runs.first, *runs.hashed(pack, 0), strict=True)}
+    every = np.arange(len(runs.first))
+    before = runs.keys(pack).tolist(), runs.names(pack, 3, every).tolist()
     stored = byte_windows.Runs(packs.Pack(*body, runs.packed()), 200)
     assert all((getattr(stored, x) == getattr(runs, x)).all() for x in ("first", "last", "anchor"))
     monkeypatch.setattr(byte_windows, "_STEP", 397)
     again = byte_windows.Runs(pack, 200)
     assert [s for a, b in zip(again.first, again.last, strict=True) for s in range(a, b + 1)] == covered
-    more = {(int(f), int(k)): int(c) for f, k, c in zip(runs.first, *runs.hashed(pack, 0), strict=True)}
-    assert more == names
+    assert (runs.keys(pack).tolist(), runs.names(pack, 3, every).tolist()) == before
 
 
 def test_runs_of_an_anchor_are_sorted_and_verified(monkeypatch):
@@ -155,7 +155,7 @@ def test_runs_of_an_anchor_are_sorted_and_verified(monkeypatch):
         assert [g.tolist() for g in got] == want
 
 
-@pytest.mark.parametrize("crowd", [1, 3, 10])
+@pytest.mark.parametrize("crowd", [1, 6])
 def test_crowded_anchors_are_split_without_loss(spark, monkeypatch, crowd):
     """A line in many surroundings, some of which are copies of each other in part."""
     monkeypatch.setattr(byte_windows, "CROWD", crowd)
