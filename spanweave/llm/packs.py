@@ -172,14 +172,14 @@ def _arrays(rows: Iterable[tuple[int, int, int, bytes]]) -> pa.Table:
     return pa.table([pa.array([r[i] for r in rows], k) for i, k in enumerate(kinds)], ["kind", "bucket", "pack", "body"])
 
 
-def ask(packs: DataFrame, question: Callable[[int, Pack], Iterable[tuple[int, bytes]]], kind: int) -> DataFrame:
-    """Questions (bucket, body) of every pack."""
+def ask(packs: DataFrame, question: Callable[[int, Pack], Iterable[tuple[int, bytes]]], kind: int, load: type = Pack) -> DataFrame:
+    """Questions (bucket, body) of every pack, which `load` makes from its row."""
 
     def work(batches):
         for batch in batches:
             for row in batch.to_pylist():
                 pack = row["pack"]
-                found = [(kind, b, pack, body) for b, body in question(pack, Pack(row["ids"], row["sizes"], row["body"], row["extra"]))]
+                found = [(kind, b, pack, body) for b, body in question(pack, load(row["ids"], row["sizes"], row["body"], row["extra"]))]
                 yield from _arrays(found).to_batches()
 
     return packs.mapInArrow(work, ARRAYS)
@@ -196,13 +196,13 @@ def answered(questions: DataFrame, answer: Callable[[list[bytes]], list[bytes]])
     return questions.groupBy("bucket").applyInArrow(work, ARRAYS)
 
 
-def told(packs: DataFrame, answers: DataFrame, then: Callable[[int, Pack, dict[tuple[int, int], bytes]], pa.Table], schema: str) -> DataFrame:
+def told(packs: DataFrame, answers: DataFrame, then: Callable[[int, Pack, dict[tuple[int, int], bytes]], pa.Table], schema: str, load: type = Pack) -> DataFrame:
     """`then(pack, Pack, {(kind, bucket): answer})` for every pack with its answers."""
 
     def work(left: pa.Table, right: pa.Table) -> pa.Table:
         found = {(k, b): body for k, b, body in zip(right.column("kind").to_pylist(), right.column("bucket").to_pylist(), right.column("body").to_pylist(), strict=True)}
         row = left.slice(0, 1).to_pylist()[0]
-        return then(row["pack"], Pack(row["ids"], row["sizes"], row["body"], row["extra"]), found)
+        return then(row["pack"], load(row["ids"], row["sizes"], row["body"], row["extra"]), found)
 
     return packs.groupBy("pack").cogroup(answers.groupBy("pack")).applyInArrow(work, schema)
 

@@ -181,7 +181,10 @@ def quality_scores(docs: DataFrame, labels: DataFrame, threshold: float = 0.3, s
 
 
 def keep_good(docs: DataFrame, labels: DataFrame, threshold: float = 0.3, sample: int = 4000, most_passages: int = 200_000) -> DataFrame:
-    """The rows of `docs` that score `threshold` or more, all columns as they are, in one pass without a shuffle."""
+    """The rows of `docs` that score `threshold` or more, all columns as they are, in one pass without a shuffle.
+
+    Null texts are empty and scored as one empty passage; null ids and repeated rows are judged by their texts like any other; an empty table gives no rows, and
+    columns of any name stand."""
     model, at = train(docs, labels, sample, most_passages), docs.columns.index("text")
 
     def work(batches):

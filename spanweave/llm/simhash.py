@@ -2,17 +2,20 @@
 
 A fingerprint is read as a ring of `segments` equal parts. If two fingerprints differ in at most `radius` bits, some start on the ring
 exists from which every run of l parts differs in at most l * radius / segments bits. So the first parts of such a chain are equal: they are
-the key candidates meet on, rotated to each start, and the longer runs are tested before the full distance.
+the key candidates meet on, for each start, and the longer runs are tested before the full distance. Crowded keys are made longer by the same rule, applied to the other bits.
 """
 
 from __future__ import annotations
 
+from functools import reduce
+
 import numpy as np
 import pyarrow as pa
 import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from spanweave.llm import packs as pk
 from spanweave.llm.linking import components
 from spanweave.llm.packs import mix
 from spanweave.llm.shared import stash, texts
@@ -59,41 +62,55 @@ def fingerprints(docs: DataFrame, words: int = 3, doc_id: str = "doc_id", text:
     return texts(docs, doc_id, text).mapInArrow(work, "doc_id long, bits long")
 
 
-def _rotated(bits: Column, by: int) -> Column:
-    return F.shiftrightunsigned(bits, by).bitwiseOR(F.shiftleft(bits, 64 - by)) if by else bits
+def _chains(places: list[int], parts: int, radius: int) -> list[list[int]]:
+    """The bits at `places` are a ring, cut into `parts`. If at most `radius` of them differ, some start exists from which every run of l parts differs in at most l * radius / parts
+    bits. For each start: masks of its longest runs that may differ in 0, 1, ... radius - 1 bits."""
+    edges = [k * len(places) // parts for k in range(parts + 1)]
+    pieces = [sum(1 << p for p in places[x:y]) for x, y in zip(edges[:-1], edges[1:], strict=True)]
+    longest = [-(-(b + 1) * parts // radius) - 1 for b in range(radius)]
+    return [[sum(pieces[(start + k) % parts] for k in range(run)) for run in longest] for start in range(parts)]
+
+
+def _signed(x: int) -> int:
+    return x - (1 << 64) if x >> 63 else x
 
 
-def links(prints: DataFrame, radius: int = 2, segments: int = 8, crowd: int = 4096) -> DataFrame:
-    """(u, v), u < v: pairs of different fingerprints (column `bits`) within `radius` bits.
+def links(prints: DataFrame, radius: int = 2, segments: int = 8, crowd: int = 256) -> DataFrame:
+    """(u, v), u < v: all pairs of different fingerprints (column `bits`) within `radius` bits.
 
-    Every such pair is found where no key holds more than `crowd` different fingerprints. A larger key's fingerprints are not
-    compared in pairs: each is entered under all values one bit away (radius 2 or less), which any two within two bits
-    share, and linked to the least one there, which keeps every component."""
+    Fingerprints meet on the equal parts that a chain begins with (`_chains` of the whole ring); the chain's longer runs are tested, then the whole distance. Where more than
+    `crowd` of them meet, they all agree on those parts, so that the ring of the other bits holds whatever difference there is: it is cut into parts
+    in turn, and they meet on a longer key. At most 2**(bits left) fingerprints can agree, so this ends."""
     if not 0 < radius < segments or 64 % segments:
         raise ValueError("segments must divide 64 and exceed radius")
-    if radius > 2:
-        crowd = 1 << 62
-    width, free = 64 // segments, (segments - 1) // radius
-    lead = (1 << (width * free)) - 1
-    turns = F.explode(F.array(*(F.struct(F.lit(i).alias("start"), _rotated(F.col("bits"), i * width).alias("turned")) for i in range(segments))))
-    keyed = prints.select("bits").distinct().select("bits", turns.alias("t")).select("bits", "t.start", "t.turned", F.col("t.turned").bitwiseAND(F.lit(lead)).alias("lead"))
-    crowded = stash(keyed.groupBy("start", "lead").count().filter(F.col("count") > crowd).select("start", "lead"))
-    some = not crowded.isEmpty()
-    calm = keyed.join(crowded, ["start", "lead"], "left_anti") if some else keyed
-    a = calm.select("start", "lead", F.col("bits").alias("u"), F.col("turned").alias("x"))
-    b = calm.select(F.col("start").alias("start_b"), F.col("lead").alias("lead_b"), F.col("bits").alias("v"), F.col("turned").alias("y"))
-    apart = F.col("x").bitwiseXOR(F.col("y"))
-    chain = F.lit(True)
-    for run in range(free + 1, segments + 1):
-        part = apart if run == segments else apart.bitwiseAND(F.lit((1 << (width * run)) - 1))
-        chain = chain & (F.bit_count(part) <= run * radius // segments)
-    found = a.join(b, (F.col("start") == F.col("start_b")) & (F.col("lead") == F.col("lead_b")) & (F.col("u") < F.col("v")) & chain).select("u", "v")
-    if some:
-        near = F.explode(F.array(F.col("bits"), *(F.col("bits").bitwiseXOR(F.shiftleft(F.lit(1).cast("long"), k)) for k in range(64))))
-        entered = keyed.join(crowded, ["start", "lead"], "left_semi").select("bits").distinct().select("bits", near.alias("value"))
-        least = entered.groupBy("value").agg(F.min("bits").alias("u"), F.count(F.lit(1)).alias("n")).filter("n > 1").select("value", "u")
-        found = found.unionByName(entered.join(least, "value").filter("u < bits").select("u", F.col("bits").alias("v")))
-    return found.distinct()
+    spark, runs = prints.sparkSession, [f"c{b}" for b in range(1, radius)]
+    now, found = prints.select("bits", F.lit(0).cast("long").alias("mask")).distinct(), []
+    cuts = {0: _chains([*range(64)], segments, radius)}
+    while True:
+        # One row a chain: at most `segments` times the few starts that each further cut has.
+        table = [(_signed(m), _signed(m | chain[0]), *map(_signed, chain[1:])) for m, chains in cuts.items() for chain in chains]
+        chains = spark.createDataFrame(table, ", ".join(f"{c} long" for c in ("of", "mask", *runs)))
+        keyed = now.withColumnRenamed("mask", "of").join(F.broadcast(chains), "of").select("bits", "mask", F.col("bits").bitwiseAND(F.col("mask")).alias("lead"), *runs)
+        left = {m: [p for p in range(64) if not m >> p & 1] for m in {m | chain[0] for m, chains in cuts.items() for chain in chains}}
+        cuts = {_signed(m): _chains(p, max(radius + 1, min(segments, len(p) // 8)), radius) for m, p in left.items() if 2 ** len(p) > crowd}
+        some = False
+        if cuts:
+            crowded = stash(keyed.groupBy("mask", "lead").count().filter(F.col("count") > crowd).join(F.broadcast(spark.createDataFrame([(m,) for m in cuts], "mask long")), "mask", "left_semi").select("mask", "lead"))
+            cuts = {r["mask"] % (1 << 64): cuts[r["mask"]] for r in crowded.select("mask").distinct().collect()}  # masks, not fingerprints: as many as the chains have
+            some = bool(cuts)
+        calm = keyed.join(crowded, ["mask", "lead"], "left_anti") if some else keyed
+        u = calm.select(F.col("mask").alias("mask_u"), F.col("lead").alias("lead_u"), F.col("bits").alias("u"), *runs)
+        v = calm.select("mask", "lead", F.col("bits").alias("v"))
+        apart = F.col("u").bitwiseXOR(F.col("v"))
+        close = F.bit_count(apart) <= radius
+        for b, run in enumerate(runs, 1):
+            close = (F.bit_count(apart.bitwiseAND(F.col(run))) <= b) & close
+        met = (F.col("mask_u") == F.col("mask")) & (F.col("lead_u") == F.col("lead")) & (F.col("u") < F.col("v"))
+        near = u.join(v, met & close).select("u", "v")
+        found.append(stash(near) if some or found else near)
+        if not some:
+            return reduce(DataFrame.unionByName, found).distinct()
+        now = stash(keyed.join(crowded, ["mask", "lead"], "left_semi").select("bits", "mask").distinct())
 
 
 def near_classes(docs: DataFrame, words: int = 3, radius: int = 2, segments: int = 8, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
@@ -115,6 +132,8 @@ def near_classes(docs: DataFrame, words: int = 3, radius: int = 2, segments: int
 LEAST_WIDE, STRIDE = 12, 8
 #: Groups of up to SMALL documents are compared in pairs by a join, larger ones in blocks of BLOCK documents.
 SMALL, BLOCK = 16, 256
+#: Documents whose fingerprints stand in one row.
+CRATE = 2048
 
 
 def edge_bits(least: float) -> float:
@@ -151,6 +170,25 @@ def _alike(x: set[int], y: set[int]) -> float:
     return len(x & y) / len(x | y) if x or y else 1.0
 
 
+def keyed_rows(docs: DataFrame) -> DataFrame:
+    """`docs` and `_key`, a number for every row: its doc_id where no other row has it, and else one from 2**62 on, drawn from id and text; rows that have both in common share it.
+    Ids are taken to be below 2**62. Columns of any other name stand."""
+    often = stash(docs.groupBy(F.col("doc_id").cast("long").alias("_id")).agg(F.count(F.lit(1)).alias("_n")).filter("_n > 1 or _id is null").select("_id"))
+    if often.isEmpty():
+        return docs.withColumn("_key", F.col("doc_id").cast("long"))
+    drawn = F.shiftrightunsigned(F.xxhash64("doc_id", "text"), 2).bitwiseOR(F.lit(1 << 62))
+    marked = docs.join(often.withColumn("_often", F.lit(True)), F.col("doc_id").cast("long").eqNullSafe(F.col("_id")), "left")
+    return marked.withColumn("_key", F.when(F.col("_often"), drawn).otherwise(F.col("doc_id").cast("long"))).select(*docs.columns, "_key")
+
+
+def drop_near(docs: DataFrame, **how) -> DataFrame:
+    """The rows of `docs` that stay, all columns: of each class of `similar_classes` the row with the least doc_id; rows whose id is null or carries several texts come last. A row is told by id
+    and text, so that no text goes with another one's id. Null texts are empty; an empty table gives no rows."""
+    rows = keyed_rows(docs)
+    gone = similar_classes(rows, doc_id="_key", **how).filter("doc_id <> component_id").select(F.col("doc_id").alias("_key")).distinct()
+    return rows.join(stash(gone).hint("merge"), "_key", "left_anti").select(*docs.columns)
+
+
 def _linked_in_block(ids: list[int], classes: list[int], sides: np.ndarray, bits: np.ndarray, shingles, limit: int, least: float) -> list[tuple[int, int]]:
     """Links that join different classes, among the documents of one block (all of side 0) or between two (sides 0 and 1). Near pairs come first, and
     a pair whose classes have met by then is passed over: it would join nothing."""
@@ -186,38 +224,93 @@ def _linked_in_block(ids: list[int], classes: list[int], sides: np.ndarray, bits
 def similar_classes(docs: DataFrame, words: int = 5, least: float = 0.8, most_bits: float | None = None, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """(doc_id, component_id) of the documents that are linked to others by a similarity of `least` or more over `words`-word shingles; component_id is the least doc_id of the class.
 
-    Candidates share a segment of a ring of wide fingerprints at the same place (`ring` gives the sizes). A pair is dropped if over `most_bits` of all bits
+    Candidates share a segment of a ring of wide fingerprints at the same place (`ring` gives the sizes). Segments that only one document has are dropped before any
+    row of theirs is made: crates of fingerprints ask for them by shortened hashes. A pair is dropped if over `most_bits` of all bits
     differ (default: a tenth more than at `least`), and the rest are linked if their shingles are as similar as asked. In every segment group each
     document is first held against the least one, one combinable minimum a group. Then the group's documents that are not yet in one class are compared with
     each other, in pairs in groups of up to SMALL documents and block by block in larger ones, until no two classes of the group are left uncompared. Null ids
-    are left out; null texts are empty, and texts without words are alike. Found pairs are exact; a pair just above `least` is missed if no segment is equal
-    (tests measure a recall of over 0.9)."""
+    are left out; ids must not repeat (`keyed_rows` gives such ids); null texts are empty, and texts without words are alike; an empty table gives no rows, other columns are ignored. Found
+    pairs are exact; a pair just above `least` is missed if no segment is equal (tests measure a recall of over 0.9)."""
     rows = texts(docs, doc_id, text).filter("doc_id is not null")
     edge = edge_bits(least)
     width, wide = ring(rows.count(), edge)
     limit = int((edge + 0.1 if most_bits is None else most_bits) * 64 * wide)
+    names = [f"b{k}" for k in range(wide)]
 
     def work(batches):
+        from pyspark import TaskContext
+
+        serial = TaskContext.get().partitionId() << 32
         for batch in batches:
-            for at in range(0, batch.num_rows, 256):
-                part = batch.slice(at, 256)
+            for at in range(0, batch.num_rows, CRATE):
+                part = batch.slice(at, CRATE)
                 bits = np.array([wide_fingerprint(t, wide, words) for t in part.column(1).to_pylist()], np.uint64).reshape(-1, wide)
-                yield pa.RecordBatch.from_arrays([part.column(0), *(pa.array(np.ascontiguousarray(bits[:, k]).view(np.int64)) for k in range(wide))], ["doc_id", *(f"b{k}" for k in range(wide))])
-
-    prints = stash(rows.mapInArrow(work, "doc_id long, " + ", ".join(f"b{k} long" for k in range(wide))))
-
-    def segment(k: int) -> Column:
-        """Bits k * STRIDE and on of the ring."""
-        word, shift = divmod(k * STRIDE, 64)
-        low = F.shiftrightunsigned(F.col(f"b{word}"), shift)
-        if shift + width > 64:
-            low = low.bitwiseOR(F.shiftleft(F.col(f"b{(word + 1) % wide}"), 64 - shift))
-        return low.bitwiseAND(F.lit((1 << width) - 1))
-
-    keys = F.explode(F.array(*(F.struct(F.lit(k).alias("k"), segment(k).alias("key")) for k in range(64 * wide // STRIDE)))).alias("s")
-    keyed = prints.select("doc_id", keys).select("doc_id", "s.k", "s.key")
-    heads = stash(keyed.groupBy("k", "key").agg(F.min("doc_id").alias("head"), F.max("doc_id").alias("_last"), F.count(F.lit(1)).alias("n")).filter("head <> _last").drop("_last"))
-    members = stash(keyed.join(heads.hint("merge"), ["k", "key"]).select("k", "key", "n", "head", "doc_id"))
+                ids = part.column(0).to_numpy().astype(np.int64).tobytes()
+                row = [serial], [ids], [b""], [bits.tobytes()], [len(bits)], [b""]
+                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(row, (pa.int64(), *(pa.binary(),) * 3, pa.int64(), pa.binary()), strict=True)], ["pack", "ids", "sizes", "body", "bytes", "extra"])
+                serial += 1
+
+    crates = stash(rows.mapInArrow(work, pk._PACK), codec="zstd")
+
+    class Crate:
+        """Ids and fingerprints of some documents."""
+
+        def __init__(self, ids: bytes, _sizes: bytes, body: bytes, _extra: bytes):
+            self.ids, self.bits = np.frombuffer(ids, np.int64), np.frombuffer(body, np.uint64).reshape(-1, wide)
+
+        def segments(self) -> np.ndarray:
+            """Bits k * STRIDE and on of every ring: documents x places."""
+            out = np.empty((len(self.ids), 64 * wide // STRIDE), np.uint64)
+            for k in range(out.shape[1]):
+                word, shift = divmod(k * STRIDE, 64)
+                low = self.bits[:, word] >> np.uint64(shift)
+                if shift + width > 64:
+                    low = low | (self.bits[:, (word + 1) % wide] << np.uint64(64 - shift))
+                out[:, k] = low & np.uint64((1 << width) - 1)
+            return out
+
+        def slots(self) -> np.ndarray:
+            """A segment and its place as one number."""
+            found = self.segments()
+            return mix(found + (np.arange(1, found.shape[1] + 1, dtype=np.uint64) << np.uint64(width)))
+
+    bucket_bits = pk.bucket_bits(rows.count() * 64 * wide // STRIDE)
+
+    def question(_, crate):
+        short = np.unique(crate.slots() >> np.uint64(32 - bucket_bits))
+        for b, lo, hi in pk.by_bucket(short << np.uint64(32 - bucket_bits), bucket_bits):
+            yield b, pk.squeeze(np.diff(short[lo:hi].astype(np.uint32), prepend=np.uint32(0)))
+
+    def answer(bodies):
+        parts = [np.cumsum(pk.expand(b, np.uint32), dtype=np.uint32) for b in bodies]
+        _, where, count = np.unique(np.concatenate(parts), return_inverse=True, return_counts=True)
+        return [np.packbits(x).tobytes() for x in np.split(count[where] > 1, np.cumsum([len(p) for p in parts])[:-1])]
+
+    def shared(_, crate, found):
+        slots = crate.slots()
+        value, where, times = np.unique(slots, return_inverse=True, return_counts=True)
+        short = np.unique(value >> np.uint64(32 - bucket_bits))
+        flags = np.zeros(len(short), bool)
+        for b, lo, hi in pk.by_bucket(short << np.uint64(32 - bucket_bits), bucket_bits):
+            flags[lo:hi] = np.unpackbits(np.frombuffer(found[0, b], np.uint8), count=hi - lo).astype(bool)
+        some = (times > 1) | flags[np.searchsorted(short, value >> np.uint64(32 - bucket_bits))]
+        doc, place = np.nonzero(some[where].reshape(slots.shape))
+        key = crate.segments()[doc, place] + (place.astype(np.uint64) << np.uint64(width))
+        return pa.table([pa.array(crate.ids[doc]), pa.array(key.view(np.int64))], ["doc_id", "key"])
+
+    known = pk.answered(pk.ask(crates, question, 0, load=Crate), answer)
+    keyed = stash(pk.told(crates, known, shared, "doc_id long, key long", load=Crate), codec="zstd")
+
+    def spread(batches):
+        for batch in batches:
+            for row in batch.to_pylist():
+                crate = Crate(row["ids"], b"", row["body"], b"")
+                yield pa.RecordBatch.from_arrays([pa.array(crate.ids), *(pa.array(np.ascontiguousarray(crate.bits[:, k]).view(np.int64)) for k in range(wide))], ["doc_id", *names])
+
+    met = keyed.select("doc_id").distinct()
+    prints = stash(crates.mapInArrow(spread, "doc_id long, " + ", ".join(f"{n} long" for n in names)).join(met, "doc_id", "left_semi"))
+    heads = stash(keyed.groupBy("key").agg(F.min("doc_id").alias("head"), F.max("doc_id").alias("_last"), F.count(F.lit(1)).alias("n")).filter("head <> _last").drop("_last"))
+    members = stash(keyed.join(heads.hint("merge"), "key").select("key", "n", "head", "doc_id"))
     other = prints.select(F.col("doc_id").alias("head"), *(F.col(f"b{k}").alias(f"c{k}") for k in range(wide)))
     differ = sum((F.bit_count(F.col(f"b{k}").bitwiseXOR(F.col(f"c{k}"))) for k in range(wide)), F.lit(0))
 
@@ -226,23 +319,28 @@ def similar_classes(docs: DataFrame, words: int = 5, least: float = 0.8, most_bi
             found = [similarity(a, b, words) >= least for a, b in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True)]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1)], ["u", "v"]).filter(pa.array(found, pa.bool_()))
 
+    def texts_of(ids: DataFrame) -> DataFrame:
+        """The texts of the documents in `ids` alone, once; Spark broadcasts the ids if they are few enough for its own threshold."""
+        return stash(rows.join(stash(ids.distinct()), "doc_id", "left_semi"), codec="zstd")
+
     def judged(candidates: DataFrame) -> DataFrame:
         """(u, v) of those pairs (doc_id, head) that are as similar as asked."""
         pairs = stash(candidates.distinct())
         near = pairs.join(prints.hint("merge"), "doc_id").join(other.hint("merge"), "head").filter(differ <= limit)
-        near = stash(near.select("doc_id", "head").distinct())
-        both = near.join(rows.hint("merge"), "doc_id").join(rows.select(F.col("doc_id").alias("head"), F.col("text").alias("other")).hint("merge"), "head")
+        near = stash(near.select("doc_id", "head"))
+        bodies = texts_of(near.select("doc_id").unionByName(near.select(F.col("head").alias("doc_id"))))
+        both = near.join(bodies.hint("merge"), "doc_id").join(bodies.select(F.col("doc_id").alias("head"), F.col("text").alias("other")).hint("merge"), "head")
         return stash(both.select(F.col("head").alias("u"), F.col("doc_id").alias("v"), "text", "other").mapInArrow(judge, "u long, v long"))
 
     classes = stash(components(judged(members.filter("doc_id <> head").select("doc_id", "head"))).select(F.col("key").alias("doc_id"), F.col("component").alias("class")))
 
     # What the stars left apart: groups with more than one class.
-    placed = stash(members.filter("n > 2").join(classes.hint("merge"), "doc_id", "left").select("k", "key", "n", "head", "doc_id", F.coalesce("class", "doc_id").alias("class")))
-    split = stash(placed.groupBy("k", "key").agg(F.min("class").alias("_a"), F.max("class").alias("_b")).filter("_a <> _b").select("k", "key"))
-    placed = stash(placed.join(split.hint("merge"), ["k", "key"]))
+    placed = stash(members.filter("n > 2").join(classes.hint("merge"), "doc_id", "left").select("key", "n", "head", "doc_id", F.coalesce("class", "doc_id").alias("class")))
+    split = stash(placed.groupBy("key").agg(F.min("class").alias("_a"), F.max("class").alias("_b")).filter("_a <> _b").select("key"))
+    placed = stash(placed.join(split.hint("merge"), "key"))
     few = placed.filter(f"n <= {SMALL} and doc_id <> head")
-    others = few.select(F.col("k").alias("k2"), F.col("key").alias("key2"), F.col("doc_id").alias("first"), F.col("class").alias("class2"))
-    apart = few.join(others.hint("merge"), F.expr("k = k2 and key = key2 and first < doc_id and class <> class2"))
+    others = few.select(F.col("key").alias("key2"), F.col("doc_id").alias("first"), F.col("class").alias("class2"))
+    apart = few.join(others.hint("merge"), F.expr("key = key2 and first < doc_id and class <> class2"))
     more = judged(apart.select("doc_id", F.col("first").alias("head")))
 
     def block_links(table: pa.Table) -> pa.Table:
@@ -257,9 +355,9 @@ def similar_classes(docs: DataFrame, words: int = 5, least: float = 0.8, most_bi
     blocks = F.ceil(F.col("n") / BLOCK).cast("int")
     cut = placed.filter(f"n > {SMALL}").withColumn("blocks", blocks).withColumn("own", F.pmod(F.xxhash64("doc_id"), F.col("blocks")).cast("int"))
     meets = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("met")
-    cut = cut.select("k", "key", "doc_id", "class", "own", meets).select("k", "key", "doc_id", "class", F.least("own", "met").alias("i"), F.greatest("own", "met").alias("j"), (F.col("own") > F.col("met")).cast("int").alias("side"))
-    full = cut.join(prints.hint("merge"), "doc_id").join(rows.hint("merge"), "doc_id")
-    more = more.unionByName(full.groupBy("k", "key", "i", "j").applyInArrow(block_links, "u long, v long"))
+    cut = cut.select("key", "doc_id", "class", "own", meets).select("key", "doc_id", "class", F.least("own", "met").alias("i"), F.greatest("own", "met").alias("j"), (F.col("own") > F.col("met")).cast("int").alias("side"))
+    full = cut.join(prints.hint("merge"), "doc_id").join(texts_of(cut.select("doc_id")).hint("merge"), "doc_id")
+    more = more.unionByName(full.groupBy("key", "i", "j").applyInArrow(block_links, "u long, v long"))
 
     # The later links join classes; a document without a class is its own.
     for end in ("u", "v"):

@@ -3,9 +3,10 @@ import random
 import time
 
 import pytest
+from pyspark.sql import functions as F
 
 from spanweave.llm import bpe, url_filter
-from spanweave.llm.queries import vocabulary
+from spanweave.llm.queries import TARGETS, vocabulary
 
 SAMPLES = ["", " ", "Hello  World's <|endoftext|> it''s ΑΣ İx 123 <|startoftext|>é", "a" * 5000, "abcabd" * 2000, "é ́xḍ̇", "''s'll-'re don't", "\x85\xa0\u2003x\u2028y\x1cz", "ẞßſ ﬁ", "日本語テキスト\u0590Ꟁꟁ"]
 
@@ -177,4 +178,20 @@ def test_pipeline_against_its_parts(spark, library):
     assert len({r.doc_id for r in got}) == len(got) and len({r.doc_id for r in got} ^ want) <= 0.01 * len(want)
     for r in got[:60]:
         assert r.n_tokens == len(library.encode(text[r.doc_id], add_special_tokens=False).ids)
-    assert len(corpus_pipeline.STAGES) == 5 and mixing.RESOLUTION > 0
+    assert len(corpus_pipeline.STAGES) == 5
+    kept = docs.join(spark.createDataFrame([(r.doc_id,) for r in got], "doc_id long"), "doc_id", "left_semi")
+    places = {r.doc_id: r.position for r in mixing.schedule(kept, TARGETS).collect()}
+    assert {r.doc_id: r.mix_position for r in got} == places and sorted(places.values()) == sorted({*places.values()})
+
+
+def test_pipeline_of_odd_and_empty_tables(spark, odd, tmp_path):
+    import corpus_pipeline
+
+    labels = spark.createDataFrame([], "doc_id long, quality int, toxic int")
+    extra = odd.unionByName(odd.limit(4)).unionByName(odd.withColumn("doc_id", F.lit(None).cast("long"))).withColumn("mix_position", F.lit(1)).withColumn("_key_", F.lit(2))
+    for name, docs in (("odd", extra), ("none", extra.limit(0))):
+        docs.write.parquet(f"{tmp_path}/{name}/documents.parquet")
+        labels.write.parquet(f"{tmp_path}/{name}/labels.parquet")
+    got = corpus_pipeline.run(spark, f"{tmp_path}/odd").collect()
+    assert {r.doc_id for r in got} == {1, 3, 4, 5, 7, 8, 9, 10} - {3} and len(got) == 7
+    assert corpus_pipeline.run(spark, f"{tmp_path}/none").collect() == []
