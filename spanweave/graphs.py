@@ -132,7 +132,7 @@ def interned_pairs(df: DataFrame, kind: str, key: str, word: str) -> DataFrame:
 
 
 def turn_id() -> Column:
-    return F.col("conv_id") * 4096 + F.col("turn")
+    return F.col("conv_id") * (1 << 24) + F.col("turn")
 
 
 def chains(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -11,6 +11,7 @@ from spanweave.operators.bridges import Prepared, _local_solver
 from spanweave.operators.components import connected_components
 from spanweave.operators.forest import sparsified, spanning_forest
 from spanweave.operators.paths import ancestor_paths
+from spanweave.operators.positions import dense_positions
 from spanweave.operators.pointers import hop
 
 
@@ -102,7 +103,7 @@ def fundamental_cycles(edges: DataFrame, ready: Prepared | None = None, **option
     ready = ready or Prepared(edges, **options)
     met = ready.met
     sides = met.select(F.col("u").alias("cycle_src"), F.col("v").alias("cycle_dst"), F.col("u").alias("x"), "lca").unionByName(met.select(F.col("u").alias("cycle_src"), F.col("v").alias("cycle_dst"), F.col("v").alias("x"), "lca"))
-    sides = settle(sides.withColumn("qid", F.xxhash64("cycle_src", "cycle_dst", "x")), "cycles")
+    sides = settle(dense_positions(sides, ["cycle_src", "cycle_dst", "x"], "qid"), "cycles")
     rows = ancestor_paths(ready.parents, sides.select("qid", F.col("x").alias("u"), F.col("lca").alias("anc")))
     steps = hop(rows.join(sides.select("qid", "cycle_src", "cycle_dst", "lca"), "qid").filter("v <> lca"), ready.parents, "v", {"p": "parent"}, name="v")
     along = steps.select("cycle_src", "cycle_dst", F.least("v", "p").alias("src"), F.greatest("v", "p").alias("dst"))

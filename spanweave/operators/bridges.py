@@ -30,7 +30,7 @@ class Prepared:
     rmq_method: str = "block"
     budget: Budget | None = None
     seed: int = 0
-    s: int = LOCAL_ROWS
+    s: int | None = None
     parents_given: DataFrame | None = None
     _parts: dict = field(default_factory=dict)
 
@@ -65,7 +65,7 @@ class Prepared:
 
     @property
     def tour(self) -> DataFrame:
-        return self._once("tour", lambda: settle(dfs_sequence(self.parents, method=self.tour_method, s=self.s, seed=self.seed), "tour"))
+        return self._once("tour", lambda: settle(dfs_sequence(self.parents, method=self.tour_method, s=self.s, seed=self.seed, budget=self.budget), "tour"))
 
     @property
     def spans(self) -> DataFrame:

@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 
 from spanweave.ledger import Budget, settle
 from spanweave.schema import Failed
+from spanweave.store import discard
 
 
 def both_ways(edges: DataFrame) -> DataFrame:
@@ -42,10 +43,10 @@ def _naive(edges, budget, max_rounds, seed):
     label = arcs.select("v").distinct().withColumn("comp", F.col("v"))
     for turn in range(1, max_rounds):
         heard = arcs.join(label.select(F.col("v").alias("w"), "comp"), "w").groupBy("v").agg(F.min("comp").alias("heard"))
-        label = settle(label.join(heard, "v").select("v", F.least("comp", "heard").alias("comp"), (F.col("heard") < F.col("comp")).alias("moved")), "components", turn)
+        spent, label = label, settle(label.join(heard, "v").select("v", F.least("comp", "heard").alias("comp"), (F.col("heard") < F.col("comp")).alias("moved")), "components", turn)
+        discard(spent)
         if label.filter("moved").isEmpty():
             return label.select("v", "comp")
-        label = label.drop("moved")
     raise Failed(f"labels did not settle in {max_rounds} rounds")
 
 
@@ -62,8 +63,11 @@ def _stars(edges, budget, max_rounds, seed):
         least = settle(two.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m")), "components least", turn)
         large = two.filter("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
         low = large.groupBy("u").agg(F.min("v").alias("m"))
+        gone = now, least
         small = large.join(low, "u").filter("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(low.select("u", F.col("m").alias("v"))).distinct()
         now = settle(small, "components", turn)
+        for frame in gone:  # spent: the next round starts from `now`
+            discard(frame)
     else:
         raise Failed(f"stars did not settle in {max_rounds} rounds")
     return now.select(F.col("u").alias("v"), F.col("v").alias("comp")).unionByName(now.select(F.col("v"), F.col("v").alias("comp")).distinct())

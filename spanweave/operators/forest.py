@@ -13,15 +13,16 @@ from spanweave.schema import Failed
 _PARENTS = "v long, parent long, root long, depth int"
 
 
-def spanning_forest(edges: DataFrame, vertices: DataFrame | None = None, method: str = "auto", local_rows: int = LOCAL_ROWS, budget: Budget | None = None, max_rounds: int = 2000, seed: int = 0) -> DataFrame:
+def spanning_forest(edges: DataFrame, vertices: DataFrame | None = None, method: str = "auto", local_rows: int | None = None, budget: Budget | None = None, max_rounds: int = 2000, seed: int = 0) -> DataFrame:
     """A spanning forest of (src, dst), isolated `vertices` included.
 
     bfs: breadth-first from the least id of each component, parents the least neighbour one level up (the canonical forest; depth at most the
-    diameter, a round a level). auto: the same forest, components of up to `local_rows` edges each solved in one task, the others by rounds. hook: tree edges of
+    diameter, a round a level). auto: the same forest, components of up to `local_rows` edges (default: what `budget` allows a task, N**delta; LOCAL_ROWS without one) each solved in one task, the others by rounds. hook: tree edges of
     least-edge hooking, rooted by ranking their tour, logarithmic rounds and any depth. contract: tree edges of budgeted leader contraction, rooted likewise."""
     edges = edges.filter("src <> dst").select("src", "dst").distinct()
     if method == "auto":
-        found = _auto(edges, local_rows, max_rounds)
+        edges = settle(edges, "forest", 0)
+        found = _auto(edges, local_rows if local_rows is not None else budget.local(edges.count()) if budget else LOCAL_ROWS, max_rounds)
     elif method == "bfs":
         found = _bfs(edges, max_rounds)
     else:
@@ -43,7 +44,8 @@ def _auto(edges: DataFrame, local_rows: int, max_rounds: int) -> DataFrame:
     small = held.join(large, "comp", "left_anti").groupBy("comp").applyInPandas(_local_bfs, _PARENTS)
     if large.isEmpty():
         return small
-    return small.unionByName(_bfs(held.join(large, "comp", "left_semi").select("src", "dst"), max_rounds))
+    many = held.join(large, "comp", "left_semi")
+    return small.unionByName(_bfs(many.select("src", "dst"), max_rounds, large.select(F.col("comp").alias("v"))))
 
 
 def _local_bfs(pdf: pd.DataFrame) -> pd.DataFrame:
@@ -66,11 +68,11 @@ def _local_bfs(pdf: pd.DataFrame) -> pd.DataFrame:
     return pd.DataFrame(rows, columns=["v", "parent", "root", "depth"]).astype({"depth": "int32"})
 
 
-def _bfs(edges: DataFrame, max_rounds: int) -> DataFrame:
-    """One frontier for all components; each level is written apart, so a round reads only the frontier, its arcs and the ids seen."""
+def _bfs(edges: DataFrame, max_rounds: int, roots: DataFrame | None = None) -> DataFrame:
+    """One frontier for all components, from `roots` (v) where they are known; each level is written apart, so a round reads only the frontier, its arcs and the ids seen."""
     arcs = settle(both_ways(edges), "forest", 0)
-    label = connected_components(edges)
-    front = settle(label.select(F.col("comp").alias("v")).distinct().select("v", F.col("v").alias("parent"), F.col("v").alias("root"), F.lit(0).alias("depth")), "forest", 0)
+    roots = roots if roots is not None else connected_components(edges).select(F.col("comp").alias("v")).distinct()
+    front = settle(roots.select("v", F.col("v").alias("parent"), F.col("v").alias("root"), F.lit(0).alias("depth")), "forest", 0)
     seen = [front]
     for turn in range(1, max_rounds):
         before = seen[-1].select("v") if turn == 1 else seen[-1].select("v").unionByName(seen[-2].select("v"))

@@ -235,3 +235,13 @@ def space_ratio(ledger: Ledger, rows: int, budget: Budget) -> float:
 def parity(df: DataFrame, column: str) -> DataFrame:
     """One row (parity): the exclusive or of a column, partial in every task, then final."""
     return df.agg(F.coalesce(F.bit_xor(F.col(column).cast("long")), F.lit(0)).cast("long").alias("parity"))
+
+
+def approximate_degrees(edges: DataFrame, error: float = 0.05, accuracy: int = 1000) -> DataFrame:
+    """One row of sketches, exact counts beside them: distinct neighbours in all (neighbours, about_neighbours: relative standard deviation `error`) and the
+    median degree (median, about_median: rank error 1 / accuracy). Sketches combine before the shuffle, so that no vertex's neighbours meet."""
+    ends = edges.select("src", "dst")
+    degree = ends.groupBy("src").agg(F.count(F.lit(1)).alias("d"))
+    of = ends.agg(F.countDistinct("dst").alias("neighbours"), F.approx_count_distinct("dst", error).alias("about_neighbours"))
+    middle = degree.agg(F.expr("percentile_disc(0.5) WITHIN GROUP (ORDER BY d)").cast("long").alias("median"), F.percentile_approx("d", 0.5, accuracy).alias("about_median"))
+    return of.crossJoin(middle)  # single rows

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
@@ -35,11 +37,21 @@ def _doubled(state: DataFrame, sums: tuple[str, ...] = ()) -> DataFrame:
 
 
 def doubling(state: DataFrame, sums: tuple[str, ...] = (), phase: str = "doubling", max_rounds: int = 64) -> DataFrame:
-    """Pointers (v, ptr, sums) followed to their ends, with sums over the path; ends have sums 0. Logarithmic in the longest path, one row a vertex alive."""
+    """Pointers (v, ptr, sums) followed to their ends, with sums over the path; ends have sums 0. Logarithmic in the longest path, one row a vertex alive.
+
+    A row whose pointer is an end is done and leaves the rounds; it learns so from the row it points to, whose own pointer is one. So the rounds shrink, and after the first no two rows are joined
+    on an end, however many hang below it."""
+    extra = [c for c in state.columns if c not in ("v", "ptr", *sums)]
+    live, done = state.withColumn("_end", F.col("v") == F.col("ptr")), []
     for turn in range(max_rounds):
-        state = settle(_doubled(state, sums), phase, turn)
-        if state.filter("moved").isEmpty():
-            return state.drop("moved")
+        far = reduce(DataFrame.unionByName, [live, *done]).select(F.col("v").alias("_v"), F.col("ptr").alias("_ptr"), F.col("_end").alias("_fixed"), *(F.col(s).alias(f"_{s}") for s in sums))
+        near = live if turn == 0 else live.filter("not _end")
+        step = near.join(far, F.col("ptr") == F.col("_v"))
+        step = settle(step.select("v", F.col("_ptr").alias("ptr"), *((F.col(s) + F.col(f"_{s}")).alias(s) for s in sums), *extra, F.col("_fixed").alias("_end")), phase, turn)
+        done.append(step.filter("_end"))
+        live = step.filter("not _end")
+        if live.isEmpty():
+            return reduce(DataFrame.unionByName, done).drop("_end")
     raise ValueError("pointers do not end: they hold a cycle")
 
 
@@ -86,8 +98,8 @@ def ancestor_at(parents: DataFrame, k: int, of: DataFrame | None = None) -> Data
     return found
 
 
-def child_ranks(parents: DataFrame, method: str = "window") -> DataFrame:
-    """(v, parent, rank) by child id from 1; a root has rank 1. `method="positions"` ranks without bringing one parent's children together."""
+def child_ranks(parents: DataFrame, method: str = "positions") -> DataFrame:
+    """(v, parent, rank) by child id from 1; a root has rank 1. positions: without bringing one parent's children together (default). window: one parent's children in one task."""
     children = parents.filter("v <> parent").select("v", "parent")
     roots = parents.filter("v = parent").select("v", "parent", F.lit(1).alias("rank"))
     if method == "window":

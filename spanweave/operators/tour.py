@@ -7,26 +7,27 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from spanweave.ledger import settle
+from spanweave.ledger import Budget, settle
 from spanweave.operators.components import LOCAL_ROWS
 from spanweave.operators.lca import TreeIndex, lca_batch
 from spanweave.operators.paths import ancestor_paths
 from spanweave.operators.pointers import child_counts, child_ranks, depths, doubling, hop, path_sums
-from spanweave.operators.positions import prefix_sums
+from spanweave.operators.positions import dense_positions, prefix_sums
 from spanweave.schema import Failed
 
 
-def dfs_sequence(parents: DataFrame, method: str = "leaf_sampling", s: int = LOCAL_ROWS, c: float = 1.0, max_pairs: int = 4_000_000, seed: int = 0, report: dict | None = None) -> DataFrame:
+def dfs_sequence(parents: DataFrame, method: str = "leaf_sampling", s: int | None = None, c: float = 1.0, max_pairs: int = 4_000_000, seed: int = 0, report: dict | None = None, budget: Budget | None = None, printed_bound: bool = False) -> DataFrame:
     """The sequence of a forest (v, parent, root, depth), children in the order of their ids.
 
-    leaf_sampling: subtrees of up to `s` vertices are solved in one task each; of larger ones a walk through sampled leaves is laid out and the rest hangs below it, in rounds by log depth with
-    linear space. More than `max_pairs` pairs of samples in all is Failed. tour_ranking: list ranking of the tree's arcs, rounds by log n. levels: subtree sizes level by level, a round a level.
+    leaf_sampling: subtrees of up to `s` vertices (default: what `budget` allows a task, N**delta; LOCAL_ROWS without one) are solved in one task each; of larger ones a walk through sampled leaves is laid out and the rest hangs below it, in rounds by log depth with
+    linear space. More than `max_pairs` pairs of samples in all is Failed, and with `printed_bound` more than s squares of a job's samples as well. tour_ranking: list ranking of the tree's arcs, rounds by log n. levels: subtree sizes level by level, a round a level.
     `report`, if given, receives sample counts and whether the bound #samples**2 <= s held."""
     if method == "tour_ranking":
         return _ranked_sequence(parents)
     if method == "levels":
         return _sequence_from_sizes(parents, subtree_sizes(parents, "levels"))
-    return _by_leaf_sampling(parents, s, c, max_pairs, seed, report if report is not None else {})
+    s = s if s is not None else budget.local(parents.count()) if budget else LOCAL_ROWS
+    return _by_leaf_sampling(parents, s, c, max_pairs, seed, report if report is not None else {}, printed_bound)
 
 
 def spans(tour: DataFrame) -> DataFrame:
@@ -59,8 +60,8 @@ def subtree_sizes(parents: DataFrame, method: str = "ranking") -> DataFrame:
 def spans_from_sizes(parents: DataFrame, sizes: DataFrame) -> DataFrame:
     """(root, v, first, last): a vertex comes one after its parent and all of its earlier siblings' sequences."""
     sized = parents.select("v", "parent").join(sizes, "v")
-    before = F.sum(2 * F.col("size")).over(Window.partitionBy("parent").orderBy("v").rowsBetween(Window.unboundedPreceding, -1))
-    weighed = settle(sized.filter("v <> parent").select("v", "parent", (F.coalesce(before, F.lit(0)) + 1).alias("w")).unionByName(sized.filter("v = parent").select("v", "parent", F.lit(0).cast("long").alias("w"))), "spans")
+    placed = prefix_sums(sized.filter("v <> parent").withColumn("_two", 2 * F.col("size")), ["parent"], ["v"], "_two")
+    weighed = settle(placed.select("v", "parent", (F.col("before") + 1).alias("w")).unionByName(sized.filter("v = parent").select("v", "parent", F.lit(0).cast("long").alias("w"))), "spans")
     first = path_sums(weighed, F.col("w"), "w", "spans")
     return first.join(sizes, "v").select("root", "v", (F.col("w") + 1).alias("first"), (F.col("w") + 2 * F.col("size") - 1).alias("last"))
 
@@ -82,10 +83,12 @@ def _ranks_of_arcs(tree: DataFrame, roots: DataFrame, parent_last: DataFrame | N
         arcs = hop(arcs, parent_last, "a", {"_p": "parent"}, name="v").withColumn("_o", (F.col("b") == F.col("_p")).cast("int")).drop("_p")
     else:
         arcs = arcs.withColumn("_o", F.lit(0))
-    around = Window.partitionBy("a").orderBy("_o", "b")
-    whole = around.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
-    turn = arcs.select("a", "b", F.coalesce(F.lead("b").over(around), F.first("b").over(whole)).alias("nxt"), F.first("b").over(whole).alias("_first"))
-    turn = settle(turn, "tour arcs")
+    # A vertex may have any number of arcs: they are numbered in ranges, and each finds its neighbour by number.
+    placed = settle(dense_positions(arcs, ["a", "_o", "b"], "_at"), "tour arcs")
+    ahead = placed.select((F.col("_at") - 1).alias("_at"), F.col("a").alias("_a"), F.col("b").alias("_b"))
+    start = placed.groupBy(F.col("a").alias("_v")).agg(F.min(F.struct("_o", "b")).alias("_f")).select("_v", F.col("_f.b").alias("_first"))
+    turn = placed.join(ahead, "_at", "left").join(start, F.col("a") == F.col("_v"))
+    turn = settle(turn.select("a", "b", F.when(F.col("_a") == F.col("a"), F.col("_b")).otherwise(F.col("_first")).alias("nxt"), "_first"), "tour arcs")
     # After arrival by (x -> a) the walk leaves by (a -> nxt) where (a, b=x): the successor of arc (b -> a).
     walk = turn.select(F.col("b").alias("a"), F.col("a").alias("b"), F.col("nxt"), "_first")
     ends = roots.select(F.col("root").alias("_r"))
@@ -142,7 +145,7 @@ def _local_sequences(pdf: pd.DataFrame) -> pd.DataFrame:
     return pd.DataFrame({"root": int(pdf.root.iat[0]), "pos": range(base, base + len(out)), "v": out})
 
 
-def _by_leaf_sampling(parents: DataFrame, s: int, c: float, max_pairs: int, seed: int, report: dict) -> DataFrame:
+def _by_leaf_sampling(parents: DataFrame, s: int, c: float, max_pairs: int, seed: int, report: dict, printed_bound: bool) -> DataFrame:
     parents = settle(parents.select("v", "parent", "root", "depth"), "sequence", 0)
     jobs = parents.select(F.col("root").alias("job"), "v", "parent", "root", F.lit(1).cast("long").alias("base"))
     out, index, ranks, level = None, None, None, 0
@@ -156,7 +159,7 @@ def _by_leaf_sampling(parents: DataFrame, s: int, c: float, max_pairs: int, seed
         if index is None:
             index = TreeIndex.of(parents)
             ranks = settle(child_ranks(parents).join(child_counts(parents), "v").select("v", "parent", "rank", "children"), "sequence", level)
-        items, jobs = _laid_out(parents, index, ranks, settle(jobs.join(big, "job"), "sequence", level), s, c, max_pairs, seed + level, report)
+        items, jobs = _laid_out(parents, index, ranks, settle(jobs.join(big, "job"), "sequence", level), s, c, max_pairs, seed + level, report, printed_bound)
         out, level = out.unionByName(items), level + 1
 
 
@@ -170,7 +173,7 @@ def sample_leaves(jobs: DataFrame, ranks: DataFrame, s: int, c: float, seed: int
     return picked.unionByName(some.select("job", F.col("least.x").alias("x"))).distinct()
 
 
-def _laid_out(parents, index, ranks, jobs, s, c, max_pairs, seed, report) -> tuple[DataFrame, DataFrame]:
+def _laid_out(parents, index, ranks, jobs, s, c, max_pairs, seed, report, printed_bound) -> tuple[DataFrame, DataFrame]:
     """(tour rows of the walks, jobs of the subtrees that hang below them) of jobs (job, v, parent, root, base, n), each larger than s."""
     samples = settle(sample_leaves(jobs, ranks, s, c, seed), "samples")
     counts = samples.groupBy("job").agg(F.count(F.lit(1)).alias("k"))
@@ -178,11 +181,13 @@ def _laid_out(parents, index, ranks, jobs, s, c, max_pairs, seed, report) -> tup
     report.setdefault("samples", []).append(int(total[1]))
     report.setdefault("pairs", []).append(int(total[0]))
     report["within_bound"] = report.get("within_bound", True) and int(total[2]) ** 2 <= s
+    if printed_bound and not report["within_bound"]:
+        raise Failed(f"{int(total[2])} samples: their square exceeds {s}")
     if total[0] > max_pairs:
         raise Failed(f"{int(total[0])} pairs of sampled leaves exceed {max_pairs}")
     # Order: x precedes y if its branch at their common ancestor has the lesser rank; a sample's place is the number of those before it.
     pairs = samples.join(samples.select("job", F.col("x").alias("y")), "job").filter("x < y")
-    asked = settle(pairs.select(F.xxhash64("x", "y").alias("qid"), F.col("x").alias("u"), F.col("y").alias("v"), "job"), "samples")
+    asked = settle(dense_positions(pairs.select(F.col("x").alias("u"), F.col("y").alias("v"), "job"), ["u", "v"], "qid"), "samples")
     met = lca_batch(parents, asked, index=index)
     branch = ranks.select("v", "rank")
     met = settle(hop(hop(met, branch, "child_u", {"ru": "rank"}), branch, "child_v", {"rv": "rank"}).select("u", "v", "lca", "child_u", "child_v", "ru", "rv"), "samples")
@@ -202,7 +207,7 @@ def _laid_out(parents, index, ranks, jobs, s, c, max_pairs, seed, report) -> tup
     legs = legs.unionByName(step.select("job", (2 * F.col("i") + 1).alias("leg"), F.col("x").alias("u"), F.col("branch").alias("anc")))
     depth = parents.select("v", "depth")
     legs = hop(hop(legs, depth, "u", {"du": "depth"}, name="v"), depth, "anc", {"da": "depth"}, name="v").withColumn("len", (F.col("du") - F.col("da") + 1).cast("long"))
-    legs = settle(legs.withColumn("qid", F.xxhash64("job", "leg")), "walk")
+    legs = settle(dense_positions(legs, ["job", "leg"], "qid"), "walk")
     offset = Window.partitionBy("job").orderBy("leg").rowsBetween(Window.unboundedPreceding, -1)
     legs = settle(legs.withColumn("offset", F.coalesce(F.sum("len").over(offset), F.lit(0))), "walk")  # as many rows a job as twice its samples
     rows = ancestor_paths(parents, legs.select("qid", "u", "anc"), index=index).join(legs.select("qid", "job", "leg", "len", "offset"), "qid")

@@ -10,7 +10,7 @@ from pyspark.sql.window import Window
 
 from spanweave import graphs
 from spanweave.functions.udfs import BridgesOf
-from spanweave.ledger import settle
+from spanweave.ledger import Budget, settle
 from spanweave.operators import blocks as bl
 from spanweave.operators import bridges as br
 from spanweave.operators import hub, measures, pointers
@@ -125,7 +125,8 @@ family({f"components_order_part{'' if m == 'stars' else '_' + m}": (lambda spark
 _RING_COMPS = sql.select("SELECT v, c AS comp FROM comp", sql.graph(sql.TRADE), sql.COMPONENTS)
 query("components_trade_naive", _RING_COMPS)(lambda spark, d: connected_components(graphs.trade_sparse(spark, d), method="naive"))
 query("components_via_hub", _RING_COMPS)(lambda spark, d: hub.components_via_hub(graphs.trade_sparse(spark, d), method="interval"))
-query("one_or_two_cycles", "SELECT CAST(1 AS BIGINT) AS rings, CAST(1 AS BIGINT) AS verdict UNION ALL SELECT 2, 2")(
+_CYCLES = "SELECT CAST({k} AS BIGINT) AS rings, CAST(count(DISTINCT p_partkey % {k}) AS BIGINT) AS verdict FROM part"
+query("one_or_two_cycles", f"{_CYCLES.format(k=1)} UNION ALL {_CYCLES.format(k=2)}")(
     lambda spark, d: spark.createDataFrame([(k, hub.one_or_two_cycles(graphs.rings(spark, d, k), method="interval")) for k in (1, 2)], "rings long, verdict long")
 )
 _FOREST = "SELECT v, parent, root, depth FROM fo"
@@ -194,6 +195,37 @@ query("back_depth_trade", sql.on_cycles(sql.TRADE, "SELECT fo.v, least(fo.depth,
 )
 
 
+# ---- the distributed methods on trees that are deeper and wider than a task's budget
+#: So few rows a task that sampling, compression and jumps all take place at the smallest scale.
+TIGHT = Budget(delta=0.5, c=2.0)
+query("bridges_order_part_sampled", sql.bridges(sql.ORDER_PART))(lambda spark, d: br.find_bridges(graphs.order_part(spark, d), budget=TIGHT, forest="bfs"))
+query("tour_chains_sampled", sql.on_forest(sql.CHAINS, _SEQUENCE, sql.SIZES))(lambda spark, d: dfs_sequence(_forest(graphs.chains, spark, d), s=8))
+
+
+def _broom(spark, d) -> DataFrame:
+    """A chain of a quarter of the parts; the others hang on its middle."""
+    k = read_table(spark, d, "part", ["p_partkey"]).count() // 4
+    return settle(pointers.depths(graphs.broom(spark, d, k, k // 2)), "broom")
+
+
+@query("tour_broom_sampled")
+def tour_broom_sampled(spark, d):
+    """Its sequence by leaf sampling under a tight budget, held against the sequence's defining properties: one row of counts, wrong_* are 0."""
+    parents = _broom(spark, d)
+    return check_tour(settle(dfs_sequence(parents, budget=TIGHT), "tour"), parents)
+
+
+@query("lca_broom_far")
+def lca_broom_far(spark, d):
+    """Every 20th vertex against the root's child on the chain: ends far apart in depth, so that the deeper one is lifted first. Its ancestor is the shallower end, and the
+    child towards the deeper end is one step deeper."""
+    parents = _broom(spark, d)
+    low = parents.filter("depth = 1").agg(F.min("v")).first()[0]
+    pairs = parents.filter(F.col("v") % 20 == 0).select(F.col("v").alias("qid"), F.col("v").alias("u"), F.lit(low).alias("v"))
+    met = lca_batch(parents, pairs)
+    return met.join(parents.select(F.col("v").alias("child_u"), F.col("depth").alias("child_depth")), "child_u", "left").select("u", "v", "lca", "child_u", "child_v", "child_depth")
+
+
 # ---- range minima
 def _values(spark, d) -> DataFrame:
     events = read_table(spark, d, "events", ["event_id", "user_id", "ts", "value"])
@@ -242,6 +274,7 @@ query("op_chain_edges", sql.CHAINS)(graphs.chains)
 query("op_line_share", sql.LINE_PAIRS)(graphs.line_pairs)
 query("op_links", sql.LINK_PAIRS)(graphs.link_pairs)
 query("op_canonical_edges", sql.PART_SUPP)(graphs.part_supp)
+query("op_degree_approx")(lambda spark, d: measures.approximate_degrees(graphs.part_supp(spark, d)))
 query("op_user_type", sql.interned(f"SELECT DISTINCT {sql.V('user', 'user_id')} AS id, event_type AS token FROM events"))(graphs.user_type)
 query("op_induced", f"SELECT src, dst FROM ({sql.TRADE}) WHERE src & 1 = 0 AND dst & 1 = 0")(
     lambda spark, d: (lambda g: graphs.induced(g, g.select(F.explode(F.array("src", "dst")).alias("v")).distinct().filter(F.col("v").bitwiseAND(F.lit(1)) == 0)))(settle(graphs.trade_sparse(spark, d), "x"))
@@ -333,3 +366,17 @@ def op_udtf_bridges(spark, d):
 def op_sql_view(spark, d):
     sqlviews.register(spark, graphs.trade_sparse(spark, d), "trade")
     return spark.sql("SELECT (SELECT count(*) FROM trade_bridges) AS bridges, (SELECT count(DISTINCT block_src, block_dst) FROM trade_blocks) AS blocks, (SELECT count(*) FROM trade_cut_vertices) AS cuts")
+
+
+# ---- workloads that are short enough to be run like any other query; the others run by `python -m spanweave.plans.workloads`
+def _workload(name: str) -> Callable[[SparkSession, str], DataFrame]:
+    def run(spark, d):
+        from spanweave.plans import workloads
+
+        return workloads.as_query(name)(spark, d)
+
+    return run
+
+
+for _name in ("w7", "w9", "w11"):
+    query(f"workload_{_name}")(_workload(_name))

@@ -34,7 +34,7 @@ FK = distinct_edges(f"""SELECT {V('order', 'o_orderkey')} AS a, {V('customer', '
 _HALF = "(SELECT count(*) // 2 FROM part)"
 TWO_RINGS = distinct_edges(f"SELECT {V('part', 'p_partkey')} AS a, {V('part', f'p_partkey // {_HALF} * {_HALF} + (p_partkey % {_HALF} + 1) % {_HALF}')} AS b FROM part")
 ONE_RING = distinct_edges(f"SELECT {V('part', 'p_partkey')} AS a, {V('part', '(p_partkey + 1) % (SELECT count(*) FROM part)')} AS b FROM part")
-CHAINS = distinct_edges(f"SELECT {V('turn', 'conv_id * 4096 + turn')} AS a, lead({V('turn', 'conv_id * 4096 + turn')}) OVER (PARTITION BY conv_id ORDER BY turn) AS b FROM conversations")
+CHAINS = distinct_edges(f"SELECT {V('turn', 'conv_id * 16777216 + turn')} AS a, lead({V('turn', 'conv_id * 16777216 + turn')}) OVER (PARTITION BY conv_id ORDER BY turn) AS b FROM conversations")
 
 
 def hubbed(edges: str) -> str:

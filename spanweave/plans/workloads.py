@@ -20,6 +20,7 @@ from spanweave.operators.compress import compress_tree, jump_tables, step_of
 from spanweave.operators.forest import spanning_forest
 from spanweave.operators.lca import TreeIndex, ancestor_tables, lca_batch
 from spanweave.operators.paths import ancestor_paths
+from spanweave.operators.tour import dfs_sequence
 from spanweave.sources.tables import read_table
 from spanweave.schema import Failed
 
@@ -102,8 +103,20 @@ def w8(spark: SparkSession, d: str) -> Rows:
     return out
 
 
+def w9_runs(spark: SparkSession, d: str, seeds: int = 100, s: int = 64, c: float = 0.25) -> Rows:
+    """Real runs of the sequence under the printed rule (more than s squares of samples: give up): how many of `seeds` give up, on a forest of chains."""
+    parents = settle(spanning_forest(graphs.trade_sparse(spark, d)), "workload")
+    failed = 0
+    for seed in range(seeds):
+        try:
+            dfs_sequence(parents, s=s, c=c, seed=seed, printed_bound=True)
+        except Failed:
+            failed += 1
+    return [{"s": s, "c": c, "runs": seeds, "failed": failed}]
+
+
 def w9(spark: SparkSession, d: str, seeds: int = 100) -> Rows:
-    """Share of runs that give up, by the bound on samples and by a budget of pairs."""
+    """Share of runs that would give up at the first level, by the bound on samples and by a budget of pairs: sample counts are drawn, the sequence is not run (`w9_runs` runs it)."""
     parents = settle(spanning_forest(graphs.ring_cactus(spark, d)), "workload")
     leaf, n = pointers.leaves(parents).count(), parents.count()
     return [{"s": s, "c": c} | measures.sampled_verdicts(leaf, n, s, c, 20_000, range(seeds)) for s in (64, 512, 4096) for c in (0.25, 1.0)]
@@ -148,7 +161,25 @@ def w12(spark: SparkSession, d: str) -> Rows:
     return out
 
 
-WORKLOADS = {f.__name__: f for f in (w1, w2, w3, w4, w5, w6, w7, w8, w9, w10, w11, w12)}
+def series(rows: Rows) -> list[tuple[str, str, int]]:
+    """(series, measure, value) of the whole numbers that do not depend on the machine; names and fractions make the series."""
+    out = []
+    for row in rows:
+        label = ", ".join(f"{k}={v}" for k, v in row.items() if k in LABELS)
+        out += [(label, k, int(v)) for k, v in row.items() if k not in LABELS and k not in ("seconds", "max_rows_per_task", "exchange_rows") and isinstance(v, bool | int)]
+    return out
+
+
+#: What names a series; everything else that is counted is a measure of it.
+LABELS = ("graph", "method", "ring", "log2_diameter", "cut", "gamma", "tree", "length", "cycles", "batch", "s", "c", "delta")
+
+
+def as_query(name: str) -> Callable[[SparkSession, str], DataFrame]:
+    """A workload as a frame (series, measure, value)."""
+    return lambda spark, d: spark.createDataFrame(series(WORKLOADS[name](spark, d)), "series string, measure string, value long")
+
+
+WORKLOADS = {f.__name__: f for f in (w1, w2, w3, w4, w5, w6, w7, w8, w9, w9_runs, w10, w11, w12)}
 
 
 def main(args: list[str]) -> None:
