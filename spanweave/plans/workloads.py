@@ -162,11 +162,12 @@ def w12(spark: SparkSession, d: str) -> Rows:
 
 
 def series(rows: Rows) -> list[tuple[str, str, int]]:
-    """(series, measure, value) of the whole numbers that do not depend on the machine; names and fractions make the series."""
+    """(series, measure, value) of what does not depend on the machine; shares are given in thousandths."""
     out = []
     for row in rows:
         label = ", ".join(f"{k}={v}" for k, v in row.items() if k in LABELS)
-        out += [(label, k, int(v)) for k, v in row.items() if k not in LABELS and k not in ("seconds", "max_rows_per_task", "exchange_rows") and isinstance(v, bool | int)]
+        counted = {k: v for k, v in row.items() if k not in LABELS and k not in ("seconds", "max_rows_per_task", "exchange_rows")}
+        out += [(label, k, int(v)) if isinstance(v, bool | int) else (label, f"{k}_per_mille", round(v * 1000)) for k, v in counted.items() if isinstance(v, bool | int | float)]
     return out
 
 
