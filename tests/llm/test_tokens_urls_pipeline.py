@@ -1,4 +1,5 @@
 import hashlib
+import math
 import random
 import time
 
@@ -137,6 +138,63 @@ def test_the_ratio_tells_the_classes_apart(spark):
     assert [got[300 + k] for k in range(40)] == ["allow"] * 20 + ["block"] * 20
 
 
+def weights_by_hand(lines, order, smoothing):
+    """millionths of the log ratio for every string, from counts in dictionaries. `lines`: line to (allow, block)."""
+    count, of, seen, signs = {}, {}, {}, set()
+    for line, both in lines.items():
+        for at in range(order, len(line)):
+            signs.add(line[at])
+            gram = line[at - order : at + 1]
+            seen[gram] = seen.get(gram, 0) + 1
+            for j in range(order + 1):
+                for side in (0, 1):
+                    for table, key in ((count, line[at - j : at + 1]), (of, line[at - j : at])):
+                        table[j, key, side] = table.get((j, key, side), 0) + both[side]
+
+    def chance(gram, side):
+        p = 1 / len(signs)
+        for j in range(order + 1):
+            key = gram[order - j :]
+            p = (count[j, key, side] + smoothing * p) / (of[j, key[:-1], side] + smoothing)
+        return p
+
+    return {g: (n, round((math.log(chance(g, 0)) - math.log(chance(g, 1))) * 1_000_000)) for g, n in seen.items()}
+
+
+def test_log_ratios_by_hand(spark):
+    rng, order = random.Random(5), 3
+    bodies = ["", "/%C3%A4", "ü.net/ü😀😀/x", "a" * 300] + ["".join(rng.choices("abc./😀", k=rng.randint(1, 30))) for _ in range(80)]
+    lines = {chr(url_filter.START) * order + b + chr(url_filter.END): (rng.randrange(3), rng.randrange(3)) for b in bodies}
+    df = spark.createDataFrame([(i, k, *v) for i, (k, v) in enumerate(lines.items())], "line_id long, line string, allow long, block long")
+    model = url_filter.log_ratios(df, order)
+    got = {r.gram: (r.seen, r.weight) for r in model.collect()}
+    want = weights_by_hand(lines, order, url_filter.SMOOTHING)
+    assert got.keys() == want.keys()
+    assert all(got[g][0] == want[g][0] and abs(got[g][1] - want[g][1]) <= 1 for g in want)
+    scores = {r.line_id: r.score for r in url_filter.mean_ratios(df, model, order).collect()}
+    for i, line in enumerate(lines):
+        parts = [got[line[at - order : at + 1]][1] for at in range(order, len(line))]
+        assert scores[i] == sum(parts) // len(parts)
+
+
+def test_what_the_models_gather_grows(spark):
+    rng = random.Random(9)
+    urls = [f"http://{rng.randrange(10**9):x}.net/{rng.randrange(10**9):x}" for _ in range(2000)]
+    sizes = []
+    for n in (200, 2000):
+        line = url_filter.framed(url_filter.host_of(F.col("url")), url_filter.path_of(F.col("url")))
+        df = spark.createDataFrame([(u,) for u in urls[:n]], "url string").select(line.alias("line"), F.lit(1).alias("allow"), F.lit(0).alias("block"))
+        sizes.append(url_filter.log_ratios(df).count())
+    assert sizes[1] > 5 * sizes[0]
+
+
+def test_a_very_long_url(spark):
+    df = spark.createDataFrame([(1, "http://a.net/" + "xyz%" * 250_000), (2, "http://b.org/x"), (3, "http://b.com/de/")], "page_id long, url string")
+    began = time.time()
+    got = {r.page_id: (len(r.path), r.rule) for r in url_filter.judge_urls(df).collect()}
+    assert got == {1: (1_000_001, None), 2: (2, "org/"), 3: (4, "com/de/")} and time.time() - began < 60
+
+
 def test_native_operators_run_no_python(spark, sf):
     from spanweave.llm.queries import QUERIES
 
