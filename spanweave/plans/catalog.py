@@ -125,8 +125,8 @@ family({f"components_order_part{'' if m == 'stars' else '_' + m}": (lambda spark
 _RING_COMPS = sql.select("SELECT v, c AS comp FROM comp", sql.graph(sql.TRADE), sql.COMPONENTS)
 query("components_trade_naive", _RING_COMPS)(lambda spark, d: connected_components(graphs.trade_sparse(spark, d), method="naive"))
 query("components_via_hub", _RING_COMPS)(lambda spark, d: hub.components_via_hub(graphs.trade_sparse(spark, d), method="interval"))
-_CYCLES = "SELECT CAST({k} AS BIGINT) AS rings, CAST(count(DISTINCT p_partkey % {k}) AS BIGINT) AS verdict FROM part"
-query("one_or_two_cycles", f"{_CYCLES.format(k=1)} UNION ALL {_CYCLES.format(k=2)}")(
+_CYCLES = " UNION ALL ".join(f"SELECT * FROM ({sql.select(f'SELECT CAST({k} AS BIGINT) AS rings, count(DISTINCT c) AS verdict FROM comp', sql.graph(edges), sql.COMPONENTS)})" for k, edges in ((1, sql.ONE_RING), (2, sql.TWO_RINGS)))
+query("one_or_two_cycles", _CYCLES)(
     lambda spark, d: spark.createDataFrame([(k, hub.one_or_two_cycles(graphs.rings(spark, d, k), method="interval")) for k in (1, 2)], "rings long, verdict long")
 )
 _FOREST = "SELECT v, parent, root, depth FROM fo"
@@ -274,7 +274,11 @@ query("op_chain_edges", sql.CHAINS)(graphs.chains)
 query("op_line_share", sql.LINE_PAIRS)(graphs.line_pairs)
 query("op_links", sql.LINK_PAIRS)(graphs.link_pairs)
 query("op_canonical_edges", sql.PART_SUPP)(graphs.part_supp)
-query("op_degree_approx")(lambda spark, d: measures.approximate_degrees(graphs.part_supp(spark, d)))
+query("op_degree_approx", f"""SELECT count(DISTINCT dst) AS neighbours, TRUE AS neighbours_close, (SELECT CAST(quantile_disc(n, 0.5) AS BIGINT) FROM (SELECT count(*) AS n FROM ({sql.PART_SUPP}) GROUP BY src)) AS median, TRUE AS median_close FROM ({sql.PART_SUPP})""")(
+    lambda spark, d: measures.approximate_degrees(graphs.part_supp(spark, d)).select(
+        "neighbours", (F.abs(F.col("about_neighbours") - F.col("neighbours")) <= 0.15 * F.col("neighbours")).alias("neighbours_close"), "median", (F.abs(F.col("about_median") - F.col("median")) <= 1).alias("median_close")
+    )
+)
 query("op_user_type", sql.interned(f"SELECT DISTINCT {sql.V('user', 'user_id')} AS id, event_type AS token FROM events"))(graphs.user_type)
 query("op_induced", f"SELECT src, dst FROM ({sql.TRADE}) WHERE src & 1 = 0 AND dst & 1 = 0")(
     lambda spark, d: (lambda g: graphs.induced(g, g.select(F.explode(F.array("src", "dst")).alias("v")).distinct().filter(F.col("v").bitwiseAND(F.lit(1)) == 0)))(settle(graphs.trade_sparse(spark, d), "x"))
@@ -378,5 +382,22 @@ def _workload(name: str) -> Callable[[SparkSession, str], DataFrame]:
     return run
 
 
-for _name in ("w7", "w9", "w11"):
-    query(f"workload_{_name}")(_workload(_name))
+def _table_rows(n: str) -> str:
+    """Rows of the doubling table over n positions."""
+    return f"(SELECT CAST(sum({n} - (1 << j) + 1) AS BIGINT) FROM (SELECT unnest(range(0, length(bin({n})))) AS j))"
+
+
+def _joined(parts: list[str]) -> str:
+    return " UNION ALL ".join(f"SELECT * FROM ({p})" for p in parts)
+
+
+_W7 = f"""WITH c AS (SELECT count(*) AS n, count(DISTINCT user_id) AS q FROM events), t AS (SELECT n, q, length(bin(n - 1)) AS t FROM c), b AS (SELECT n, q, (n + t - 1) // t AS b FROM t),
+r AS (SELECT n, q, 2 * n + {_table_rows('b')} AS block, {_table_rows('n')} AS sparse_table FROM b)
+SELECT '' AS series, measure, CAST(value AS BIGINT) AS value FROM r UNPIVOT (value FOR measure IN (n, q, block, sparse_table))"""
+_W11 = _joined([
+    sql.blocks(edges, f"{_CONDITION} SELECT 'graph={name}' AS series, u.m AS measure, u.x AS value FROM (SELECT [{{'m': 'cut_vertices', 'x': (SELECT count(*) FROM cut)}}, {{'m': 'bridges', 'x': (SELECT count(*) FROM ({sql.BRIDGES}))}}, "
+    "{'m': 'edges_that_fit', 'x': (SELECT count(*) FROM e WHERE src IN (SELECT v FROM fit) AND dst IN (SELECT v FROM fit))}] AS l), unnest(l) AS z(u)")
+    for name, edges in (("trade", sql.TRADE), ("cactus", sql.CACTUS))
+])
+for _name, _answer in (("w7", _W7), ("w9", None), ("w11", _W11)):
+    query(f"workload_{_name}", _answer)(_workload(_name))

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -9,7 +11,7 @@ from pyspark.sql import types as T
 from spanweave.operators.bridges import find_bridges
 from spanweave.operators.components import connected_components
 from spanweave.schema import vertex
-from spanweave.store import stash
+from spanweave.store import shared_dir
 
 EVENTS = T.StructType([T.StructField("event_id", T.LongType()), T.StructField("user_id", T.LongType()), T.StructField("event_type", T.StringType()), T.StructField("ts", T.TimestampNTZType()), T.StructField("value", T.DoubleType()), T.StructField("props", T.StringType())])
 
@@ -20,12 +22,22 @@ def event_stream(spark: SparkSession, folder: str, schema: T.StructType | None =
     return rows.withColumn("ts", F.col("ts").cast("timestamp"))  # watermarks take no zoneless times
 
 
-def edge_stream(events: DataFrame, delay: str = "1 day") -> DataFrame:
-    """(ts, src, dst): user and event type; an event id counts once, late rows beyond the watermark are dropped. Types are numbered by a fixed list's order in the stream's own dictionary
-    `token` = crc of the word, checked to be free of collisions where labels are kept."""
-    rows = events.withWatermark("ts", delay)
-    rows = rows.dropDuplicatesWithinWatermark(["event_id"]) if "event_id" in events.columns else rows
-    return rows.select("ts", vertex("user", "user_id").alias("src"), vertex("token", F.crc32("event_type")).alias("dst"))
+def edge_stream(events: DataFrame, delay: str = "1 day", words: list[str] | None = None) -> DataFrame:
+    """(ts, src, dst): user and event type; an event id counts once, late rows beyond the watermark are dropped (`late_rows` counts them). A batch has no late rows. With `words` a type's number is its
+    place in that list and another word is an error; without, it is the word's CRC, which two words may share."""
+    rows = events.withWatermark("ts", delay) if events.isStreaming else events
+    if "event_id" in events.columns:
+        rows = rows.dropDuplicatesWithinWatermark(["event_id"]) if events.isStreaming else rows.dropDuplicates(["event_id"])
+    token = F.crc32("event_type")
+    if words is not None:
+        place = F.array_position(F.array(*(F.lit(w) for w in words)), F.col("event_type"))
+        token = F.when(place == 0, F.raise_error(F.concat(F.lit("no such word: "), F.col("event_type")))).otherwise(place)
+    return rows.select("ts", vertex("user", "user_id").alias("src"), vertex("token", token).alias("dst"))
+
+
+def late_rows(run) -> int:
+    """Rows that a stream's stateful operators dropped because they came behind the watermark, over the progress reports it still holds."""
+    return sum(op["numRowsDroppedByWatermark"] for report in run.recentProgress for op in report["stateOperators"])
 
 
 def tumbling(events: DataFrame, length: str = "1 day", delay: str | None = "1 day") -> DataFrame:
@@ -46,26 +58,68 @@ def sessions(events: DataFrame, gap: str = "1 hour", delay: str | None = "1 day"
 
 
 class ComponentKeeper:
-    """Labels of an insert-only edge stream: each micro-batch's edges are joined with the labels they touch, and only those components change."""
-
-    def __init__(self, spark: SparkSession):
-        self.labels = stash(spark.createDataFrame([], "v long, comp long"))
-        self.edges = stash(spark.createDataFrame([], "src long, dst long"))
+    """Labels of an insert-only edge stream: each micro-batch's edges are joined with the labels they touch, and only those components change. What it holds is a version a
+    micro-batch in `folder`, complete once its edges are written, and the edges of each batch beside it: a keeper made on the same folder goes on from the last complete
+    version, and a batch that is played again changes nothing. Labels are written whole for every batch that brings an edge, edges once."""
+
+    def __init__(self, spark: SparkSession, folder: str | None = None):
+        self.spark, self.folder = spark, folder or f"{shared_dir(spark)}/keeper-{uuid.uuid4().hex}"
+        files = self._path("edges").getFileSystem(spark._jsc.hadoopConfiguration())
+        found = files.globStatus(self._path("edges/batch=*/_SUCCESS")) or []
+        self.version = max((int(f.getPath().getParent().getName().split("=")[1]) for f in found), default=None)
+        if self.version is None:
+            self._write(spark.createDataFrame([], "v long, comp long"), "labels", -1)
+            self._write(spark.createDataFrame([], "comp long"), "touched", -1)
+            self._write(spark.createDataFrame([], "src long, dst long"), "edges", -1)
+            self.version = -1
+
+    def _path(self, name: str):
+        return self.spark._jvm.org.apache.hadoop.fs.Path(f"{self.folder}/{name}")
+
+    def _write(self, df: DataFrame, what: str, version: int) -> None:
+        df.write.mode("overwrite").parquet(f"{self.folder}/{what}/batch={version}")
+
+    def _drop(self, version: int) -> None:
+        for what in ("labels", "touched"):
+            path = self._path(f"{what}/batch={version}")
+            path.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(path, True)
+
+    @property
+    def labels(self) -> DataFrame:
+        return self.spark.read.schema("v long, comp long").parquet(f"{self.folder}/labels/batch={self.version}")
+
+    @property
+    def touched(self) -> DataFrame:
+        """Components that the last batch with an edge changed."""
+        return self.spark.read.schema("comp long").parquet(f"{self.folder}/touched/batch={self.version}")
+
+    @property
+    def edges(self) -> DataFrame:
+        rows = self.spark.read.schema("src long, dst long, batch long").option("basePath", f"{self.folder}/edges").parquet(f"{self.folder}/edges")
+        return rows.filter(F.col("batch") <= self.version).select("src", "dst").distinct()
 
     def __call__(self, batch: DataFrame, batch_id: int) -> None:
-        fresh = stash(batch.select("src", "dst").filter("src <> dst").distinct())
-        if fresh.isEmpty():
+        if batch_id <= self.version:
             return
-        touched = fresh.select(F.explode(F.array("src", "dst")).alias("v")).distinct()
-        held = touched.join(self.labels, "v", "left").select("v", F.coalesce("comp", "v").alias("comp"))
-        spokes = held.filter("v <> comp").select(F.col("v").alias("src"), F.col("comp").alias("dst"))
-        moved = stash(connected_components(fresh.unionByName(spokes)))
-        renamed = held.join(moved, "v").select(held["comp"].alias("old"), moved["comp"].alias("new")).distinct()
-        kept = self.labels.join(renamed, self.labels["comp"] == F.col("old"), "left").select("v", F.coalesce("new", "comp").alias("comp"))
-        added = moved.join(self.labels.select("v"), "v", "left_anti").select("v", "comp")
-        self.labels = stash(kept.unionByName(added))
-        self.edges = stash(self.edges.unionByName(fresh).distinct())
-        self.touched = stash(moved.select("comp").distinct())
+        fresh = batch.select("src", "dst").filter("src <> dst").distinct().persist()
+        try:
+            if fresh.isEmpty():
+                return
+            seen = fresh.select(F.explode(F.array("src", "dst")).alias("v")).distinct()
+            labels = self.labels
+            held = seen.join(labels, "v", "left").select("v", F.coalesce("comp", "v").alias("comp"))
+            spokes = held.filter("v <> comp").select(F.col("v").alias("src"), F.col("comp").alias("dst"))
+            moved = connected_components(fresh.unionByName(spokes))
+            renamed = held.join(moved, "v").select(held["comp"].alias("old"), moved["comp"].alias("new")).distinct()
+            kept = labels.join(renamed, labels["comp"] == F.col("old"), "left").select("v", F.coalesce("new", "comp").alias("comp"))
+            added = moved.join(labels.select("v"), "v", "left_anti").select("v", "comp")
+            self._write(kept.unionByName(added), "labels", batch_id)
+            self._write(moved.select("comp").distinct(), "touched", batch_id)
+            self._write(fresh, "edges", batch_id)  # last: it makes the version complete
+            before, self.version = self.version, batch_id
+            self._drop(before)
+        finally:
+            fresh.unpersist()
 
     def bridges(self) -> DataFrame:
         """Bridges of the components that the last batch touched."""
@@ -79,7 +133,8 @@ def keep_components(edges: DataFrame, checkpoint: str, keeper: ComponentKeeper):
 
 
 def last_events(events: DataFrame) -> DataFrame:
-    """(user_id, last_type, event_type, ts): every event with the type of the user's event before it, across micro-batches; one row of state a user."""
+    """(user_id, last_type, event_type, ts): every event with the type of the user's event before it, across micro-batches; one row of state a user. Events of a
+    micro-batch are taken by time, then by type; needs the RocksDB state store (`spark.sql.streaming.stateStore.providerClass`)."""
     import pandas as pd
     from pyspark.sql.streaming import StatefulProcessor
 

@@ -110,6 +110,63 @@ def test_streams(spark, sf, tmp_path):
     assert stream.sliding(events).agg({"events": "sum"}).first()[0] == 4 * events.count()
 
 
+_EVENT = "event_id long, user_id long, event_type string, ts timestamp"
+
+
+def _files(spark, folder, batches):
+    """One file a batch, taken in this order."""
+    for rows in batches:
+        spark.createDataFrame(rows, _EVENT).coalesce(1).write.mode("append").parquet(folder)
+        time.sleep(1.1)  # the stream takes files by their times
+    return stream.event_stream(spark, folder, spark.read.parquet(folder).schema)
+
+
+def test_late_rows_are_dropped_and_counted(spark, tmp_path):
+    t = dt.datetime(2020, 1, 1)
+    days = lambda n: t + dt.timedelta(days=n)
+    flow = _files(spark, str(tmp_path / "in"), [[(1, 1, "a", days(0)), (2, 1, "a", days(30))], [(3, 1, "a", days(31))], [(4, 1, "a", days(1)), (5, 1, "a", days(32)), (6, 2, "b", days(2))]])
+    run = stream.tumbling(flow, "1 day", "1 day").writeStream.format("memory").queryName("late").outputMode("update").option("checkpointLocation", str(tmp_path / "c")).trigger(availableNow=True).start()
+    run.awaitTermination(180)
+    assert stream.late_rows(run) == 2
+    assert spark.sql("SELECT sum(events) AS n FROM late").first().n == 4
+
+
+def test_last_events_across_batches(spark, tmp_path):
+    t = dt.datetime(2020, 1, 1)
+    hours = lambda n: t + dt.timedelta(hours=n)
+    flow = _files(spark, str(tmp_path / "in"), [[(1, 1, "a", hours(0)), (2, 1, "b", hours(1)), (3, 2, "c", hours(0))], [(4, 1, "c", hours(3)), (5, 1, "a", hours(2))]])
+    spark.conf.set("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+    try:
+        run = stream.last_events(flow).writeStream.format("memory").queryName("last_types").outputMode("append").option("checkpointLocation", str(tmp_path / "c")).trigger(availableNow=True).start()
+        run.awaitTermination(180)
+    finally:
+        spark.conf.unset("spark.sql.streaming.stateStore.providerClass")
+    found = {(r.user_id, r.ts): (r.last_type, r.event_type) for r in spark.sql("SELECT * FROM last_types").collect()}
+    assert found == {(1, hours(0)): (None, "a"), (1, hours(1)): ("a", "b"), (1, hours(2)): ("b", "a"), (1, hours(3)): ("a", "c"), (2, hours(0)): (None, "c")}
+
+
+def test_a_keeper_goes_on_where_it_ended(spark, tmp_path):
+    folder = str(tmp_path / "keeper")
+    first = stream.ComponentKeeper(spark, folder)
+    first(from_rows(spark, [(1, 2), (2, 3), (1, 3)]), 0)
+    first(from_rows(spark, [(5, 6)]), 1)
+    again = stream.ComponentKeeper(spark, folder)
+    assert again.version == 1 and {tuple(r) for r in again.labels.collect()} == {(1, 1), (2, 1), (3, 1), (5, 5), (6, 5)}
+    again(from_rows(spark, [(7, 8)]), 1)  # played again: taken up before
+    assert again.labels.count() == 5
+    again(from_rows(spark, [(3, 3)]), 2)  # a loop is no edge
+    again(from_rows(spark, [(3, 5)]), 3)
+    assert {r.comp for r in again.labels.collect()} == {1} and again.edges.count() == 5
+    assert {tuple(r) for r in again.bridges().collect()} == {(3, 5), (5, 6)}
+
+
+def test_words_of_a_list_have_its_numbers(spark):
+    events = spark.createDataFrame([(1, 9, "b", dt.datetime(2020, 1, 1))], _EVENT)
+    assert stream.edge_stream(events, words=["a", "b"]).select("dst").first() == spark.range(1).select(vertex("token", "id") + 2).first()
+    with pytest.raises(Exception, match="no such word"):
+        stream.edge_stream(events, words=["a"]).collect()
+
+
 def test_sessions(spark):
     t = dt.datetime(2020, 1, 1)
     rows = spark.createDataFrame([(1, t), (1, t + dt.timedelta(minutes=30)), (1, t + dt.timedelta(hours=3)), (2, t)], "user_id long, ts timestamp")
