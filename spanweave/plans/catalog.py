@@ -208,14 +208,19 @@ def _broom(spark, d) -> DataFrame:
     return settle(pointers.depths(graphs.broom(spark, d, k, k // 2)), "broom")
 
 
-@query("tour_broom_sampled")
+@query("tour_broom_sampled", "SELECT 2 * count(*) - 1 AS rows, 2 * count(*) - 1 AS expected, 0::BIGINT AS wrong_steps, 0::BIGINT AS wrong_counts, 0::BIGINT AS wrong_positions FROM part")
 def tour_broom_sampled(spark, d):
     """Its sequence by leaf sampling under a tight budget, held against the sequence's defining properties: one row of counts, wrong_* are 0."""
     parents = _broom(spark, d)
     return check_tour(settle(dfs_sequence(parents, budget=TIGHT), "tour"), parents)
 
 
-@query("lca_broom_far")
+#: By the broom's shape: the part of number 1 is the root's only child, that of number 2 the next one on the way to all others.
+_FAR = f"""SELECT v AS u, one AS v, CASE WHEN p_partkey = 0 THEN v ELSE one END AS lca, CASE WHEN p_partkey > 1 THEN two END AS child_u, CASE WHEN p_partkey = 0 THEN one END AS child_v, CASE WHEN p_partkey > 1 THEN 2 END AS child_depth
+FROM (SELECT p_partkey, {sql.V('part', 'p_partkey')} AS v, {sql.V('part', '1')} AS one, {sql.V('part', '2')} AS two FROM part) WHERE v % 20 = 0"""
+
+
+@query("lca_broom_far", _FAR)
 def lca_broom_far(spark, d):
     """Every 20th vertex against the root's child on the chain: ends far apart in depth, so that the deeper one is lifted first. Its ancestor is the shallower end, and the
     child towards the deeper end is one step deeper."""
@@ -247,7 +252,13 @@ family({"rmq_events_value": _rmq("block"), "rmq_events_value_sparse_table": _rmq
 
 
 # ---- measures
-@query("compress_report_broom")
+#: By the broom's shape: k vertices on the chain, so m = (k - 1) // t of its depths that are multiples of t have t more below them; under the printed rule all bristles, at depth t, are kept too.
+_BROOM = """WITH c AS (SELECT count(*) AS n, count(*) // 4 AS k FROM part), t AS (SELECT n, k, length(bin(k - 2)) AS t FROM c), m AS (SELECT n, k, t, (k - 1) // t AS m FROM t),
+r AS (SELECT keep, n, k, t, m, CASE WHEN keep = 'printed' THEN n - k ELSE 0 END AS bristles FROM m, (VALUES ('descendant'), ('printed')) AS x(keep))
+SELECT keep, n, CAST(k - 1 AS INT) AS depth, CAST(t AS INT) AS t, m + bristles AS kept, n // t AS bound, 0::BIGINT AS open_jumps, CAST(k - 1 - (m - 1) * t AS INT) AS farthest FROM r"""
+
+
+@query("compress_report_broom", _BROOM)
 def compress_report_broom(spark, d):
     n = read_table(spark, d, "part", ["p_partkey"]).count()
     k = n // 4
@@ -257,10 +268,14 @@ def compress_report_broom(spark, d):
 
 
 query("parity_lineitem", "SELECT CAST(bit_xor(l_linenumber) AS BIGINT) AS parity FROM lineitem")(lambda spark, d: measures.parity(read_table(spark, d, "lineitem", ["l_linenumber"]), "l_linenumber"))
-query("diameter_trade", sql.on_forest(sql.TRADE, """SELECT c AS comp, max(dist) AS diameter FROM (SELECT s, t, min(k) AS dist FROM bfs GROUP BY s, t) JOIN comp ON v = s GROUP BY c""", """bfs(s, t, k) USING KEY (s, t) AS (SELECT v, v, 0 FROM comp UNION SELECT b.s, a.w, min(b.k) + 1 FROM bfs b JOIN arcs a ON a.v = b.t LEFT JOIN recurring.bfs r ON r.s = b.s AND r.t = a.w WHERE r.s IS NULL GROUP BY b.s, a.w)"""))(
+_WAVES = """bfs(s, t, k) USING KEY (s, t) AS (SELECT v, v, 0 FROM comp UNION SELECT b.s, a.w, min(b.k) + 1 FROM bfs b JOIN arcs a ON a.v = b.t LEFT JOIN recurring.bfs r ON r.s = b.s AND r.t = a.w WHERE r.s IS NULL GROUP BY b.s, a.w)"""
+query("diameter_trade", sql.on_forest(sql.TRADE, """SELECT c AS comp, max(dist) AS diameter FROM (SELECT s, t, min(k) AS dist FROM bfs GROUP BY s, t) JOIN comp ON v = s GROUP BY c""", _WAVES))(
     lambda spark, d: measures.diameter(graphs.trade_sparse(spark, d), "exact")
 )
-query("diameter_trade_lower")(lambda spark, d: measures.diameter(graphs.trade_sparse(spark, d), "lower"))
+_SWEEPS = """dist AS MATERIALIZED (SELECT s, t, min(k) AS k FROM bfs GROUP BY s, t), far AS (SELECT s AS c, min(t) AS far FROM (SELECT s, t, k, max(k) OVER (PARTITION BY s) AS most FROM dist) WHERE k = most GROUP BY s)"""
+query("diameter_trade_lower", sql.on_forest(sql.TRADE, "SELECT c AS comp, max(k) AS diameter FROM far JOIN dist ON s = far WHERE c IN (SELECT c FROM comp) GROUP BY c", _WAVES, _SWEEPS))(
+    lambda spark, d: measures.diameter(graphs.trade_sparse(spark, d), "lower")
+)
 
 
 # ---- operators around the methods
