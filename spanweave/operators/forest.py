@@ -2,12 +2,12 @@
 
 from __future__ import annotations
 
-import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from spanweave.ledger import Budget, settle
-from spanweave.operators.components import LOCAL_ROWS, both_ways, connected_components, contracted, hooked
+from spanweave.operators.arrays import ARRAY_ROWS, forest_of, in_one, packed
+from spanweave.operators.components import both_ways, connected_components, contracted, hooked
 from spanweave.schema import Failed
 
 _PARENTS = "v long, parent long, root long, depth int"
@@ -17,12 +17,12 @@ def spanning_forest(edges: DataFrame, vertices: DataFrame | None = None, method:
     """A spanning forest of (src, dst), isolated `vertices` included.
 
     bfs: breadth-first from the least id of each component, parents the least neighbour one level up (the canonical forest; depth at most the
-    diameter, a round a level). auto: the same forest, components of up to `local_rows` edges (default: what `budget` allows a task, N**delta; LOCAL_ROWS without one) each solved in one task, the others by rounds. hook: tree edges of
+    diameter, a round a level). auto: the same forest, components of up to `local_rows` edges (default: what `budget` allows a task, N**delta; ARRAY_ROWS without one) each solved in one task, many small ones together, the others by rounds. hook: tree edges of
     least-edge hooking, rooted by ranking their tour, logarithmic rounds and any depth. contract: tree edges of budgeted leader contraction, rooted likewise."""
     edges = edges.filter("src <> dst").select("src", "dst").distinct()
     if method == "auto":
         edges = settle(edges, "forest", 0)
-        found = _auto(edges, local_rows if local_rows is not None else budget.local(edges.count()) if budget else LOCAL_ROWS, max_rounds)
+        found = _auto(edges, local_rows if local_rows is not None else budget.local(edges.count()) if budget else ARRAY_ROWS, max_rounds)
     elif method == "bfs":
         found = _bfs(edges, max_rounds)
     else:
@@ -37,37 +37,20 @@ def spanning_forest(edges: DataFrame, vertices: DataFrame | None = None, method:
 
 
 def _auto(edges: DataFrame, local_rows: int, max_rounds: int) -> DataFrame:
+    if edges.count() <= local_rows:
+        return in_one(edges, forest_of, _PARENTS)
     label = settle(connected_components(edges), "forest", 0)
     held = settle(edges.join(label.select(F.col("v").alias("src"), "comp"), "src"), "forest", 0)
     size = held.groupBy("comp").agg(F.count(F.lit(1)).alias("n"))
     large = settle(size.filter(F.col("n") > local_rows).select("comp"), "forest", 0)
-    small = held.join(large, "comp", "left_anti").groupBy("comp").applyInPandas(_local_bfs, _PARENTS)
+    small = held.join(large, "comp", "left_anti")
+    small = small.groupBy(packed("comp", held.count())).applyInPandas(forest_of, _PARENTS)
     if large.isEmpty():
         return small
     many = held.join(large, "comp", "left_semi")
     return small.unionByName(_bfs(many.select("src", "dst"), max_rounds, large.select(F.col("comp").alias("v"))))
 
 
-def _local_bfs(pdf: pd.DataFrame) -> pd.DataFrame:
-    near: dict[int, list[int]] = {}
-    for a, b in zip(pdf.src.tolist(), pdf.dst.tolist(), strict=True):
-        near.setdefault(a, []).append(b)
-        near.setdefault(b, []).append(a)
-    root = min(near)
-    seen, level, rows = {root: 0}, [root], [(root, root, root, 0)]
-    while level:
-        found: dict[int, int] = {}
-        for v in level:
-            for w in near[v]:
-                if w not in seen:
-                    found[w] = min(v, found.get(w, v))
-        for w, p in found.items():
-            seen[w] = seen[p] + 1
-            rows.append((w, p, root, seen[w]))
-        level = list(found)
-    return pd.DataFrame(rows, columns=["v", "parent", "root", "depth"]).astype({"depth": "int32"})
-
-
 def _bfs(edges: DataFrame, max_rounds: int, roots: DataFrame | None = None) -> DataFrame:
     """One frontier for all components, from `roots` (v) where they are known; each level is written apart, so a round reads only the frontier, its arcs and the ids seen."""
     arcs = settle(both_ways(edges), "forest", 0)

@@ -2,13 +2,12 @@
 
 from __future__ import annotations
 
-import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from spanweave.ledger import Budget, settle
-from spanweave.operators.components import LOCAL_ROWS
+from spanweave.operators.arrays import ARRAY_ROWS, packed, sequences_of
 from spanweave.operators.lca import TreeIndex, lca_batch
 from spanweave.operators.paths import ancestor_paths
 from spanweave.operators.pointers import child_counts, child_ranks, depths, doubling, hop, path_sums
@@ -19,14 +18,14 @@ from spanweave.schema import Failed
 def dfs_sequence(parents: DataFrame, method: str = "leaf_sampling", s: int | None = None, c: float = 1.0, max_pairs: int = 4_000_000, seed: int = 0, report: dict | None = None, budget: Budget | None = None, printed_bound: bool = False) -> DataFrame:
     """The sequence of a forest (v, parent, root, depth), children in the order of their ids.
 
-    leaf_sampling: subtrees of up to `s` vertices (default: what `budget` allows a task, N**delta; LOCAL_ROWS without one) are solved in one task each; of larger ones a walk through sampled leaves is laid out and the rest hangs below it, in rounds by log depth with
+    leaf_sampling: subtrees of up to `s` vertices (default: what `budget` allows a task, N**delta; ARRAY_ROWS without one) are solved in one task each, many small ones together; of larger ones a walk through sampled leaves is laid out and the rest hangs below it, in rounds by log depth with
     linear space. More than `max_pairs` pairs of samples in all is Failed, and with `printed_bound` more than s squares of a job's samples as well. tour_ranking: list ranking of the tree's arcs, rounds by log n. levels: subtree sizes level by level, a round a level.
     `report`, if given, receives sample counts and whether the bound #samples**2 <= s held."""
     if method == "tour_ranking":
         return _ranked_sequence(parents)
     if method == "levels":
         return _sequence_from_sizes(parents, subtree_sizes(parents, "levels"))
-    s = s if s is not None else budget.local(parents.count()) if budget else LOCAL_ROWS
+    s = s if s is not None else budget.local(parents.count()) if budget else ARRAY_ROWS
     return _by_leaf_sampling(parents, s, c, max_pairs, seed, report if report is not None else {}, printed_bound)
 
 
@@ -123,28 +122,6 @@ def _ranked_sequence(parents: DataFrame) -> DataFrame:
 _TOUR = "root long, pos long, v long"
 
 
-def _local_sequences(pdf: pd.DataFrame) -> pd.DataFrame:
-    """The sequence of one job's subtree, shifted by its base."""
-    children: dict[int, list[int]] = {}
-    for v, p in zip(pdf.v.tolist(), pdf.parent.tolist(), strict=True):
-        if v != pdf.job.iat[0]:
-            children.setdefault(p, []).append(v)
-    for c in children.values():
-        c.sort(reverse=True)
-    top = int(pdf.job.iat[0])
-    out, stack = [], [(top, None)]
-    while stack:
-        v, under = stack.pop()
-        out.append(v)
-        if under is None:
-            kids = children.get(v, ())
-            for w in kids:
-                stack.append((v, w))
-                stack.append((w, None))
-    base = int(pdf.base.iat[0])
-    return pd.DataFrame({"root": int(pdf.root.iat[0]), "pos": range(base, base + len(out)), "v": out})
-
-
 def _by_leaf_sampling(parents: DataFrame, s: int, c: float, max_pairs: int, seed: int, report: dict, printed_bound: bool) -> DataFrame:
     parents = settle(parents.select("v", "parent", "root", "depth"), "sequence", 0)
     jobs = parents.select(F.col("root").alias("job"), "v", "parent", "root", F.lit(1).cast("long").alias("base"))
@@ -152,7 +129,7 @@ def _by_leaf_sampling(parents: DataFrame, s: int, c: float, max_pairs: int, seed
     while True:
         sizes = settle(jobs.groupBy("job").agg(F.count(F.lit(1)).alias("n")), "sequence", level)
         big = sizes.filter(F.col("n") > s)
-        local = jobs.join(sizes.filter(F.col("n") <= s).select("job"), "job").groupBy("job").applyInPandas(_local_sequences, _TOUR)
+        local = jobs.join(sizes.filter(F.col("n") <= s).select("job"), "job").groupBy(packed("job", jobs.count())).applyInPandas(sequences_of, _TOUR)
         out = local if out is None else out.unionByName(local)
         if big.isEmpty():
             return out
