@@ -42,7 +42,7 @@ def auxiliary_graph(ready: Prepared, aux: str = "tree", method: str = "paper") -
     return inner.unionByName(tie.select(F.col("src").alias("v"))), links.unionByName(tie)
 
 
-def color_blocks(edges: DataFrame, method: str = "paper", ready: Prepared | None = None, aux: str = "tree", components: str = "stars", presparsify: bool = False, **options) -> DataFrame:
+def color_blocks(edges: DataFrame, method: str = "paper", ready: Prepared | None = None, aux: str = "tree", components: str = "local", presparsify: bool = False, **options) -> DataFrame:
     """(src, dst, block_src, block_dst): every edge with the least edge of its block.
 
     paper: components of the auxiliary graph by back-depths. interval: the same without common ancestors. local: one task. `aux="all_edges"` takes the larger auxiliary graph.

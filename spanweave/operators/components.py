@@ -2,11 +2,11 @@
 
 from __future__ import annotations
 
-import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from spanweave.ledger import Budget, settle
+from spanweave.operators.arrays import ARRAY_ROWS, components_of, in_one
 from spanweave.schema import Failed
 from spanweave.store import discard
 
@@ -25,7 +25,7 @@ def connected_components(edges: DataFrame, vertices: DataFrame | None = None, me
 
     stars: alternating star contraction, near-logarithmic rounds (default). hook: least-neighbour hooking with pointer jumping, logarithmic
     rounds. contract: sampled leaders over balls that grow within the space budget, rounds by log diameter. naive: label propagation, one round a
-    step of the diameter. local: one task, refused above the budget's local size."""
+    step of the diameter. local: one task with arrays; above ARRAY_ROWS edges, stars."""
     edges = edges.filter("src <> dst").select("src", "dst")
     run = {"stars": _stars, "hook": _hook, "contract": _contract, "naive": _naive, "local": _local}[method]
     found = run(edges, budget or Budget(), max_rounds, seed)
@@ -181,26 +181,10 @@ def _contract(edges, budget, max_rounds, seed):
 
 
 def _local(edges, budget, max_rounds, seed):
-    n = edges.count()
-    if n > budget.local(n) and n > LOCAL_ROWS:
-        raise Failed(f"{n} edges are more than one task takes")
-
-    def solve(pdf: pd.DataFrame) -> pd.DataFrame:
-        up: dict[int, int] = {}
-
-        def find(x):
-            while up.setdefault(x, x) != x:
-                up[x] = up[up[x]]
-                x = up[x]
-            return x
-
-        for a, b in zip(pdf.src.tolist(), pdf.dst.tolist(), strict=True):
-            a, b = find(a), find(b)
-            if a != b:
-                up[max(a, b)] = min(a, b)
-        return pd.DataFrame({"v": list(up), "comp": [find(x) for x in up]}, dtype="int64")
-
-    return edges.groupBy(F.lit(0).alias("all")).applyInPandas(solve, "v long, comp long")
+    edges = settle(edges, "components", 0)
+    if edges.count() > ARRAY_ROWS:
+        return _stars(edges, budget, max_rounds, seed)
+    return in_one(edges, components_of, "v long, comp long")
 
 
 #: Edges that one task may hold.

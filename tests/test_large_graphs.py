@@ -1,7 +1,9 @@
 """Graphs beyond the bounds that the methods once refused or took too many rounds for."""
 
+import pytest
 from pyspark.sql import functions as F
 
+from spanweave.operators import components
 from spanweave.operators.forest import spanning_forest
 
 
@@ -13,3 +15,12 @@ def test_a_deep_forest_takes_no_round_a_level(spark):
     n = 200_002
     found = spanning_forest(_ring(spark, n)).agg(F.count("*"), F.max("depth"), F.sum(F.abs(F.col("depth") - F.least("v", n - F.col("v"))))).first()
     assert tuple(found) == (n, n // 2, 0)
+
+
+@pytest.mark.parametrize("rows", [200_002, 40])
+def test_local_components_of_any_size(spark, monkeypatch, rows):
+    n = 200_002 if rows > 40 else 41  # more edges than a task took; more than an array bound holds
+    if rows == 40:
+        monkeypatch.setattr(components, "ARRAY_ROWS", rows)
+    found = components.connected_components(_ring(spark, n), method="local").agg(F.count("*"), F.max("comp")).first()
+    assert tuple(found) == (n, 0)
