@@ -3,6 +3,7 @@
 import pytest
 from pyspark.sql import functions as F
 
+from spanweave.ledger import Ledger
 from spanweave.operators import components
 from spanweave.operators.forest import spanning_forest
 
@@ -24,3 +25,12 @@ def test_local_components_of_any_size(spark, monkeypatch, rows):
         monkeypatch.setattr(components, "ARRAY_ROWS", rows)
     found = components.connected_components(_ring(spark, n), method="local").agg(F.count("*"), F.max("comp")).first()
     assert tuple(found) == (n, 0)
+
+
+def test_contraction_takes_small_components_whole(spark):
+    """Pairs that drew no leader used to wait for a later phase, while balls grew beyond all room."""
+    pairs, ledger = spark.range(400).select((2 * F.col("id")).alias("src"), (2 * F.col("id") + 1).alias("dst")), Ledger()
+    with ledger.open():
+        found = components.connected_components(pairs, method="contract")
+    assert found.filter("comp <> v - v % 2").count() == 0 and found.count() == 800
+    assert ledger.rounds("contract") == 6  # one phase
