@@ -113,7 +113,7 @@ def contracted(edges: DataFrame, budget: Budget, seed: int = 0, max_rounds: int
 
     In a phase with ball size b every live vertex grows a ball by joining neighbours' balls, at most b members each (the nearest, then the least), for as
     long as the balls grow and fit the total budget; leaders are sampled with probability about ln(n) / b, and every vertex hangs below the
-    neighbour that is first on a shortest way to its nearest leader; a ball without a leader makes its vertex one, or the least vertex of its component if it holds all of it.
+    neighbour that is first on a shortest way to its nearest leader; a ball without a leader makes its vertex one, and one that holds a whole component hangs it below its least vertex.
     Fragments contract, b grows by the power 5/4, as far as the balls' joins fit the budget for the vertices still alive."""
     edges = settle(edges.filter("src <> dst").select("src", "dst").distinct(), "contract", 0)
     n, m = edges.select(F.explode(F.array("src", "dst")).alias("v")).distinct().count(), edges.count()
@@ -144,10 +144,10 @@ def contracted(edges: DataFrame, budget: Budget, seed: int = 0, max_rounds: int
             ball = _nearest(ball.join(far, "x").select("v", F.col("y").alias("x"), (F.col("dist") + F.col("_d")).alias("dist")), size)
         chance = min(0.5, max(1.0, 0.7 * max(2, n).bit_length()) / size)
         leader = lambda c: F.pmod(F.xxhash64(F.col(c), F.lit(seed), F.lit(turn)), F.lit(1 << 30)) < int(chance * (1 << 30))
-        # A ball that is not full holds its whole component: without a leader its least vertex is one, and all its vertices agree on it.
+        # A ball that is not full holds its whole component, all of whose vertices then agree on its least one.
         led = ball.groupBy("v").agg(F.min(F.when(leader("x"), F.struct("dist", "x"))).alias("best"), F.min(F.struct("x", "dist")).alias("least"), F.count(F.lit(1)).alias("n"))
         whole = F.col("n") < size
-        state = led.select("v", F.coalesce("best.dist", F.when(whole, F.col("least.dist")), F.lit(0)).alias("dist"), F.coalesce("best.x", F.when(whole, F.col("least.x")), F.col("v")).alias("to"))
+        state = led.select("v", F.when(whole, F.col("least.dist")).otherwise(F.coalesce("best.dist", F.lit(0))).alias("dist"), F.when(whole, F.col("least.x")).otherwise(F.coalesce("best.x", "v")).alias("to"))
         state = settle(state, "contract", turn)
         # Towards the leader: the neighbour that is one step nearer to the same leader; without one, the vertex leads itself.
         near = state.select(F.col("v").alias("w"), F.col("dist").alias("_d"), F.col("to").alias("_t"))
