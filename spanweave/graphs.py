@@ -143,7 +143,7 @@ def chains(spark: SparkSession, sf_dir: str) -> DataFrame:
 def line_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(id, token): documents and the trimmed lines of 20 characters or more that they share with another one."""
     docs = read_table(spark, sf_dir, "documents", ["doc_id", "text"])
-    lines = F.filter(F.transform(F.split("text", "\n"), F.trim), lambda x: F.length(x) >= 20)
+    lines = F.filter(F.transform(F.split("text", "\n"), lambda x: F.trim(x)), lambda x: F.length(x) >= 20)
     return shared_token(docs, vertex("document", "doc_id"), lines)
 
 
