@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -12,16 +13,14 @@ from spanweave.graphs import canonical
 from spanweave.ledger import Budget, Ledger, settle
 from spanweave.operators.bridges import Prepared
 from spanweave.operators.blocks import auxiliary_graph, block_sizes, color_blocks
-from spanweave.operators.components import both_ways, connected_components
+from spanweave.operators.arrays import adjacency, numbered
+from spanweave.operators.components import LOCAL_ROWS, both_ways, by_size, connected_components
 from spanweave.operators.compress import compress_tree, nearest_kept
 from spanweave.operators.pointers import hop
 from spanweave.operators.rangemin import range_min
 from spanweave.operators.tour import dfs_sequence
 from spanweave.schema import Failed
 
-#: Vertices of a graph whose exact diameter or cycle lengths are computed.
-SMALL = 3000
-
 
 def eccentricities(edges: DataFrame, sources: DataFrame, max_rounds: int = 5000) -> DataFrame:
     """(source, ecc): steps to the farthest vertex, by a breadth-first wave from all `sources` (v) side by side: sources times vertices rows."""
@@ -38,14 +37,24 @@ def eccentricities(edges: DataFrame, sources: DataFrame, max_rounds: int = 5000)
     return last.groupBy("source").agg(F.max("d").alias("ecc"))
 
 
-def _distances(near: dict[int, list[int]], start: int) -> dict[int, int]:
-    dist, todo = {start: 0}, [start]
-    for v in todo:
-        for w in near[v]:
-            if w not in dist:
-                dist[w] = dist[v] + 1
-                todo.append(w)
-    return dist
+def longest_wave(pdf: pd.DataFrame, room: int = 4_000_000) -> int:
+    """The diameter of one component (src, dst): a bit a source at every vertex, waves from as many sources at once as `room` words for all arcs allow."""
+    ids, a, b = numbered(pdf.src.to_numpy(), pdf.dst.to_numpy())
+    n, most = len(ids), 0
+    start, near = adjacency(a, b, n)
+    step = 64 * max(1, room // len(near))
+    for low in range(0, n, step):
+        of = np.arange(low, min(n, low + step))
+        seen = np.zeros((n, -(-len(of) // 64)), np.uint64)
+        seen[of, (of - low) // 64] = np.uint64(1) << ((of - low) % 64).astype(np.uint64)
+        turn = 0
+        while True:
+            wave = seen | np.bitwise_or.reduceat(seen[near], start[:-1], axis=0)
+            if (wave == seen).all():
+                break
+            seen, turn = wave, turn + 1
+        most = max(most, turn)
+    return most
 
 
 def _neighbours(pdf: pd.DataFrame) -> dict[int, list[int]]:
@@ -57,18 +66,22 @@ def _neighbours(pdf: pd.DataFrame) -> dict[int, list[int]]:
 
 
 def diameter(edges: DataFrame, mode: str = "lower") -> DataFrame:
-    """(comp, diameter) of every component. exact: all sources, components of up to SMALL vertices, one task each. lower: two sweeps by rounds, a lower bound that is exact on trees."""
+    """(comp, diameter) of every component. exact: waves from all sources, whole components of up to LOCAL_ROWS edges in a task, larger ones by rounds (vertices squared rows). lower: two sweeps by rounds, a lower bound that is exact on trees."""
     graph = settle(canonical(edges), "diameter")
-    label = settle(connected_components(graph), "diameter")
     if mode == "exact":
-        if label.groupBy("comp").count().agg(F.max("count")).first()[0] > SMALL:
-            raise Failed(f"a component has more than {SMALL} vertices")
+        small, large = by_size(graph, LOCAL_ROWS)
 
         def work(pdf: pd.DataFrame) -> pd.DataFrame:
-            near = _neighbours(pdf)
-            return pd.DataFrame({"comp": [int(pdf.comp.iat[0])], "diameter": [max(max(_distances(near, v).values()) for v in near)]})
-
-        return graph.join(label.select(F.col("v").alias("src"), "comp"), "src").groupBy("comp").applyInPandas(work, "comp long, diameter int")
+            rows = [(int(comp), longest_wave(part)) for comp, part in pdf.groupby("comp")]
+            return pd.DataFrame(rows, columns=["comp", "diameter"]).astype({"diameter": "int32"})
+
+        found = small.groupBy("pack").applyInPandas(work, "comp long, diameter int")
+        if large.isEmpty():
+            return found
+        label = settle(connected_components(large, method="local"), "diameter")
+        every = eccentricities(large, label.select("v"), 1 << 30)
+        return found.unionByName(every.join(label.select(F.col("v").alias("source"), "comp"), "source").groupBy("comp").agg(F.max("ecc").alias("diameter")))
+    label = settle(connected_components(graph), "diameter")
     far = _sweep(graph, label.groupBy("comp").agg(F.min("v").alias("v")).select("comp", "v"))
     return _sweep(graph, far.select("comp", "v")).select("comp", F.col("ecc").alias("diameter"))
 

@@ -3,8 +3,9 @@
 import pytest
 from pyspark.sql import functions as F
 
-from spanweave.ledger import Ledger
-from spanweave.operators import components
+from spanweave import graphs
+from spanweave.ledger import Ledger, settle
+from spanweave.operators import blocks, bridges, components, measures
 from spanweave.operators.forest import spanning_forest
 
 
@@ -34,3 +35,26 @@ def test_contraction_takes_small_components_whole(spark):
         found = components.connected_components(pairs, method="contract")
     assert found.filter("comp <> v - v % 2").count() == 0 and found.count() == 800
     assert ledger.rounds("contract") == 6  # one phase
+
+
+@pytest.mark.parametrize("limit", [None, 3])
+def test_solvers_of_one_task_refuse_nothing(spark, monkeypatch, limit):
+    """A ring of 3,100 with a tail of 3, and a triangle: beyond the 2,000 edges and 3,000 vertices that were once allowed, and, with `limit`, beyond a task's rows."""
+    n = 3100 if limit is None else 12
+    if limit is not None:
+        for module in (bridges, measures):
+            monkeypatch.setattr(module, "LOCAL_ROWS", limit)
+    tail = [(0, n), (n, n + 1), (n + 1, n + 2)]
+    graph = settle(_ring(spark, n).unionByName(spark.createDataFrame([*tail, (9001, 9002), (9002, 9003), (9001, 9003)], "src long, dst long")), "x")
+    for method in ("local", "brute"):
+        assert sorted(map(tuple, bridges.find_bridges(graph, method=method).collect())) == tail, method
+    assert blocks.color_blocks(graph, method="local").select("block_src", "block_dst").distinct().count() == 5
+    assert sorted(map(tuple, measures.diameter(graph, "exact").collect())) == [(0, n // 2 + 3), (9001, 1)]
+
+
+def test_shared_lines_keep_their_digits(spark, tmp_path):
+    """A line's own number was taken for the characters to be trimmed."""
+    text = "0 is where it begins, 10\n   1 is where it ends, 2011   "
+    spark.createDataFrame([(1, text), (2, text)], "doc_id long, text string").write.parquet(str(tmp_path / "documents.parquet"))
+    found = {r.token for r in graphs.line_pairs(spark, str(tmp_path)).collect()}
+    assert found == {"0 is where it begins, 10", "1 is where it ends, 2011"}
