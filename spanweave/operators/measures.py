@@ -215,10 +215,8 @@ def fail_rate(run: Callable[[int], object], seeds: range) -> float:
 
 def sampled_verdicts(leaves: int, n: int, s: int, c: float, max_pairs: int, seeds: range) -> dict[str, float]:
     """Shares of seeds on which a level fails: by the bound #samples**2 <= s, and by the budget of pairs; samples drawn as the sequence draws them."""
-    import random
-
     chance = min(1.0, c * s ** (1 / 3) * max(1.0, n.bit_length()) / max(1, leaves))
-    drawn = [max(1, sum(random.Random(seed * 1_000_003 + i).random() < chance for i in range(leaves))) for seed in seeds]
+    drawn = [max(1, int((np.random.default_rng(seed).random(leaves) < chance).sum())) for seed in seeds]
     return {"by_bound": sum(k * k > s for k in drawn) / len(drawn), "by_pairs": sum(k * (k - 1) / 2 > max_pairs for k in drawn) / len(drawn), "mean_samples": sum(drawn) / len(drawn)}
 
 

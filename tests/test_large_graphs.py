@@ -1,5 +1,7 @@
 """Graphs beyond the bounds that the methods once refused or took too many rounds for."""
 
+import time
+
 import pytest
 from pyspark.sql import functions as F
 
@@ -58,3 +60,11 @@ def test_shared_lines_keep_their_digits(spark, tmp_path):
     spark.createDataFrame([(1, text), (2, text)], "doc_id long, text string").write.parquet(str(tmp_path / "documents.parquet"))
     found = {r.token for r in graphs.line_pairs(spark, str(tmp_path)).collect()}
     assert found == {"0 is where it begins, 10", "1 is where it ends, 2011"}
+
+
+def test_verdicts_on_many_leaves_take_no_generator_a_leaf():
+    began = time.process_time()
+    few, many = (measures.sampled_verdicts(k, 2 * k, 512, 1.0, 20_000, range(20)) for k in (1_000, 200_000))
+    assert time.process_time() - began < 5
+    expected = 512 ** (1 / 3) * (400_000).bit_length()
+    assert abs(many["mean_samples"] / expected - 1) < 0.2 and many["by_bound"] == 1.0 and few["by_bound"] == 1.0
