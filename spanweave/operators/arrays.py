@@ -7,8 +7,8 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-#: Rows that one task holds as arrays, at some 150 bytes each.
-ARRAY_ROWS = 2_000_000
+#: Rows that one task holds as arrays, at some 100 bytes each.
+ARRAY_ROWS = 3_000_000
 #: Rows of a pack on average; a group of up to ARRAY_ROWS rows comes on top of them.
 PACK_ROWS = 100_000
 
@@ -20,14 +20,18 @@ def packed(key: str, rows: int) -> Column:
 
 def numbered(src: np.ndarray, dst: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(ids, a, b): the sorted ids, and both ends of every edge as places among them."""
-    ids, at = np.unique(np.concatenate([src, dst]), return_inverse=True)
-    return ids, at[: len(src)], at[len(src) :]
+    ids = np.concatenate([src, dst])
+    ids.sort()  # in place, and places in 32 bits: np.unique would hold three times as much
+    ids = ids[np.concatenate([[True], ids[1:] != ids[:-1]])]
+    return ids, np.searchsorted(ids, src).astype(np.int32), np.searchsorted(ids, dst).astype(np.int32)
 
 
 def adjacency(a: np.ndarray, b: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray]:
     """(start, near): the neighbours of v are near[start[v] : start[v + 1]]."""
-    tail, head = np.concatenate([a, b]), np.concatenate([b, a])
-    return np.concatenate([[0], np.cumsum(np.bincount(tail, minlength=n))]), head[np.argsort(tail, kind="stable")]
+    tail = np.concatenate([a, b])
+    start, order = np.concatenate([[0], np.cumsum(np.bincount(tail, minlength=n))]), np.argsort(tail, kind="stable").astype(np.int32)
+    del tail
+    return start, np.concatenate([b, a])[order]
 
 
 def spread(start: np.ndarray, of: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -38,7 +42,7 @@ def spread(start: np.ndarray, of: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 def least_labels(a: np.ndarray, b: np.ndarray, n: int) -> np.ndarray:
     """The least place of every place's component: roots hang below lesser ones, then pointers are jumped; a root that stays has been hung on, so roots halve."""
-    label = np.arange(n)
+    label = np.arange(n, dtype=np.int32)
     while True:
         x, y = label[a], label[b]
         apart = x != y
@@ -59,14 +63,12 @@ def components_of(pdf: pd.DataFrame) -> pd.DataFrame:
     return pd.DataFrame({"v": ids, "comp": ids[least_labels(a, b, len(ids))]})
 
 
-def forest_of(pdf: pd.DataFrame) -> pd.DataFrame:
-    """(v, parent, root, depth) of whole components (src, dst): breadth-first from the least id of each, parents the least neighbour one level up."""
-    ids, a, b = numbered(pdf.src.to_numpy(np.int64), pdf.dst.to_numpy(np.int64))
-    n = len(ids)
+def breadth_first(a: np.ndarray, b: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(parent, root, depth) of every place: from the least one of each component, parents the least neighbour one level up."""
     start, near = adjacency(a, b, n)
     root = least_labels(a, b, n)
     front = np.flatnonzero(root == np.arange(n))
-    parent, depth = np.full(n, -1), np.full(n, -1, np.int32)
+    parent, depth = np.full(n, -1, np.int32), np.full(n, -1, np.int32)
     parent[front], depth[front], level = front, 0, 0
     while len(front):
         level += 1
@@ -77,16 +79,19 @@ def forest_of(pdf: pd.DataFrame) -> pd.DataFrame:
         parent[below[::-1]] = above[::-1]  # the front is in order, and of several parents the last one written stays: the least
         depth[below] = level
         front = np.unique(below)
+    return parent, root, depth
+
+
+def forest_of(pdf: pd.DataFrame) -> pd.DataFrame:
+    """(v, parent, root, depth) of whole components (src, dst): breadth-first from the least id of each, parents the least neighbour one level up."""
+    ids, a, b = numbered(pdf.src.to_numpy(np.int64), pdf.dst.to_numpy(np.int64))
+    parent, root, depth = breadth_first(a, b, len(ids))
     return pd.DataFrame({"v": ids, "parent": ids[parent], "root": ids[root], "depth": depth})
 
 
-def sequences_of(pdf: pd.DataFrame) -> pd.DataFrame:
-    """(root, pos, v): the sequences of the subtrees (job, v, parent, root, base), each from its base on, children in the order of their ids."""
-    pdf = pdf.sort_values("v")
-    v, up = pdf.v.to_numpy(np.int64), pdf.parent.to_numpy(np.int64)
-    top = v == pdf.job.to_numpy(np.int64)
-    n = len(v)
-    parent = np.where(top, np.arange(n), np.searchsorted(v, np.where(top, v, up)))
+def laid_out(parent: np.ndarray, top: np.ndarray, base: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(first position, subtree size) of every place; a tree's sequence begins at the base of its `top`, children come in their order."""
+    n = len(parent)
     inner = np.flatnonzero(~top)
     kids = inner[np.argsort(parent[inner], kind="stable")]
     start = np.concatenate([[0], np.cumsum(np.bincount(parent[inner], minlength=n))])
@@ -99,9 +104,67 @@ def sequences_of(pdf: pd.DataFrame) -> pd.DataFrame:
     before = np.zeros(n, np.int64)  # what earlier siblings take
     total = np.concatenate([[0], np.cumsum(2 * size[kids])])
     before[kids] = total[:-1] - total[start[parent[kids]]]
-    first = pdf.base.to_numpy(np.int64).copy()
+    del inner, kids, start, total
+    first = base.copy()
     for level in levels[1:]:
         first[level] = first[parent[level]] + 1 + before[level]
+    return first, size
+
+
+def stretch_values(values: np.ndarray, length: np.ndarray, pick: np.ufunc) -> np.ndarray:
+    """`pick` (np.minimum or np.maximum) over values[i : i + length[i]] for every i, by powers of two, of which one row is held at a time."""
+    power = np.frexp(length)[1] - 1
+    by_power = np.argsort(power, kind="stable").astype(np.int32)
+    end = np.cumsum(np.bincount(power))
+    out, row = np.empty_like(values), values
+    for k, (lo, hi) in enumerate(zip([0, *end[:-1]], end, strict=True)):
+        at = by_power[lo:hi]
+        out[at] = pick(row[at], row[at + length[at] - (1 << k)])
+        row = pick(row[: -(1 << k)], row[1 << k :])
+    return out
+
+
+def subtree_reach(root: np.ndarray, first: np.ndarray, size: np.ndarray, lo: np.ndarray, hi: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(low, high): the least lo and the greatest hi in every vertex's subtree; in the order of first positions a subtree is a stretch."""
+    order = np.lexsort((first, root)).astype(np.int32)
+    low, high = np.empty_like(lo), np.empty_like(hi)
+    low[order] = stretch_values(lo[order], size[order], np.minimum)
+    high[order] = stretch_values(hi[order], size[order], np.maximum)
+    return low, high
+
+
+def reach_of(pdf: pd.DataFrame) -> pd.DataFrame:
+    """(v, low, high) of whole trees (v, root, first, last, lo, hi)."""
+    root, first, last, lo, hi = (pdf[c].to_numpy(np.int64) for c in ("root", "first", "last", "lo", "hi"))
+    low, high = subtree_reach(root, first, (last - first) // 2 + 1, lo, hi)
+    return pd.DataFrame({"v": pdf.v, "low": low, "high": high})
+
+
+def reached_of(pdf: pd.DataFrame) -> pd.DataFrame:
+    """(v, parent, depth, first, last, low, high) of whole components (src, dst): their breadth-first forest, spans from 1 on in every tree, and the least and greatest first position that a subtree touches by edges off the forest."""
+    ids, a, b = numbered(pdf.src.to_numpy(np.int64), pdf.dst.to_numpy(np.int64))
+    n = len(ids)
+    parent, root, depth = breadth_first(a, b, n)
+    first, size = (x.astype(np.int32) for x in laid_out(parent, parent == np.arange(n), np.ones(n, np.int64)))
+    off = (parent[a] != b) & (parent[b] != a)
+    a, b = a[off], b[off]
+    lo, hi = first.copy(), first.copy()
+    for x, y in ((a, b), (b, a)):
+        np.minimum.at(lo, x, first[y])
+        np.maximum.at(hi, x, first[y])
+    low, high = subtree_reach(root, first, size, lo, hi)
+    return pd.DataFrame({"v": ids, "parent": ids[parent], "depth": depth, "first": first, "last": first + 2 * size - 2, "low": low, "high": high})
+
+
+def sequences_of(pdf: pd.DataFrame) -> pd.DataFrame:
+    """(root, pos, v): the sequences of the subtrees (job, v, parent, root, base), each from its base on, children in the order of their ids."""
+    pdf = pdf.sort_values("v")
+    v, up = pdf.v.to_numpy(np.int64), pdf.parent.to_numpy(np.int64)
+    top = v == pdf.job.to_numpy(np.int64)
+    n = len(v)
+    parent = np.where(top, np.arange(n), np.searchsorted(v, np.where(top, v, up)))
+    first, size = laid_out(parent, top, pdf.base.to_numpy(np.int64))
+    inner = np.flatnonzero(~top)
     root = pdf.root.to_numpy(np.int64)
     return pd.DataFrame({"root": np.concatenate([root, root[inner]]), "pos": np.concatenate([first, first[inner] + 2 * size[inner] - 1]), "v": np.concatenate([v, v[parent[inner]]])})
 

@@ -21,13 +21,14 @@ def auxiliary_graph(ready: Prepared, aux: str = "tree", method: str = "paper") -
     tree: every non-root vertex stands for its parent edge; it is linked to its parent where its subtree reaches above the parent, and the ends of an edge off the forest are linked where neither is
     an ancestor of the other. all_edges: every edge off the forest is a vertex too (a negative id), tied to the parent edge of its deeper end. With
     method="interval" both tests read tour positions instead of depths of common ancestors."""
-    inner = ready.parents.filter("v <> parent").select("v")
     if method == "interval":
-        at = hop(hop(ready.reach, ready.spans, "parent", {"pf": "first", "pl": "last"}, name="v"), ready.parents, "parent", {"pd": "depth"}, name="v")
-        up = at.filter("pd > 0 and (low < pf or high > pl)")
-        both = hop(hop(ready.crossing, ready.spans, "src", {"sf": "first", "sl": "last"}, name="v"), ready.spans, "dst", {"df": "first", "dl": "last"}, name="v")
+        inner = ready.reached.filter("v <> parent").select("v")
+        up = hop(ready.reached.filter("depth > 1"), ready.reached, "parent", {"pf": "first", "pl": "last"}, name="v").filter("low < pf or high > pl")
+        # The edges of the forest join ancestors, so they need not be taken out.
+        both = hop(hop(ready.graph, ready.reached, "src", {"sf": "first", "sl": "last"}, name="v"), ready.reached, "dst", {"df": "first", "dl": "last"}, name="v")
         across = both.filter("not (sf <= df and dl <= sl) and not (df <= sf and sl <= dl)").select("src", "dst")
     else:
+        inner = ready.parents.filter("v <> parent").select("v")
         up = ready.lows.filter("low < depth - 1")
         across = ready.met.filter("lca <> u and lca <> v").select(F.col("u").alias("src"), F.col("v").alias("dst"))
     links = up.select(F.least("v", "parent").alias("src"), F.greatest("v", "parent").alias("dst")).unionByName(across.select(F.least("src", "dst").alias("src"), F.greatest("src", "dst").alias("dst")))
@@ -58,7 +59,7 @@ def color_blocks(edges: DataFrame, method: str = "paper", ready: Prepared | None
     ready = ready or Prepared(edges, **options)
     inner, links = auxiliary_graph(ready, aux, method)
     color = settle(connected_components(links, inner, method=components), "colors")
-    depth = ready.parents.select("v", "depth")
+    depth = (ready.reached if method == "interval" else ready.parents).select("v", "depth")
     every = ready.graph if dropped is None else ready.graph.unionByName(dropped)
     ends = hop(hop(every, depth, "src", {"ds": "depth"}, name="v"), depth, "dst", {"dd": "depth"}, name="v")
     deeper = ends.select("src", "dst", F.when(F.col("ds") >= F.col("dd"), F.col("src")).otherwise(F.col("dst")).alias("v"))
@@ -88,14 +89,16 @@ def block_cut_tree(colors: DataFrame) -> DataFrame:
     return incidence(colors).join(cut_vertices(colors).select("v"), "v", "left_semi").select(F.col("v").alias("cut"), "block_src", "block_dst")
 
 
-def is_biconnected(edges: DataFrame, vertices: DataFrame | None = None, **options) -> bool:
+def is_biconnected(edges: DataFrame, vertices: DataFrame | None = None, method: str = "paper", **options) -> bool:
     """Whether the graph is connected and has one block: three vertices or more, no cut vertex."""
-    graph = settle(canonical(edges), "normalise")
-    every = graph.select(F.explode(F.array("src", "dst")).alias("v"))
-    every = settle((every if vertices is None else every.unionByName(vertices.select("v"))).distinct(), "normalise")
-    if every.limit(3).count() < 3 or every.join(graph.select(F.explode(F.array("src", "dst")).alias("v")).distinct(), "v", "left_anti").limit(1).count():
+    how = {k: options.pop(k) for k in ("aux", "components", "presparsify") if k in options}
+    ready = Prepared(edges, **options)
+    ends = ready.graph.select(F.explode(F.array("src", "dst")).alias("v"))
+    lone = vertices is not None and not vertices.select("v").join(ends, "v", "left_anti").isEmpty()
+    if lone or ready.graph.limit(2).count() < 2:  # two edges have three ends
         return False
-    return color_blocks(graph, **options).select("block_src", "block_dst").distinct().limit(2).count() == 1
+    colors = color_blocks(ready.graph, method, **how, **options) if how.get("presparsify") else color_blocks(edges, method, ready, **how)
+    return colors.select("block_src", "block_dst").distinct().limit(2).count() == 1
 
 
 def fundamental_cycles(edges: DataFrame, ready: Prepared | None = None, **options) -> DataFrame:

@@ -10,9 +10,9 @@ from pyspark.sql import functions as F
 
 from spanweave.graphs import canonical
 from spanweave.ledger import Budget, settle
-from spanweave.operators.arrays import in_one
+from spanweave.operators.arrays import ARRAY_ROWS, in_one, packed, reach_of, reached_of
 from spanweave.operators.components import LOCAL_ROWS, both_ways, by_size, connected_components
-from spanweave.operators.forest import spanning_forest, tree_edges
+from spanweave.operators.forest import breadth_first_from, spanning_forest, tree_edges
 from spanweave.operators.lca import TreeIndex, lca_batch
 from spanweave.operators.pointers import hop
 from spanweave.operators.rangemin import range_min
@@ -129,12 +129,40 @@ class Prepared:
             first = self.spans.select("v", "first")
             seen = hop(both_ways(self.crossing), first, "w", {"f": "first"}, name="v").groupBy("v").agg(F.min("f").alias("lo"), F.max("f").alias("hi"))
             own = self.spans.join(seen, "v", "left").select("v", F.least("first", "lo").alias("lo"), F.greatest("first", "hi").alias("hi"))
+            if self.rmq_method == "block" and self.budget is None and self.s is None:
+                most, rows = self.parents.groupBy("root").agg(F.count(F.lit(1)).alias("n")).agg(F.max("n"), F.sum("n")).first()
+                if rows and most <= ARRAY_ROWS:
+                    trees = self.parents.select("v", "root").join(self.spans, "v").join(own, "v")
+                    found = trees.groupBy(packed("root", rows)).applyInPandas(reach_of, "v long, low long, high long")
+                    return settle(self.parents.filter("v <> parent").select("v", "parent").join(settle(found, "reach"), "v"), "reach")
             low, high = self.subtree_min(own.select("v", F.col("lo").alias("val")), own.select("v", (-F.col("hi")).alias("val")))
             high = high.select("v", (-F.col("low")).alias("high"))
             return settle(self.parents.filter("v <> parent").select("v", "parent").join(low, "v").join(high, "v"), "reach")
 
         return self._once("reach", make)
 
+    @property
+    def reached(self) -> DataFrame:
+        """(v, parent, depth, first, last, low, high): spans, and reach below the roots. Only positions in one tree can be compared. Where no method is asked for by name, components of up to
+        ARRAY_ROWS edges are solved in one task each, many small ones together."""
+
+        def make():
+            default = (self.forest, self.tour_method, self.rmq_method, self.budget, self.s, self.parents_given) == ("auto", "leaf_sampling", "block", None, None, None)
+            if not default or "parents" in self._parts:
+                low = self.reach.select("v", "low", "high")
+                return settle(self.parents.select("v", "parent", "depth").join(self.spans, "v").join(low, "v", "left"), "reach")
+            schema = "v long, parent long, depth int, first long, last long, low long, high long"
+            if self.graph.count() <= ARRAY_ROWS:
+                return settle(in_one(self.graph, reached_of, schema), "reach")
+            small, large = by_size(self.graph, ARRAY_ROWS)
+            found = small.groupBy("pack").applyInPandas(reached_of, schema)
+            if not large.isEmpty():
+                edges, tops = large.select("src", "dst"), large.select(F.col("comp").alias("v")).distinct()
+                found = found.unionByName(Prepared(edges, lca_method=self.lca_method, seed=self.seed, parents_given=breadth_first_from(edges, tops)).reached)
+            return settle(found, "reach")
+
+        return self._once("reached", make)
+
 
 def back_depth(ready: Prepared) -> DataFrame:
     """(v, bac): the least of a vertex's depth and the depths of the common ancestors with its neighbours other than its parent. Children meet it at itself, so only
@@ -161,7 +189,7 @@ def find_bridges(edges: DataFrame, method: str = "paper", ready: Prepared | None
     presets = {"hook": {"forest": "hook", "tour_method": "tour_ranking", "lca_method": "doubling", "rmq_method": "sparse_table"}, "naive": {"forest": "bfs", "tour_method": "levels", "lca_method": "naive", "rmq_method": "naive"}}
     ready = ready or Prepared(edges, **(presets.get(method, {}) | options))
     if method == "interval":
-        found = ready.reach.join(ready.spans, "v").filter("low >= first and high <= last")
+        found = ready.reached.filter("v <> parent and low >= first and high <= last")
     else:
         found = ready.lows.filter("low >= depth")
     return found.select(*_edge("v", "parent"))

@@ -191,11 +191,11 @@ def _local(edges, budget, max_rounds, seed):
 
 
 def by_size(graph: DataFrame, limit: int) -> tuple[DataFrame, DataFrame]:
-    """Edges (src, dst, comp, pack) of the components of up to `limit` edges, whole ones in a pack, and edges (src, dst) of the larger ones."""
+    """Edges (src, dst, comp, pack) of the components of up to `limit` edges, whole ones in a pack, and edges (src, dst, comp) of the larger ones."""
     label = settle(connected_components(graph, method="local"), "by size")
     held = settle(graph.join(label.select(F.col("v").alias("src"), "comp"), "src").select("src", "dst", "comp"), "by size")
     large = settle(held.groupBy("comp").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") > limit).select("comp"), "by size")
-    return held.join(large, "comp", "left_anti").select("src", "dst", "comp", packed("comp", held.count())), held.join(large, "comp", "left_semi").select("src", "dst")
+    return held.join(large, "comp", "left_anti").select("src", "dst", "comp", packed("comp", held.count())), held.join(large, "comp", "left_semi").select("src", "dst", "comp")
 
 
 #: Edges that one task may hold in dictionaries.

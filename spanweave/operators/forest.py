@@ -51,6 +51,11 @@ def _auto(edges: DataFrame, local_rows: int, max_rounds: int) -> DataFrame:
     return small.unionByName(_bfs(many.select("src", "dst"), max_rounds, large.select(F.col("comp").alias("v"))))
 
 
+def breadth_first_from(edges: DataFrame, roots: DataFrame, max_rounds: int = 2000) -> DataFrame:
+    """The forest of `bfs` where the least id of each component is known: `roots` (v)."""
+    return _bfs(edges, max_rounds, roots)
+
+
 def _bfs(edges: DataFrame, max_rounds: int, roots: DataFrame | None = None) -> DataFrame:
     """One frontier for all components, from `roots` (v) where they are known; each level is written apart, so a round reads only the frontier, its arcs and the ids seen."""
     arcs = settle(both_ways(edges), "forest", 0)

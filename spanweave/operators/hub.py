@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from spanweave.graphs import canonical
+from spanweave.ledger import settle
 from spanweave.operators.blocks import color_blocks, is_biconnected
 from spanweave.schema import KIND_BITS, KINDS
 
@@ -29,4 +30,4 @@ def components_via_hub(edges: DataFrame, vertices: DataFrame | None = None, **op
 
 def one_or_two_cycles(edges: DataFrame, **options) -> int:
     """1 if a graph that is one cycle or two is one, 2 if two: whether the graph with a hub is biconnected."""
-    return 1 if is_biconnected(add_hub(edges), **options) else 2
+    return 1 if is_biconnected(add_hub(settle(canonical(edges), "normalise")), **options) else 2

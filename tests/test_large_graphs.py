@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from spanweave import graphs
 from spanweave.ledger import Ledger, settle
-from spanweave.operators import blocks, bridges, components, measures
+from spanweave.operators import blocks, bridges, components, forest, hub, measures
 from spanweave.operators.forest import spanning_forest
 
 
@@ -30,6 +30,20 @@ def test_local_components_of_any_size(spark, monkeypatch, rows):
     assert tuple(found) == (n, 0)
 
 
+@pytest.mark.parametrize("rows", [100, 1000])
+def test_cycles_with_a_hub_take_no_range_tables(spark, monkeypatch, rows):
+    """Rings of 60 with a hub: 120 edges, beyond a task's rows or within them; the range minima of their subtrees went by a round a power of two."""
+    for module in (bridges, components, forest):
+        monkeypatch.setattr(module, "ARRAY_ROWS", rows, raising=False)
+    part = lambda lo, n: spark.range(lo, lo + n).select(F.col("id").alias("src"), (lo + (F.col("id") - lo + 1) % n).alias("dst"))
+    ledger = Ledger()
+    with ledger.open():
+        assert hub.one_or_two_cycles(part(0, 60), method="interval") == 1
+        assert hub.one_or_two_cycles(part(0, 30).unionByName(part(30, 30)), method="interval") == 2
+    assert ledger.rounds("range table") == 0
+    assert ledger.rounds("normalise") <= 6
+
+
 def test_contraction_takes_small_components_whole(spark):
     """Pairs that drew no leader used to wait for a later phase, while balls grew beyond all room."""
     pairs, ledger = spark.range(400).select((2 * F.col("id")).alias("src"), (2 * F.col("id") + 1).alias("dst")), Ledger()
