@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
 import pandas as pd
 from pyspark.sql import Column, DataFrame
@@ -11,6 +13,8 @@ from pyspark.sql import functions as F
 ARRAY_ROWS = 3_000_000
 #: Rows of a pack on average; a group of up to ARRAY_ROWS rows comes on top of them.
 PACK_ROWS = 100_000
+#: Edges of a chunk whose components a task finds before any are exchanged.
+CHUNK_ROWS = 1_000_000
 
 
 def packed(key: str, rows: int) -> Column:
@@ -63,6 +67,19 @@ def components_of(pdf: pd.DataFrame) -> pd.DataFrame:
     return pd.DataFrame({"v": ids, "comp": ids[least_labels(a, b, len(ids))]})
 
 
+def chunk_components(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    """(v, comp) of every chunk of up to CHUNK_ROWS of a task's edges (src, dst), each by itself."""
+    held, rows = [], 0
+    for pdf in batches:
+        held.append(pdf)
+        rows += len(pdf)
+        if rows >= CHUNK_ROWS:
+            yield components_of(pd.concat(held))
+            held, rows = [], 0
+    if rows:
+        yield components_of(pd.concat(held))
+
+
 def breadth_first(a: np.ndarray, b: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(parent, root, depth) of every place: from the least one of each component, parents the least neighbour one level up."""
     start, near = adjacency(a, b, n)

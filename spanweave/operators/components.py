@@ -6,7 +6,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from spanweave.ledger import Budget, settle
-from spanweave.operators.arrays import ARRAY_ROWS, components_of, in_one, packed
+from spanweave.operators.arrays import ARRAY_ROWS, chunk_components, components_of, in_one, packed
+from spanweave.operators.pointers import hop
 from spanweave.schema import Failed
 from spanweave.store import discard
 
@@ -25,7 +26,8 @@ def connected_components(edges: DataFrame, vertices: DataFrame | None = None, me
 
     stars: alternating star contraction, near-logarithmic rounds (default). hook: least-neighbour hooking with pointer jumping, logarithmic
     rounds. contract: sampled leaders over balls that grow within the space budget, rounds by log diameter. naive: label propagation, one round a
-    step of the diameter. local: one task with arrays; above ARRAY_ROWS edges, stars."""
+    step of the diameter. local: one task with arrays; above ARRAY_ROWS edges, chunks with arrays and
+    what links their components likewise, by stars where that is not at most half of it."""
     edges = edges.filter("src <> dst").select("src", "dst")
     run = {"stars": _stars, "hook": _hook, "contract": _contract, "naive": _naive, "local": _local}[method]
     found = run(edges, budget or Budget(), max_rounds, seed)
@@ -185,9 +187,18 @@ def _contract(edges, budget, max_rounds, seed):
 
 def _local(edges, budget, max_rounds, seed):
     edges = settle(edges, "components", 0)
-    if edges.count() > ARRAY_ROWS:
-        return _stars(edges, budget, max_rounds, seed)
-    return in_one(edges, components_of, "v long, comp long")
+    rows = edges.count()
+    if rows <= ARRAY_ROWS:
+        return in_one(edges, components_of, "v long, comp long")
+    # Components of chunks stand for them by their least vertices; those that share a vertex are linked. However the edges are dealt out, no link is lost.
+    met = settle(edges.mapInPandas(chunk_components, "v long, comp long"), "components chunks", 0)
+    own = settle(met.groupBy("v").agg(F.min("comp").alias("m"), F.max("comp").alias("_most")), "components chunks", 1)
+    apart = met.join(own.filter("m <> _most").select("v", "m"), "v").filter("comp <> m")
+    links = settle(apart.select(F.col("comp").alias("src"), F.col("m").alias("dst")).distinct(), "components chunks", 2)
+    discard(met)
+    run = _local if links.count() <= rows // 2 else _stars
+    top = settle(run(links, budget, max_rounds, seed), "components chunks", 3)
+    return hop(own.select("v", "m"), top, "m", {"_c": "comp"}, name="v").select("v", F.coalesce("_c", "m").alias("comp"))
 
 
 def by_size(graph: DataFrame, limit: int) -> tuple[DataFrame, DataFrame]:

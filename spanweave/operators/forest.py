@@ -39,7 +39,7 @@ def spanning_forest(edges: DataFrame, vertices: DataFrame | None = None, method:
 def _auto(edges: DataFrame, local_rows: int, max_rounds: int) -> DataFrame:
     if edges.count() <= local_rows:
         return in_one(edges, forest_of, _PARENTS)
-    label = settle(connected_components(edges), "forest", 0)
+    label = settle(connected_components(edges, method="local"), "forest", 0)
     held = settle(edges.join(label.select(F.col("v").alias("src"), "comp"), "src"), "forest", 0)
     size = held.groupBy("comp").agg(F.count(F.lit(1)).alias("n"))
     large = settle(size.filter(F.col("n") > local_rows).select("comp"), "forest", 0)
@@ -59,7 +59,7 @@ def breadth_first_from(edges: DataFrame, roots: DataFrame, max_rounds: int = 200
 def _bfs(edges: DataFrame, max_rounds: int, roots: DataFrame | None = None) -> DataFrame:
     """One frontier for all components, from `roots` (v) where they are known; each level is written apart, so a round reads only the frontier, its arcs and the ids seen."""
     arcs = settle(both_ways(edges), "forest", 0)
-    roots = roots if roots is not None else connected_components(edges).select(F.col("comp").alias("v")).distinct()
+    roots = roots if roots is not None else connected_components(edges, method="local").select(F.col("comp").alias("v")).distinct()
     front = settle(roots.select("v", F.col("v").alias("parent"), F.col("v").alias("root"), F.lit(0).alias("depth")), "forest", 0)
     seen = [front]
     for turn in range(1, max_rounds):

@@ -44,6 +44,20 @@ def test_cycles_with_a_hub_take_no_range_tables(spark, monkeypatch, rows):
     assert ledger.rounds("normalise") <= 6
 
 
+def test_many_components_beyond_a_tasks_rows_in_all(spark, monkeypatch):
+    """300 small components, 3,300 edges where a task may hold 700: they were labelled by rounds of stars, and their subtrees by range tables."""
+    for module in (bridges, components, forest):
+        monkeypatch.setattr(module, "ARRAY_ROWS", 700, raising=False)
+    pairs = [(100 * c + a, 100 * c + b) for c in range(300) for a, b in [(0, 1), (1, 2), (0, 2), (2, 3), (3, 4), (4, 5), (5, 6), (3, 6), (6, 7), (7, 8), (1, 9)]]
+    graph, ledger = spark.createDataFrame(pairs, "src long, dst long").repartition(6), Ledger()
+    with ledger.open():
+        found = sorted(map(tuple, bridges.find_bridges(graph, method="interval").collect()))
+    assert found == sorted(e[:2] for e in bridges.solve_low_points(pairs) if e[2])
+    assert ledger.rounds("components least") == ledger.rounds("range table") == 0
+    colors = blocks.color_blocks(graph, method="interval")
+    assert sorted(map(tuple, colors.collect())) == sorted((a, b, c, d) for a, b, _, c, d in bridges.solve_low_points(pairs))
+
+
 def test_contraction_takes_small_components_whole(spark):
     """Pairs that drew no leader used to wait for a later phase, while balls grew beyond all room."""
     pairs, ledger = spark.range(400).select((2 * F.col("id")).alias("src"), (2 * F.col("id") + 1).alias("dst")), Ledger()
