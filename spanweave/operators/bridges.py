@@ -53,20 +53,24 @@ class Prepared:
         """Edges off the forest."""
         return self._once("crossing", lambda: settle(self.graph.join(tree_edges(self.parents), ["src", "dst"], "left_anti"), "crossing"))
 
+    @property
+    def index(self) -> TreeIndex:
+        return self._once("index", lambda: TreeIndex.of(self.parents))
+
     @property
     def met(self) -> DataFrame:
         """(qid, u, v, lca, child_u, child_v) of the edges off the forest."""
 
         def make():
             asked = self.crossing.select(F.xxhash64("src", "dst").alias("qid"), F.col("src").alias("u"), F.col("dst").alias("v"))
-            index = TreeIndex.of(self.parents) if self.lca_method == "compressed" else None
+            index = self.index if self.lca_method == "compressed" else None
             return settle(lca_batch(self.parents, asked, method=self.lca_method, index=index), "lca")
 
         return self._once("met", make)
 
     @property
     def tour(self) -> DataFrame:
-        return self._once("tour", lambda: settle(dfs_sequence(self.parents, method=self.tour_method, s=self.s, seed=self.seed, budget=self.budget), "tour"))
+        return self._once("tour", lambda: settle(dfs_sequence(self.parents, method=self.tour_method, s=self.s, seed=self.seed, budget=self.budget, index=lambda: self.index), "tour"))
 
     @property
     def spans(self) -> DataFrame:

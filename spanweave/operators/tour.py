@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
@@ -15,18 +17,18 @@ from spanweave.operators.positions import dense_positions, prefix_sums
 from spanweave.schema import Failed
 
 
-def dfs_sequence(parents: DataFrame, method: str = "leaf_sampling", s: int | None = None, c: float = 1.0, max_pairs: int = 4_000_000, seed: int = 0, report: dict | None = None, budget: Budget | None = None, printed_bound: bool = False) -> DataFrame:
+def dfs_sequence(parents: DataFrame, method: str = "leaf_sampling", s: int | None = None, c: float = 1.0, max_pairs: int = 4_000_000, seed: int = 0, report: dict | None = None, budget: Budget | None = None, printed_bound: bool = False, index: Callable[[], TreeIndex] | None = None) -> DataFrame:
     """The sequence of a forest (v, parent, root, depth), children in the order of their ids.
 
     leaf_sampling: subtrees of up to `s` vertices (default: what `budget` allows a task, N**delta; ARRAY_ROWS without one) are solved in one task each, many small ones together; of larger ones a walk through sampled leaves is laid out and the rest hangs below it, in rounds by log depth with
     linear space. More than `max_pairs` pairs of samples in all is Failed, and with `printed_bound` more than s squares of a job's samples as well. tour_ranking: list ranking of the tree's arcs, rounds by log n. levels: subtree sizes level by level, a round a level.
-    `report`, if given, receives sample counts and whether the bound #samples**2 <= s held."""
+    `report`, if given, receives sample counts and whether the bound #samples**2 <= s held. `index` gives the forest's index, called where one is needed; without it one is made."""
     if method == "tour_ranking":
         return _ranked_sequence(parents)
     if method == "levels":
         return _sequence_from_sizes(parents, subtree_sizes(parents, "levels"))
     s = s if s is not None else budget.local(parents.count()) if budget else ARRAY_ROWS
-    return _by_leaf_sampling(parents, s, c, max_pairs, seed, report if report is not None else {}, printed_bound)
+    return _by_leaf_sampling(parents, s, c, max_pairs, seed, report if report is not None else {}, printed_bound, index)
 
 
 def spans(tour: DataFrame) -> DataFrame:
@@ -122,7 +124,7 @@ def _ranked_sequence(parents: DataFrame) -> DataFrame:
 _TOUR = "root long, pos long, v long"
 
 
-def _by_leaf_sampling(parents: DataFrame, s: int, c: float, max_pairs: int, seed: int, report: dict, printed_bound: bool) -> DataFrame:
+def _by_leaf_sampling(parents: DataFrame, s: int, c: float, max_pairs: int, seed: int, report: dict, printed_bound: bool, given: Callable[[], TreeIndex] | None = None) -> DataFrame:
     parents = settle(parents.select("v", "parent", "root", "depth"), "sequence", 0)
     jobs = parents.select(F.col("root").alias("job"), "v", "parent", "root", F.lit(1).cast("long").alias("base"))
     out, index, ranks, level = None, None, None, 0
@@ -134,7 +136,7 @@ def _by_leaf_sampling(parents: DataFrame, s: int, c: float, max_pairs: int, seed
         if big.isEmpty():
             return out
         if index is None:
-            index = TreeIndex.of(parents)
+            index = given() if given else TreeIndex.of(parents)
             ranks = settle(child_ranks(parents).join(child_counts(parents), "v").select("v", "parent", "rank", "children"), "sequence", level)
         items, jobs = _laid_out(parents, index, ranks, settle(jobs.join(big, "job"), "sequence", level), s, c, max_pairs, seed + level, report, printed_bound)
         out, level = out.unionByName(items), level + 1

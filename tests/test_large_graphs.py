@@ -58,6 +58,14 @@ def test_many_components_beyond_a_tasks_rows_in_all(spark, monkeypatch):
     assert sorted(map(tuple, colors.collect())) == sorted((a, b, c, d) for a, b, _, c, d in bridges.solve_low_points(pairs))
 
 
+def test_a_tree_is_compressed_once(spark):
+    """Common ancestors and the sampled tour each made an index of the same forest."""
+    graph, ledger = _ring(spark, 60), Ledger()
+    with ledger.open():
+        assert bridges.find_bridges(graph, s=20).isEmpty()
+    assert ledger.rounds("compress") == 1
+
+
 def test_contraction_takes_small_components_whole(spark):
     """Pairs that drew no leader used to wait for a later phase, while balls grew beyond all room."""
     pairs, ledger = spark.range(400).select((2 * F.col("id")).alias("src"), (2 * F.col("id") + 1).alias("dst")), Ledger()
