@@ -2,15 +2,17 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-#: Rows that one task holds as arrays, at some 100 bytes each.
-ARRAY_ROWS = 3_000_000
+#: Rows that one task holds as arrays, at some 60 bytes each.
+ARRAY_ROWS = 16_000_000
+#: Rows that leave a task at once.
+SLICE_ROWS = 500_000
 #: Rows of a pack on average; a group of up to ARRAY_ROWS rows comes on top of them.
 PACK_ROWS = 100_000
 #: Edges of a chunk whose components a task finds before any are exchanged.
@@ -22,20 +24,40 @@ def packed(key: str, rows: int) -> Column:
     return F.pmod(F.xxhash64(key), F.lit(max(1, -(-rows // PACK_ROWS)))).alias("pack")
 
 
+def places(ids: np.ndarray, of: np.ndarray) -> np.ndarray:
+    """The place of every value of `of` among the sorted `ids`: looked up in order, a stretch at a time, so that near values follow each other."""
+    out = np.empty(len(of), np.int32)
+    for low in range(0, len(of), SLICE_ROWS):
+        part = of[low : low + SLICE_ROWS]
+        order = np.argsort(part)
+        out[low + order] = np.searchsorted(ids, part[order])
+    return out
+
+
 def numbered(src: np.ndarray, dst: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(ids, a, b): the sorted ids, and both ends of every edge as places among them."""
     ids = np.concatenate([src, dst])
+    if not len(ids):
+        return ids.astype(np.int64), src.astype(np.int32), dst.astype(np.int32)
     ids.sort()  # in place, and places in 32 bits: np.unique would hold three times as much
     ids = ids[np.concatenate([[True], ids[1:] != ids[:-1]])]
-    return ids, np.searchsorted(ids, src).astype(np.int32), np.searchsorted(ids, dst).astype(np.int32)
+    return ids, places(ids, src), places(ids, dst)
+
+
+def listed(tail: np.ndarray, head: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray]:
+    """(start, near): the heads of v's arcs, in order, are near[start[v] : start[v + 1]]. Both ends share a word, so that nothing but it is sorted."""
+    word = tail.astype(np.int64)
+    word <<= 32
+    word |= head
+    word.sort()
+    near = word.astype(np.int32)  # the lower half
+    word >>= 32
+    return np.searchsorted(word, np.arange(n + 1)).astype(np.int32), near
 
 
 def adjacency(a: np.ndarray, b: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray]:
-    """(start, near): the neighbours of v are near[start[v] : start[v + 1]]."""
-    tail = np.concatenate([a, b])
-    start, order = np.concatenate([[0], np.cumsum(np.bincount(tail, minlength=n))]), np.argsort(tail, kind="stable").astype(np.int32)
-    del tail
-    return start, np.concatenate([b, a])[order]
+    """(start, near): the neighbours of v, in order, are near[start[v] : start[v + 1]]."""
+    return listed(np.concatenate([a, b]), np.concatenate([b, a]), n)
 
 
 def spread(start: np.ndarray, of: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -61,10 +83,31 @@ def least_labels(a: np.ndarray, b: np.ndarray, n: int) -> np.ndarray:
             label = far
 
 
+#: What a solver finds: the number of its rows, and those between two places.
+Found = tuple[int, Callable[[slice], pd.DataFrame]]
+
+
+def ends_of(held: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """`numbered` ends of the edges `held`, which are let go."""
+    out = numbered(*held)
+    held.clear()
+    return out
+
+
+def whole(solve: Callable[[list[np.ndarray]], Found], pdf: pd.DataFrame) -> pd.DataFrame:
+    """All rows of `solve` over the columns of `pdf`."""
+    return solve([pdf[c].to_numpy(np.int64) for c in pdf])[1](slice(None))
+
+
+def labelled(held: list[np.ndarray]) -> Found:
+    ids, a, b = ends_of(held)
+    label = least_labels(a, b, len(ids))
+    return len(ids), lambda at: pd.DataFrame({"v": ids[at], "comp": ids[label[at]]})
+
+
 def components_of(pdf: pd.DataFrame) -> pd.DataFrame:
     """(v, comp) of edges (src, dst)."""
-    ids, a, b = numbered(pdf.src.to_numpy(np.int64), pdf.dst.to_numpy(np.int64))
-    return pd.DataFrame({"v": ids, "comp": ids[least_labels(a, b, len(ids))]})
+    return whole(labelled, pdf[["src", "dst"]])
 
 
 def chunk_components(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -99,29 +142,34 @@ def breadth_first(a: np.ndarray, b: np.ndarray, n: int) -> tuple[np.ndarray, np.
     return parent, root, depth
 
 
+def rooted_forest(held: list[np.ndarray]) -> Found:
+    ids, a, b = ends_of(held)
+    parent, root, depth = breadth_first(a, b, len(ids))
+    return len(ids), lambda at: pd.DataFrame({"v": ids[at], "parent": ids[parent[at]], "root": ids[root[at]], "depth": depth[at]})
+
+
 def forest_of(pdf: pd.DataFrame) -> pd.DataFrame:
     """(v, parent, root, depth) of whole components (src, dst): breadth-first from the least id of each, parents the least neighbour one level up."""
-    ids, a, b = numbered(pdf.src.to_numpy(np.int64), pdf.dst.to_numpy(np.int64))
-    parent, root, depth = breadth_first(a, b, len(ids))
-    return pd.DataFrame({"v": ids, "parent": ids[parent], "root": ids[root], "depth": depth})
+    return whole(rooted_forest, pdf[["src", "dst"]])
 
 
 def laid_out(parent: np.ndarray, top: np.ndarray, base: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """(first position, subtree size) of every place; a tree's sequence begins at the base of its `top`, children come in their order."""
     n = len(parent)
-    inner = np.flatnonzero(~top)
-    kids = inner[np.argsort(parent[inner], kind="stable")]
-    start = np.concatenate([[0], np.cumsum(np.bincount(parent[inner], minlength=n))])
-    levels = [np.flatnonzero(top)]
+    inner = np.flatnonzero(~top).astype(np.int32)
+    start, kids = listed(parent[inner], inner, n)
+    del inner
+    levels = [np.flatnonzero(top).astype(np.int32)]
     while len(levels[-1]):
         levels.append(kids[spread(start, levels[-1])[0]])
-    size = np.ones(n, np.int64)
+    size = np.ones(n, np.int32)
     for level in reversed(levels[1:]):
         np.add.at(size, parent[level], size[level])
-    before = np.zeros(n, np.int64)  # what earlier siblings take
-    total = np.concatenate([[0], np.cumsum(2 * size[kids])])
-    before[kids] = total[:-1] - total[start[parent[kids]]]
-    del inner, kids, start, total
+    total = np.zeros(len(kids) + 1, np.int64)
+    np.cumsum(size[kids], out=total[1:])
+    before = np.zeros(n, base.dtype)  # what earlier siblings take
+    before[kids] = 2 * (total[:-1] - total[start[parent[kids]]])
+    del kids, start, total
     first = base.copy()
     for level in levels[1:]:
         first[level] = first[parent[level]] + 1 + before[level]
@@ -130,9 +178,10 @@ def laid_out(parent: np.ndarray, top: np.ndarray, base: np.ndarray) -> tuple[np.
 
 def stretch_values(values: np.ndarray, length: np.ndarray, pick: np.ufunc) -> np.ndarray:
     """`pick` (np.minimum or np.maximum) over values[i : i + length[i]] for every i, by powers of two, of which one row is held at a time."""
-    power = np.frexp(length)[1] - 1
+    power = (np.frexp(length)[1] - 1).astype(np.int8)
     by_power = np.argsort(power, kind="stable").astype(np.int32)
     end = np.cumsum(np.bincount(power))
+    del power
     out, row = np.empty_like(values), values
     for k, (lo, hi) in enumerate(zip([0, *end[:-1]], end, strict=True)):
         at = by_power[lo:hi]
@@ -157,20 +206,26 @@ def reach_of(pdf: pd.DataFrame) -> pd.DataFrame:
     return pd.DataFrame({"v": pdf.v, "low": low, "high": high})
 
 
-def reached_of(pdf: pd.DataFrame) -> pd.DataFrame:
-    """(v, parent, depth, first, last, low, high) of whole components (src, dst): their breadth-first forest, spans from 1 on in every tree, and the least and greatest first position that a subtree touches by edges off the forest."""
-    ids, a, b = numbered(pdf.src.to_numpy(np.int64), pdf.dst.to_numpy(np.int64))
+def reach_of_graph(held: list[np.ndarray]) -> Found:
+    ids, a, b = ends_of(held)
     n = len(ids)
     parent, root, depth = breadth_first(a, b, n)
-    first, size = (x.astype(np.int32) for x in laid_out(parent, parent == np.arange(n), np.ones(n, np.int64)))
+    first, size = laid_out(parent, parent == np.arange(n, dtype=np.int32), np.ones(n, np.int32))
     off = (parent[a] != b) & (parent[b] != a)
     a, b = a[off], b[off]
     lo, hi = first.copy(), first.copy()
     for x, y in ((a, b), (b, a)):
         np.minimum.at(lo, x, first[y])
         np.maximum.at(hi, x, first[y])
+    del a, b, off
     low, high = subtree_reach(root, first, size, lo, hi)
-    return pd.DataFrame({"v": ids, "parent": ids[parent], "depth": depth, "first": first, "last": first + 2 * size - 2, "low": low, "high": high})
+    del root, lo, hi
+    return n, lambda at: pd.DataFrame({"v": ids[at], "parent": ids[parent[at]], "depth": depth[at], "first": first[at].astype(np.int64), "last": first[at].astype(np.int64) + 2 * size[at] - 2, "low": low[at].astype(np.int64), "high": high[at].astype(np.int64)})
+
+
+def reached_of(pdf: pd.DataFrame) -> pd.DataFrame:
+    """(v, parent, depth, first, last, low, high) of whole components (src, dst): their breadth-first forest, spans from 1 on in every tree, and the least and greatest first position that a subtree touches by edges off the forest."""
+    return whole(reach_of_graph, pdf[["src", "dst"]])
 
 
 def sequences_of(pdf: pd.DataFrame) -> pd.DataFrame:
@@ -186,6 +241,26 @@ def sequences_of(pdf: pd.DataFrame) -> pd.DataFrame:
     return pd.DataFrame({"root": np.concatenate([root, root[inner]]), "pos": np.concatenate([first, first[inner] + 2 * size[inner] - 1]), "v": np.concatenate([v, v[parent[inner]]])})
 
 
-def in_one(edges: DataFrame, solve, schema: str) -> DataFrame:
-    """`solve` over all rows in one task."""
-    return edges.groupBy(F.lit(0).alias("all")).applyInPandas(solve, schema)
+def gathered(batches: Iterator[pd.DataFrame], columns: list[str]) -> list[np.ndarray]:
+    """Each column of a task's rows as one array."""
+    parts: list[list[np.ndarray]] = [[] for _ in columns]
+    for pdf in batches:
+        for part, c in zip(parts, columns, strict=True):
+            part.append(pdf[c].to_numpy(copy=True))
+    out = []
+    for part in parts:
+        out.append(np.concatenate(part) if part else np.empty(0, np.int64))
+        part.clear()
+    return out
+
+
+def in_one(frame: DataFrame, solve: Callable[[list[np.ndarray]], Found], schema: str) -> DataFrame:
+    """`solve` over the columns of all rows in one task, whose rows leave it slice by slice."""
+    columns = frame.columns
+
+    def work(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        rows, found = solve(gathered(batches, columns))
+        for low in range(0, rows, SLICE_ROWS):
+            yield found(slice(low, low + SLICE_ROWS))
+
+    return frame.coalesce(1).mapInPandas(work, schema)

@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from spanweave.graphs import canonical
 from spanweave.ledger import Budget, settle
-from spanweave.operators.arrays import ARRAY_ROWS, in_one, packed, reach_of, reached_of
+from spanweave.operators.arrays import ARRAY_ROWS, in_one, packed, reach_of, reach_of_graph, reached_of
 from spanweave.operators.components import LOCAL_ROWS, both_ways, by_size, connected_components
 from spanweave.operators.forest import breadth_first_from, spanning_forest, tree_edges
 from spanweave.operators.lca import TreeIndex, lca_batch
@@ -157,7 +157,7 @@ class Prepared:
                 return settle(self.parents.select("v", "parent", "depth").join(self.spans, "v").join(low, "v", "left"), "reach")
             schema = "v long, parent long, depth int, first long, last long, low long, high long"
             if self.graph.count() <= ARRAY_ROWS:
-                return settle(in_one(self.graph, reached_of, schema), "reach")
+                return settle(in_one(self.graph, reach_of_graph, schema), "reach")
             small, large = by_size(self.graph, ARRAY_ROWS)
             found = small.groupBy("pack").applyInPandas(reached_of, schema)
             if not large.isEmpty():
@@ -276,7 +276,7 @@ def _local_solver(edges: DataFrame) -> DataFrame:
         return pd.DataFrame(rows, columns=["src", "dst", "bridge", "block_src", "block_dst"])
 
     if graph.count() <= LOCAL_ROWS:
-        return in_one(graph, work, schema)
+        return graph.groupBy(F.lit(0).alias("all")).applyInPandas(work, schema)
     small, large = by_size(graph, LOCAL_ROWS)
     found = small.groupBy("pack").applyInPandas(work, schema)
     if large.isEmpty():

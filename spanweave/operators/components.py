@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from spanweave.ledger import Budget, settle
-from spanweave.operators.arrays import ARRAY_ROWS, chunk_components, components_of, in_one, packed
+from spanweave.operators.arrays import ARRAY_ROWS, chunk_components, in_one, labelled, packed
 from spanweave.operators.pointers import hop
 from spanweave.schema import Failed
 from spanweave.store import discard
@@ -189,7 +189,7 @@ def _local(edges, budget, max_rounds, seed):
     edges = settle(edges, "components", 0)
     rows = edges.count()
     if rows <= ARRAY_ROWS:
-        return in_one(edges, components_of, "v long, comp long")
+        return in_one(edges, labelled, "v long, comp long")
     # Components of chunks stand for them by their least vertices; those that share a vertex are linked. However the edges are dealt out, no link is lost.
     met = settle(edges.mapInPandas(chunk_components, "v long, comp long"), "components chunks", 0)
     own = settle(met.groupBy("v").agg(F.min("comp").alias("m"), F.max("comp").alias("_most")), "components chunks", 1)

@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from spanweave.ledger import Budget, settle
-from spanweave.operators.arrays import ARRAY_ROWS, forest_of, in_one, packed
+from spanweave.operators.arrays import ARRAY_ROWS, forest_of, in_one, packed, rooted_forest
 from spanweave.operators.components import both_ways, connected_components, contracted, hooked
 from spanweave.schema import Failed
 
@@ -38,7 +38,7 @@ def spanning_forest(edges: DataFrame, vertices: DataFrame | None = None, method:
 
 def _auto(edges: DataFrame, local_rows: int, max_rounds: int) -> DataFrame:
     if edges.count() <= local_rows:
-        return in_one(edges, forest_of, _PARENTS)
+        return in_one(edges, rooted_forest, _PARENTS)
     label = settle(connected_components(edges, method="local"), "forest", 0)
     held = settle(edges.join(label.select(F.col("v").alias("src"), "comp"), "src"), "forest", 0)
     size = held.groupBy("comp").agg(F.count(F.lit(1)).alias("n"))

@@ -24,10 +24,14 @@ def shared_dir(spark: SparkSession) -> str:
     return named.rstrip("/")
 
 
+#: Bytes of a row group: what one task wrote is read by many.
+ROW_GROUP = 8 << 20
+
+
 def stash(df: DataFrame) -> DataFrame:
     """`df`, written as Parquet to the shared folder and read back: later rounds restart from there, not from the input."""
     path = f"{shared_dir(df.sparkSession)}/stash-{uuid.uuid4().hex}"
-    df.write.parquet(path)
+    df.write.option("parquet.block.size", ROW_GROUP).parquet(path)
     out = df.sparkSession.read.schema(df.schema).parquet(path)
     _folders[id(out)] = path, weakref.ref(out, lambda _, key=id(out): _folders.pop(key, None))
     return out

@@ -104,3 +104,15 @@ def test_verdicts_on_many_leaves_take_no_generator_a_leaf():
     assert time.process_time() - began < 5
     expected = 512 ** (1 / 3) * (400_000).bit_length()
     assert abs(many["mean_samples"] / expected - 1) < 0.2 and many["by_bound"] == 1.0 and few["by_bound"] == 1.0
+
+
+def test_a_component_of_millions_takes_no_round_a_level(spark):
+    """A stem of 3,000 with leaves: 3,100,000 edges and deeper than the rounds that such a component was allowed."""
+    n, stem = 3_100_001, 3_000
+    rows = spark.range(1, n)
+    edges = rows.select(F.when(F.col("id") < stem, F.col("id") - 1).otherwise(F.col("id") % stem).alias("src"), F.col("id").alias("dst"))
+    ready, ledger = bridges.Prepared(edges), Ledger()
+    with ledger.open():
+        assert bridges.find_bridges(edges, method="interval", ready=ready).count() == n - 1
+    assert len(ledger.rows) <= 3
+    assert ready.reached.agg(F.max("depth"), F.max("last")).first()[:] == (stem, 2 * n - 1)
