@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import tempfile
 from collections.abc import Callable, Iterator
 
 import numpy as np
@@ -241,6 +242,171 @@ def sequences_of(pdf: pd.DataFrame) -> pd.DataFrame:
     return pd.DataFrame({"root": np.concatenate([root, root[inner]]), "pos": np.concatenate([first, first[inner] + 2 * size[inner] - 1]), "v": np.concatenate([v, v[parent[inner]]])})
 
 
+def doubled(held: list[np.ndarray]) -> Found:
+    """(v, ptr, sums) of pointers (v, ptr, sums): every pointer to its pointer's pointer, sums along the way added, until all stand at ends. What leads to no vertex is left out."""
+    v, to, *sums = held
+    held.clear()
+    order = np.argsort(v)
+    n, ids, to, sums = len(v), v[order], to[order], [np.append(x[order], 0) for x in sums]
+    del v, order
+    ptr = np.append(places(ids, to), n).astype(np.int32)
+    ptr[:n][ids[np.minimum(ptr[:n], n - 1)] != to] = n
+    del to
+    end = ptr == np.arange(n + 1, dtype=np.int32)
+    for _ in range(64):
+        if end[ptr].all():
+            break
+        for k, x in enumerate(sums):
+            sums[k] = x + x[ptr]
+        ptr = ptr[ptr]
+    else:
+        raise ValueError("pointers do not end: they hold a cycle")
+    if (ptr[:n] == n).any():
+        kept = np.flatnonzero(ptr[:n] != n)
+        return len(kept), lambda at: pd.DataFrame({"v": ids[kept[at]], "ptr": ids[ptr[kept[at]]]} | {f"s{k}": x[kept[at]] for k, x in enumerate(sums)})
+    return n, lambda at: pd.DataFrame({"v": ids[at], "ptr": ids[ptr[:n][at]]} | {f"s{k}": x[:n][at] for k, x in enumerate(sums)})
+
+
+class Meeting:
+    """Pairs on their way up one forest of places: a the deeper end, b the other, pa and pb where they stood a step before, `lca` where they met (-1: not yet)."""
+
+    def __init__(self, parent: np.ndarray, depth: np.ndarray, a: np.ndarray, b: np.ndarray):
+        self.parent, self.depth, self.a, self.b = parent, depth, a, b
+        self.pa, self.pb, self.lca = (np.full(len(a), -1, np.int32) for _ in range(3))
+
+    def climb(self, live: np.ndarray, steps: int) -> np.ndarray:
+        """Up to `steps` single steps of the pairs `live`: the deeper end, or both where they are level, go to their parents. Those that have not met are returned."""
+        for _ in range(steps):
+            if not len(live):
+                break
+            a, b = self.a[live], self.b[live]
+            level = self.depth[a] == self.depth[b]
+            self.pa[live], self.a[live] = a, self.parent[a]
+            self.pb[live[level]], self.b[live[level]] = b[level], self.parent[b[level]]
+            met = self.a[live] == self.b[live]
+            self.lca[live[met]] = self.a[live[met]]
+            live = live[~met]
+        return live
+
+    def by_jumps(self, live: np.ndarray, t: int) -> None:
+        """Over the compressed tree: far ends are lifted, 4t single steps, then the last kept ancestors that differ, then 2t steps at most."""
+        parent, depth = self.parent, self.depth
+        anc = np.flatnonzero((depth % t == 0) & (depth >= t)).astype(np.int32)
+        for _ in range(t):
+            anc = parent[anc]
+        chosen = parent == np.arange(len(parent), dtype=np.int32)
+        chosen[anc] = True
+        kept = np.flatnonzero(chosen).astype(np.int32)
+        jump = kept
+        for _ in range(t):
+            jump = parent[jump]
+        tables = [np.searchsorted(kept, jump).astype(np.int32)]
+        for _ in range((int(depth[kept].max(initial=0)) // t).bit_length()):
+            tables.append(tables[-1][tables[-1]])
+        tall = depth[kept]
+
+        def nearest(of: np.ndarray) -> np.ndarray:
+            while not chosen[of].all():
+                of = np.where(chosen[of], of, parent[of])
+            return np.searchsorted(kept, of).astype(np.int32)
+
+        far = live[depth[self.a[live]] > depth[self.b[live]] + 2 * t]
+        at, bound = nearest(self.a[far]), depth[self.b[far]]
+        for up in reversed(tables):
+            at = np.where(tall[up[at]] > bound, up[at], at)
+        self.a[far] = kept[at]
+        a0, b0 = self.a.copy(), self.b.copy()
+        live = self.climb(live, 4 * t)
+        # The common ancestor is over 2t above both ends where the near search began, but may be just above where it stopped.
+        a, b = nearest(a0[live]), nearest(b0[live])
+        for up in reversed(tables):  # level them
+            a = np.where((tall[up[a]] >= tall[b]) & (tall[up[a]] < tall[a]), up[a], a)
+            b = np.where((tall[up[b]] >= tall[a]) & (tall[up[b]] < tall[b]), up[b], b)
+        for up in reversed(tables):
+            go = up[a] != up[b]
+            a, b = np.where(go, up[a], a), np.where(go, up[b], b)
+        self.a[live], self.b[live] = kept[a], kept[b]
+        if len(self.climb(live, 2 * t)):
+            raise AssertionError("a query was not settled by its last climb")
+
+    def by_tables(self, live: np.ndarray, deepest: int) -> None:
+        """Over every 2**j-th ancestor of every vertex: the tables lie in a file, one is held at a time."""
+        powers, n = max(1, deepest.bit_length()), len(self.parent)
+        with tempfile.TemporaryFile() as rows:
+            level = self.parent
+            for j in range(powers):
+                level.tofile(rows)
+                level = level[level] if j + 1 < powers else level
+            del level
+
+            def table(j: int) -> np.ndarray:
+                rows.seek(4 * n * j)
+                return np.fromfile(rows, np.int32, n)
+
+            a, b = self.a[live], self.b[live]
+            da, db = self.depth[a], self.depth[b]
+            for j in range(powers - 1, -1, -1):  # the deeper end to one step above level, so that its last step is known
+                go = da - (1 << j) > db
+                a, da = np.where(go, table(j)[a], a), np.where(go, da - (1 << j), da)
+            up = da > db
+            self.pa[live[up]], a = a[up], np.where(up, self.parent[a], a)
+            met = a == b
+            self.lca[live[met]] = a[met]
+            live, a, b = live[~met], a[~met], b[~met]
+            for j in range(powers - 1, -1, -1):
+                far = table(j)
+                go = far[a] != far[b]
+                a, b = np.where(go, far[a], a), np.where(go, far[b], b)
+            self.pa[live], self.pb[live], self.lca[live] = a, b, self.parent[a]
+
+
+def meetings(method: str, step_of: Callable[[int], int]) -> Callable[[list[np.ndarray]], Found]:
+    """(qid, u, v, lca, child_u, child_v) of rows (kind, x, y, z): 0 a vertex, its parent, its depth; 1 a query's qid, u, v."""
+
+    def solve(held: list[np.ndarray]) -> Found:
+        kind, x, y, z = held
+        held.clear()
+        asked = kind == 1
+        qid, u, v = x[asked], y[asked], z[asked]
+        np.logical_not(asked, out=asked)
+        ids, up, depth = x[asked], y[asked], z[asked].astype(np.int32)
+        del kind, x, y, z, asked
+        order = np.argsort(ids)
+        ids, up, depth = ids[order], up[order], depth[order]
+        del order
+        parent, n = places(ids, up), len(ids)
+        del up
+        root = parent
+        while True:
+            far = root[root]
+            if (far == root).all():
+                break
+            root = far
+        del far
+        pu, pv = (np.minimum(places(ids, e), n - 1) for e in (u, v))
+        apart = (ids[pu] != u) | (ids[pv] != v) | (root[pu] != root[pv])
+        del root
+        swapped = depth[pu] < depth[pv]
+        pairs = Meeting(parent, depth, np.where(swapped, pv, pu), np.where(swapped, pu, pv))
+        same = (u == v) & ~apart
+        pairs.lca[same] = pu[same]
+        live, deepest = np.flatnonzero(~apart & ~same), int(depth.max(initial=0))
+        if method == "doubling":
+            pairs.by_tables(live, deepest)
+        else:
+            pairs.by_jumps(live, step_of(deepest))
+        lca, one, two = pairs.lca, np.where(swapped, pairs.pb, pairs.pa), np.where(swapped, pairs.pa, pairs.pb)
+
+        def found(at: slice) -> pd.DataFrame:
+            column = lambda of, none: pd.arrays.IntegerArray(ids[of[at]], none)
+            none = apart[at]
+            return pd.DataFrame({"qid": qid[at], "u": u[at], "v": v[at], "lca": column(lca, none), "child_u": column(one, none | (lca[at] == pu[at])), "child_v": column(two, none | (lca[at] == pv[at]))})
+
+        return len(qid), found
+
+    return solve
+
+
 def gathered(batches: Iterator[pd.DataFrame], columns: list[str]) -> list[np.ndarray]:
     """Each column of a task's rows as one array."""
     parts: list[list[np.ndarray]] = [[] for _ in columns]

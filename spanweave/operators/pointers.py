@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from spanweave.ledger import settle
+from spanweave.operators.arrays import ARRAY_ROWS, PACK_ROWS, doubled, in_one
 from spanweave.operators.positions import dense_positions
 
 
@@ -40,8 +41,11 @@ def doubling(state: DataFrame, sums: tuple[str, ...] = (), phase: str = "doublin
     """Pointers (v, ptr, sums) followed to their ends, with sums over the path; ends have sums 0. Logarithmic in the longest path, one row a vertex alive.
 
     A row whose pointer is an end is done and leaves the rounds; it learns so from the row it points to, whose own pointer is one. So the rounds shrink, and after the first no two rows are joined
-    on an end, however many hang below it."""
+    on an end, however many hang below it. More than PACK_ROWS and at most ARRAY_ROWS pointers are doubled in one task with arrays."""
     extra = [c for c in state.columns if c not in ("v", "ptr", *sums)]
+    if not extra and dict(state.dtypes)["v"] == "bigint" and PACK_ROWS < state.count() <= ARRAY_ROWS // (1 + len(sums) // 2):
+        schema = ", ".join(f"{c} long" for c in ("v", "ptr", *(f"s{k}" for k in range(len(sums)))))
+        return settle(in_one(state.select("v", "ptr", *(F.col(c).cast("long") for c in sums)), doubled, schema), phase).toDF("v", "ptr", *sums)
     live, done = state.withColumn("_end", F.col("v") == F.col("ptr")), []
     for turn in range(max_rounds):
         far = reduce(DataFrame.unionByName, [live, *done]).select(F.col("v").alias("_v"), F.col("ptr").alias("_ptr"), F.col("_end").alias("_fixed"), *(F.col(s).alias(f"_{s}") for s in sums))
