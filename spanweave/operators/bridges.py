@@ -63,7 +63,7 @@ class Prepared:
 
         def make():
             asked = self.crossing.select(F.xxhash64("src", "dst").alias("qid"), F.col("src").alias("u"), F.col("dst").alias("v"))
-            index = self.index if self.lca_method == "compressed" else None
+            index = (lambda: self.index) if self.lca_method == "compressed" else None
             return settle(lca_batch(self.parents, asked, method=self.lca_method, index=index), "lca")
 
         return self._once("met", make)

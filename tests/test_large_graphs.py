@@ -7,8 +7,9 @@ from pyspark.sql import functions as F
 
 from spanweave import graphs
 from spanweave.ledger import Ledger, settle
-from spanweave.operators import blocks, bridges, components, forest, hub, measures
+from spanweave.operators import blocks, bridges, components, forest, hub, measures, pointers
 from spanweave.operators.forest import spanning_forest
+from spanweave.operators.lca import lca_batch
 
 
 def _ring(spark, n):
@@ -116,3 +117,44 @@ def test_a_component_of_millions_takes_no_round_a_level(spark):
         assert bridges.find_bridges(edges, method="interval", ready=ready).count() == n - 1
     assert len(ledger.rows) <= 3
     assert ready.reached.agg(F.max("depth"), F.max("last")).first()[:] == (stem, 2 * n - 1)
+
+
+def _stems(spark, n, stem):
+    """Vertices 0 to n - 1: a stem of `stem`, on whose vertices the others hang in threes, one below the other."""
+    up = F.when(F.col("id") == 0, 0).when(F.col("id") < stem, F.col("id") - 1).when(F.col("id") % 3 == 0, (F.col("id") * 7) % stem).otherwise(F.col("id") - 1)
+    below = F.when(F.col("id") % 3 == 0, 1).otherwise(F.col("id") % 3 + 1)
+    on = F.when(F.col("id") < stem, F.col("id")).otherwise(((F.col("id") - F.col("id") % 3) * 7) % stem + below)
+    return settle(spark.range(n).select(F.col("id").alias("v"), up.alias("parent"), F.lit(0).cast("long").alias("root"), on.cast("int").alias("depth")), "x")
+
+
+def test_pointers_of_a_deep_forest_are_doubled_in_one_task(spark):
+    """As many rounds as the depth has binary digits went over all rows."""
+    parents, ledger = _stems(spark, 150_000, 3_000), Ledger()
+    with ledger.open():
+        found = pointers.depths(parents.select("v", "parent"))
+        wrong = found.join(parents.select("v", F.col("depth").alias("d")), "v").filter("d <> depth or root <> 0").count()
+    assert (found.count(), wrong, ledger.rounds("depths")) == (150_000, 0, 1)
+
+
+@pytest.mark.parametrize(("method", "attach"), [("compressed", False), ("doubling", False), ("compressed", True)])
+def test_common_ancestors_in_a_deep_forest_take_no_round_a_jump(spark, method, attach):
+    parents, ledger = _stems(spark, 150_000, 3_000), Ledger()
+    up = {r.v: r.parent for r in parents.collect()}
+
+    def way(v):
+        out = [v]
+        while up[out[-1]] != out[-1]:
+            out.append(up[out[-1]])
+        return out[::-1]
+
+    def met(u, v):
+        a, b = way(u), way(v)
+        k = next((k for k, (x, y) in enumerate(zip(a, b, strict=False)) if x != y), min(len(a), len(b)))
+        return a[k - 1], *(None if attach and len(x) == k else x[k] if k < len(x) else None for x in (a, b))
+
+    pairs = [(u, v) for u, v in zip(range(5, 150_000, 2_003), range(149_990, 5, -1_999), strict=False)] + [(7, 7), (10, 2_900), (3_000, 3_001), (3_002, 3_000)]
+    asked = spark.createDataFrame([(k, *p) for k, p in enumerate(pairs)], "qid long, u long, v long")
+    with ledger.open():
+        rows = lca_batch(parents, asked, method=method, attach_leaves=attach).collect()
+    assert {r.qid: tuple(r)[1:] for r in rows} == {k: (u, v, *met(u, v)) for k, (u, v) in enumerate(pairs)}
+    assert ledger.rounds() <= 3
