@@ -95,20 +95,16 @@ def ends_of(held: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray, np.ndarray]
     return out
 
 
-def whole(solve: Callable[[list[np.ndarray]], Found], pdf: pd.DataFrame) -> pd.DataFrame:
-    """All rows of `solve` over the columns of `pdf`."""
-    return solve([pdf[c].to_numpy(np.int64) for c in pdf])[1](slice(None))
-
-
 def labelled(held: list[np.ndarray]) -> Found:
+    """(v, comp) of edges (src, dst)."""
     ids, a, b = ends_of(held)
     label = least_labels(a, b, len(ids))
     return len(ids), lambda at: pd.DataFrame({"v": ids[at], "comp": ids[label[at]]})
 
 
-def components_of(pdf: pd.DataFrame) -> pd.DataFrame:
-    """(v, comp) of edges (src, dst)."""
-    return whole(labelled, pdf[["src", "dst"]])
+def chunk_labels(held: list[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    rows, found = labelled(gathered(iter(held), ["src", "dst"]))
+    yield found(slice(0, rows))
 
 
 def chunk_components(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -118,10 +114,10 @@ def chunk_components(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         held.append(pdf)
         rows += len(pdf)
         if rows >= CHUNK_ROWS:
-            yield components_of(pd.concat(held))
+            yield from chunk_labels(held)
             held, rows = [], 0
     if rows:
-        yield components_of(pd.concat(held))
+        yield from chunk_labels(held)
 
 
 def breadth_first(a: np.ndarray, b: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -144,16 +140,12 @@ def breadth_first(a: np.ndarray, b: np.ndarray, n: int) -> tuple[np.ndarray, np.
 
 
 def rooted_forest(held: list[np.ndarray]) -> Found:
+    """(v, parent, root, depth) of whole components (src, dst): breadth-first from the least id of each, parents the least neighbour one level up."""
     ids, a, b = ends_of(held)
     parent, root, depth = breadth_first(a, b, len(ids))
     return len(ids), lambda at: pd.DataFrame({"v": ids[at], "parent": ids[parent[at]], "root": ids[root[at]], "depth": depth[at]})
 
 
-def forest_of(pdf: pd.DataFrame) -> pd.DataFrame:
-    """(v, parent, root, depth) of whole components (src, dst): breadth-first from the least id of each, parents the least neighbour one level up."""
-    return whole(rooted_forest, pdf[["src", "dst"]])
-
-
 def laid_out(parent: np.ndarray, top: np.ndarray, base: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """(first position, subtree size) of every place; a tree's sequence begins at the base of its `top`, children come in their order."""
     n = len(parent)
@@ -208,6 +200,7 @@ def reach_of(pdf: pd.DataFrame) -> pd.DataFrame:
 
 
 def reach_of_graph(held: list[np.ndarray]) -> Found:
+    """(v, parent, depth, first, last, low, high) of whole components (src, dst): their breadth-first forest, spans from 1 on in every tree, and the least and greatest first position that a subtree touches by edges off the forest."""
     ids, a, b = ends_of(held)
     n = len(ids)
     parent, root, depth = breadth_first(a, b, n)
@@ -224,22 +217,29 @@ def reach_of_graph(held: list[np.ndarray]) -> Found:
     return n, lambda at: pd.DataFrame({"v": ids[at], "parent": ids[parent[at]], "depth": depth[at], "first": first[at].astype(np.int64), "last": first[at].astype(np.int64) + 2 * size[at] - 2, "low": low[at].astype(np.int64), "high": high[at].astype(np.int64)})
 
 
-def reached_of(pdf: pd.DataFrame) -> pd.DataFrame:
-    """(v, parent, depth, first, last, low, high) of whole components (src, dst): their breadth-first forest, spans from 1 on in every tree, and the least and greatest first position that a subtree touches by edges off the forest."""
-    return whole(reach_of_graph, pdf[["src", "dst"]])
+def sequenced(held: list[np.ndarray]) -> Found:
+    """(root, pos, v): the sequences of the subtrees (job, v, parent, root, base), each from its base on, children in the order of their ids."""
+    job, v, up, root, base = held
+    held.clear()
+    top = v == job
+    del job
+    order = np.argsort(v)
+    v, up, root, base, top = v[order], up[order], root[order], base[order], top[order]
+    del order
+    up[top] = v[top]
+    parent, n = places(v, up), len(v)
+    del up
+    first, size = laid_out(parent, top, base)
+    del base
+    inner = np.flatnonzero(~top).astype(np.int32)
 
+    def found(at: slice) -> pd.DataFrame:
+        """Every place at its first position, and behind them its parent again, after each child's last."""
+        back = inner[max(0, at.start - n) : max(0, at.stop - n)]
+        own = slice(min(n, at.start), min(n, at.stop))
+        return pd.DataFrame({"root": np.concatenate([root[own], root[back]]), "pos": np.concatenate([first[own], first[back] + 2 * size[back] - 1]), "v": np.concatenate([v[own], v[parent[back]]])})
 
-def sequences_of(pdf: pd.DataFrame) -> pd.DataFrame:
-    """(root, pos, v): the sequences of the subtrees (job, v, parent, root, base), each from its base on, children in the order of their ids."""
-    pdf = pdf.sort_values("v")
-    v, up = pdf.v.to_numpy(np.int64), pdf.parent.to_numpy(np.int64)
-    top = v == pdf.job.to_numpy(np.int64)
-    n = len(v)
-    parent = np.where(top, np.arange(n), np.searchsorted(v, np.where(top, v, up)))
-    first, size = laid_out(parent, top, pdf.base.to_numpy(np.int64))
-    inner = np.flatnonzero(~top)
-    root = pdf.root.to_numpy(np.int64)
-    return pd.DataFrame({"root": np.concatenate([root, root[inner]]), "pos": np.concatenate([first, first[inner] + 2 * size[inner] - 1]), "v": np.concatenate([v, v[parent[inner]]])})
+    return n + len(inner), found
 
 
 def doubled(held: list[np.ndarray]) -> Found:
@@ -420,13 +420,21 @@ def gathered(batches: Iterator[pd.DataFrame], columns: list[str]) -> list[np.nda
     return out
 
 
-def in_one(frame: DataFrame, solve: Callable[[list[np.ndarray]], Found], schema: str) -> DataFrame:
-    """`solve` over the columns of all rows in one task, whose rows leave it slice by slice."""
-    columns = frame.columns
-
+def _task(solve: Callable[[list[np.ndarray]], Found], columns: list[str]) -> Callable[[Iterator[pd.DataFrame]], Iterator[pd.DataFrame]]:
     def work(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         rows, found = solve(gathered(batches, columns))
         for low in range(0, rows, SLICE_ROWS):
-            yield found(slice(low, low + SLICE_ROWS))
+            yield found(slice(low, min(rows, low + SLICE_ROWS)))
+
+    return work
+
+
+def in_one(frame: DataFrame, solve: Callable[[list[np.ndarray]], Found], schema: str) -> DataFrame:
+    """`solve` over the columns of all rows in one task, whose rows leave it slice by slice."""
+    return frame.coalesce(1).mapInPandas(_task(solve, frame.columns), schema)
+
 
-    return frame.coalesce(1).mapInPandas(work, schema)
+def in_packs(frame: DataFrame, pack: Column, rows: int, solve: Callable[[list[np.ndarray]], Found], schema: str) -> DataFrame:
+    """`solve` over the columns of whole packs, of `rows` rows in all, a task for some PACK_ROWS of them."""
+    columns = [c for c in frame.columns if c not in ("pack", "comp")]
+    return frame.withColumn("pack", pack).repartition(max(1, -(-rows // PACK_ROWS)), "pack").select(*columns).mapInPandas(_task(solve, columns), schema)

@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from spanweave.graphs import canonical
 from spanweave.ledger import Budget, settle
-from spanweave.operators.arrays import ARRAY_ROWS, in_one, packed, reach_of, reach_of_graph, reached_of
+from spanweave.operators.arrays import ARRAY_ROWS, in_one, in_packs, packed, reach_of, reach_of_graph
 from spanweave.operators.components import LOCAL_ROWS, both_ways, by_size, connected_components
 from spanweave.operators.forest import breadth_first_from, spanning_forest, tree_edges
 from spanweave.operators.lca import TreeIndex, lca_batch
@@ -159,7 +159,7 @@ class Prepared:
             if self.graph.count() <= ARRAY_ROWS:
                 return settle(in_one(self.graph, reach_of_graph, schema), "reach")
             small, large = by_size(self.graph, ARRAY_ROWS)
-            found = small.groupBy("pack").applyInPandas(reached_of, schema)
+            found = in_packs(small, F.col("pack"), self.graph.count(), reach_of_graph, schema)
             if not large.isEmpty():
                 edges, tops = large.select("src", "dst"), large.select(F.col("comp").alias("v")).distinct()
                 found = found.unionByName(Prepared(edges, lca_method=self.lca_method, seed=self.seed, parents_given=breadth_first_from(edges, tops)).reached)

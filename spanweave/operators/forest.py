@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from spanweave.ledger import Budget, settle
-from spanweave.operators.arrays import ARRAY_ROWS, forest_of, in_one, packed, rooted_forest
+from spanweave.operators.arrays import ARRAY_ROWS, in_one, in_packs, packed, rooted_forest
 from spanweave.operators.components import both_ways, connected_components, contracted, hooked
 from spanweave.schema import Failed
 
@@ -44,7 +44,7 @@ def _auto(edges: DataFrame, local_rows: int, max_rounds: int) -> DataFrame:
     size = held.groupBy("comp").agg(F.count(F.lit(1)).alias("n"))
     large = settle(size.filter(F.col("n") > local_rows).select("comp"), "forest", 0)
     small = held.join(large, "comp", "left_anti")
-    small = small.groupBy(packed("comp", held.count())).applyInPandas(forest_of, _PARENTS)
+    small = in_packs(small.select("src", "dst", "comp"), packed("comp", held.count()), held.count(), rooted_forest, _PARENTS)
     if large.isEmpty():
         return small
     many = held.join(large, "comp", "left_semi")

@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from spanweave.ledger import Budget, settle
-from spanweave.operators.arrays import ARRAY_ROWS, packed, sequences_of
+from spanweave.operators.arrays import ARRAY_ROWS, CHUNK_ROWS, in_one, in_packs, packed, sequenced
 from spanweave.operators.lca import TreeIndex, lca_batch
 from spanweave.operators.paths import ancestor_paths
 from spanweave.operators.pointers import child_counts, child_ranks, depths, doubling, hop, path_sums
@@ -122,6 +122,7 @@ def _ranked_sequence(parents: DataFrame) -> DataFrame:
 
 # ---- by leaf sampling
 _TOUR = "root long, pos long, v long"
+_JOB = ("job", "v", "parent", "root", "base")
 
 
 def _by_leaf_sampling(parents: DataFrame, s: int, c: float, max_pairs: int, seed: int, report: dict, printed_bound: bool, given: Callable[[], TreeIndex] | None = None) -> DataFrame:
@@ -131,7 +132,11 @@ def _by_leaf_sampling(parents: DataFrame, s: int, c: float, max_pairs: int, seed
     while True:
         sizes = settle(jobs.groupBy("job").agg(F.count(F.lit(1)).alias("n")), "sequence", level)
         big = sizes.filter(F.col("n") > s)
-        local = jobs.join(sizes.filter(F.col("n") <= s).select("job"), "job").groupBy(packed("job", jobs.count())).applyInPandas(sequences_of, _TOUR)
+        rows = jobs.count()
+        if rows <= min(s, ARRAY_ROWS) and not sizes.filter(F.col("n") > CHUNK_ROWS).isEmpty():
+            local = in_one(jobs.select(*_JOB), sequenced, _TOUR)  # nothing to deal out
+        else:
+            local = in_packs(jobs.join(sizes.filter(F.col("n") <= s).select("job"), "job").select(*_JOB), packed("job", rows), rows, sequenced, _TOUR)
         out = local if out is None else out.unionByName(local)
         if big.isEmpty():
             return out
