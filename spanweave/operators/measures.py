@@ -13,7 +13,7 @@ from spanweave.graphs import canonical
 from spanweave.ledger import Budget, Ledger, settle
 from spanweave.operators.bridges import Prepared
 from spanweave.operators.blocks import auxiliary_graph, block_sizes, color_blocks
-from spanweave.operators.arrays import adjacency, numbered
+from spanweave.operators.arrays import ARRAY_ROWS, adjacency, numbered, spread
 from spanweave.operators.components import LOCAL_ROWS, both_ways, by_size, connected_components
 from spanweave.operators.compress import compress_tree, nearest_kept
 from spanweave.operators.pointers import hop
@@ -37,24 +37,64 @@ def eccentricities(edges: DataFrame, sources: DataFrame, max_rounds: int = 5000)
     return last.groupBy("source").agg(F.max("d").alias("ecc"))
 
 
+def waves(start: np.ndarray, near: np.ndarray, of: np.ndarray) -> int:
+    """The greatest distance from any of the places `of`: a bit a source at every vertex, one wave from all of them."""
+    seen = np.zeros((len(start) - 1, -(-len(of) // 64)), np.uint64)
+    at = np.arange(len(of))
+    seen[of, at // 64] = np.uint64(1) << (at % 64).astype(np.uint64)
+    turn = 0
+    while True:
+        wave = seen | np.bitwise_or.reduceat(seen[near], start[:-1], axis=0)
+        if (wave == seen).all():
+            return turn
+        seen, turn = wave, turn + 1
+
+
 def longest_wave(pdf: pd.DataFrame, room: int = 4_000_000) -> int:
-    """The diameter of one component (src, dst): a bit a source at every vertex, waves from as many sources at once as `room` words for all arcs allow."""
+    """The diameter of one component (src, dst): waves from as many sources at once as `room` words for all arcs allow."""
     ids, a, b = numbered(pdf.src.to_numpy(), pdf.dst.to_numpy())
-    n, most = len(ids), 0
+    n = len(ids)
     start, near = adjacency(a, b, n)
     step = 64 * max(1, room // len(near))
-    for low in range(0, n, step):
-        of = np.arange(low, min(n, low + step))
-        seen = np.zeros((n, -(-len(of) // 64)), np.uint64)
-        seen[of, (of - low) // 64] = np.uint64(1) << ((of - low) % 64).astype(np.uint64)
-        turn = 0
-        while True:
-            wave = seen | np.bitwise_or.reduceat(seen[near], start[:-1], axis=0)
-            if (wave == seen).all():
-                break
-            seen, turn = wave, turn + 1
-        most = max(most, turn)
-    return most
+    return max(waves(start, near, np.arange(low, min(n, low + step))) for low in range(0, n, step))
+
+
+def distances(start: np.ndarray, near: np.ndarray, source: int) -> np.ndarray:
+    dist, turn = np.full(len(start) - 1, -1, np.int32), 0
+    dist[source], front = 0, np.array([source])
+    while len(front):
+        below = near[spread(start, front)[0]]
+        below, turn = below[dist[below] < 0], turn + 1
+        dist[below] = turn
+        front = np.unique(below)
+    return dist
+
+
+def bounded_wave(pdf: pd.DataFrame, room: int = 4_000_000) -> int:
+    """The diameter of one component (src, dst), exact: no vertex is farther from any than a source's greatest distance and its own to that source, so only vertices whose bound exceeds the greatest
+    distance found stay open. Sources are by turns the vertex of the least lower bound and the open one of the greatest upper bound, now and then many open ones at once, more each time."""
+    ids, a, b = numbered(pdf.src.to_numpy(), pdf.dst.to_numpy())
+    n = len(ids)
+    start, near = adjacency(a, b, n)
+    del ids, a, b
+    upper, lower, left = np.full(n, n, np.int32), np.zeros(n, np.int32), np.arange(n, dtype=np.int32)
+    most, turn, many, source = 0, 0, 64, int(np.argmax(np.diff(start)))
+    while True:
+        dist = distances(start, near, source)
+        far = dist.max()
+        most, turn = max(most, int(far)), turn + 1
+        np.minimum(upper, dist + far, out=upper)
+        np.maximum(lower, np.maximum(dist, far - dist), out=lower)
+        upper[source], lower[source] = far, n  # known: never a source again
+        left = left[upper[left] > most]
+        if len(left) and (turn % 8 == 0 or len(left) <= 64):
+            order = np.argsort(-upper[left], kind="stable")
+            most, left = max(most, waves(start, near, left[order[:many]])), left[order[many:]]
+            left = left[upper[left] > most]
+            many = min(2 * many, 64 * max(1, room // len(near)))
+        if not len(left):
+            return most
+        source = int(np.argmin(lower)) if turn % 2 else int(left[np.argmax(upper[left])])
 
 
 def _neighbours(pdf: pd.DataFrame) -> dict[int, list[int]]:
@@ -66,7 +106,7 @@ def _neighbours(pdf: pd.DataFrame) -> dict[int, list[int]]:
 
 
 def diameter(edges: DataFrame, mode: str = "lower") -> DataFrame:
-    """(comp, diameter) of every component. exact: waves from all sources, whole components of up to LOCAL_ROWS edges in a task, larger ones by rounds (vertices squared rows). lower: two sweeps by rounds, a lower bound that is exact on trees."""
+    """(comp, diameter) of every component. exact: waves from all sources, whole components of up to LOCAL_ROWS edges in a task; of up to ARRAY_ROWS edges, from all whose bounds leave them open; larger ones by rounds (vertices squared rows). lower: two sweeps by rounds, a lower bound that is exact on trees."""
     graph = settle(canonical(edges), "diameter")
     if mode == "exact":
         small, large = by_size(graph, LOCAL_ROWS)
@@ -76,6 +116,13 @@ def diameter(edges: DataFrame, mode: str = "lower") -> DataFrame:
             return pd.DataFrame(rows, columns=["comp", "diameter"]).astype({"diameter": "int32"})
 
         found = small.groupBy("pack").applyInPandas(work, "comp long, diameter int")
+        if large.isEmpty():
+            return found
+        size = settle(large.groupBy("comp").agg(F.count(F.lit(1)).alias("n")), "diameter")
+        one = lambda pdf: pd.DataFrame({"comp": pdf["comp"].iloc[:1], "diameter": [bounded_wave(pdf)]}).astype({"diameter": "int32"})
+        fits = large.join(size.filter(F.col("n") <= ARRAY_ROWS), "comp", "left_semi")
+        found = found.unionByName(fits.groupBy("comp").applyInPandas(one, "comp long, diameter int"))
+        large = large.join(size.filter(F.col("n") > ARRAY_ROWS), "comp", "left_semi")
         if large.isEmpty():
             return found
         label = settle(connected_components(large, method="local"), "diameter")

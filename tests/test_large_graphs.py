@@ -2,6 +2,8 @@
 
 import time
 
+import numpy as np
+import pandas as pd
 import pytest
 from pyspark.sql import functions as F
 
@@ -158,3 +160,19 @@ def test_common_ancestors_in_a_deep_forest_take_no_round_a_jump(spark, method, a
         rows = lca_batch(parents, asked, method=method, attach_leaves=attach).collect()
     assert {r.qid: tuple(r)[1:] for r in rows} == {k: (u, v, *met(u, v)) for k, (u, v) in enumerate(pairs)}
     assert ledger.rounds() <= 3
+
+
+def test_exact_diameter_of_a_large_component(spark):
+    """A stem of 300 with leaves, 249,999 edges in one component: it took vertices squared rows."""
+    rows = spark.range(1, 250_000)
+    edges = rows.select(F.when(F.col("id") < 300, F.col("id") - 1).otherwise(F.col("id") % 300).alias("src"), F.col("id").alias("dst"))
+    assert [tuple(r) for r in measures.diameter(edges, "exact").collect()] == [(0, 301)]
+
+
+def test_bounds_leave_no_farther_pair():
+    rng = np.random.default_rng(3)
+    for n in [2, 3, 10, 40, 300] * 4:
+        pairs = [(int(rng.integers(0, v)) if rng.random() < 0.5 else v - 1, v) for v in range(1, n)]
+        pairs += [tuple(sorted(map(int, rng.choice(n, 2, replace=False)))) for _ in range(n // 8)]
+        pdf = pd.DataFrame(sorted(set(pairs)), columns=["src", "dst"])
+        assert measures.bounded_wave(pdf) == measures.longest_wave(pdf), pairs
